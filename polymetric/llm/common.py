@@ -108,6 +108,8 @@ def numbered(df: DataFrame, keys: list[str], spread: Column, order: list[str], n
     before = Window.partitionBy(*keys).orderBy("nb_part").rowsBetween(Window.unboundedPreceding, -1)
     starts = counts.select(*keys, "nb_part", F.coalesce(F.sum("nb_n").over(before), F.lit(0)).alias("nb_start"))
     within = F.row_number().over(Window.partitionBy(*keys, "nb_part").orderBy(*order))
+    if parts == 1:
+        return dealt.withColumn(name, within - 1).drop("nb_part")
     return dealt.withColumn("nb_row", within).join(starts, [*keys, "nb_part"]).withColumn(name, F.col("nb_start") + F.col("nb_row") - 1).drop("nb_part", "nb_row", "nb_start")
 
 

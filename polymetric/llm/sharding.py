@@ -11,6 +11,7 @@ from __future__ import annotations
 import heapq
 from collections.abc import Iterable
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -85,12 +86,13 @@ def shard_by_size(docs: DataFrame, shards: int, id_col: str = "doc_id", text_col
     unit = F.expr(f"shiftleft(1L, greatest(0, length(bin(weight)) - {BITS}))")
     groups = scratch.table(groups.withColumn("class", ((F.col("weight") / unit).cast("long") * unit).cast("long")), "groups")
     plan = schedule(((r["class"], r["n"]) for r in groups.groupBy("class").agg(F.count("*").alias("n")).collect()), shards)
-    made = spark.createDataFrame(plan, "class long, shard int, first long, end long")
-    parts = max(16, n // 1_000_000)
+    cols = list(zip(*plan, strict=True)) or [()] * 4
+    made = spark.createDataFrame(pa.table([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.int64())], ["class", "shard", "first", "end"]))
+    parts = 1 + n // 2_000_000
     ranked = numbered(groups, ["class"], F.xxhash64("key"), ["key"], "rank", parts)
     made = F.broadcast(made) if len(plan) <= MOST_PLAN_ROWS else made
     placed = ranked.join(made, "class").where("rank >= first AND rank < end").select("key", "copies", "shard")
     placed = scratch.table(placed, "placed")
     rows = scratch.table(heavy_join(base, placed, ["key"], "copies", n).drop("key", "copies"), "rows")
-    out = numbered(rows, ["shard"], F.xxhash64("doc_id"), ["doc_id", "text_crc32"], "slot", max(32, n // (shards * 100_000)))
+    out = numbered(rows, ["shard"], F.xxhash64("doc_id"), ["doc_id", "text_crc32"], "slot", 16 + n // (shards * 100_000))
     return out.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", F.col("slot").cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"))
