@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from polymetric.llm import bpe, exact_dedup, licenses, quality, secrets, sharding, token_counts
+from polymetric.llm import bpe, exact_dedup, licenses, ngram_join, quality, secrets, sharding, token_counts
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -47,7 +47,11 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(_documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.ngram_join(_documents(spark, sf_dir))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op2_license_scan, op3_secret_scan, op4_quality, op6_sharding, op7_token_counts, op8_exact_dedup, op9_bpe)
+    f.__name__: f for f in (op2_license_scan, op3_secret_scan, op4_quality, op6_sharding, op7_token_counts, op8_exact_dedup, op9_bpe, op10_ngram_join)
 }
 ORACLES = {"op8_exact_dedup": exact_dedup.ORACLE_SQL}
