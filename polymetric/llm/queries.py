@@ -8,13 +8,17 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from polymetric.llm import bpe, exact_dedup, licenses, ngram_join, quality, secrets, sharding, token_counts
+from polymetric.llm import bpe, exact_dedup, licenses, line_dedup, ngram_join, quality, secrets, sharding, token_counts
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.duplicate_lines(_documents(spark, sf_dir))
+
+
 def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents have no paths of their own: one is a file of its source and language, and every 50th is the licence file of its folder of 500."""
     folder = F.concat_ws("/", F.coalesce("source", F.lit("none")), F.coalesce("lang", F.lit("none")), F.floor(F.col("doc_id") / 500).cast("string"))
@@ -52,6 +56,6 @@ def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op2_license_scan, op3_secret_scan, op4_quality, op6_sharding, op7_token_counts, op8_exact_dedup, op9_bpe, op10_ngram_join)
+    f.__name__: f for f in (op1_line_dedup, op2_license_scan, op3_secret_scan, op4_quality, op6_sharding, op7_token_counts, op8_exact_dedup, op9_bpe, op10_ngram_join)
 }
 ORACLES = {"op8_exact_dedup": exact_dedup.ORACLE_SQL}
