@@ -199,3 +199,19 @@ def score_documents(docs: DataFrame, model: Model, id_col: str = "doc_id", text_
 
     held = F.coalesce(F.pmod(F.crc32(F.col(id_col).cast("string")), F.lit(5)) == 0, F.lit(False))
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), held.alias("held_out"), text_col).mapInArrow(run, SCHEMA)
+
+
+def keep_good(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
+    """The rows whose texts reach the threshold, with all their columns: narrow, whatever the ids."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = shared.value
+        if m.name not in _kept:
+            _kept.clear()
+            _kept[m.name] = _Sums(m)
+        for batch in batches:
+            yield batch.filter(pa.array([score(t.as_py() or "", _kept[m.name]) >= m.settings.threshold for t in batch.column(at)], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from polymetric.llm import bpe, exact_dedup, licenses, line_dedup, ngram_join, quality, secrets, sharding, token_counts
+from polymetric.llm import bpe, decontam, exact_dedup, licenses, line_dedup, ngram_join, quality, secrets, sharding, token_counts
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -35,6 +35,10 @@ def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score_documents(docs, quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
+def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.contaminated(_documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def op6_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_by_size(_documents(spark, sf_dir), 40)
 
@@ -56,6 +60,6 @@ def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_line_dedup, op2_license_scan, op3_secret_scan, op4_quality, op6_sharding, op7_token_counts, op8_exact_dedup, op9_bpe, op10_ngram_join)
+    f.__name__: f for f in (op1_line_dedup, op2_license_scan, op3_secret_scan, op4_quality, op5_decontamination, op6_sharding, op7_token_counts, op8_exact_dedup, op9_bpe, op10_ngram_join)
 }
 ORACLES = {"op8_exact_dedup": exact_dedup.ORACLE_SQL}
