@@ -113,6 +113,12 @@ def numbered(df: DataFrame, keys: list[str], spread: Column, order: list[str], n
     return dealt.withColumn("nb_row", within).join(starts, [*keys, "nb_part"]).withColumn(name, F.col("nb_start") + F.col("nb_row") - 1).drop("nb_part", "nb_row", "nb_start")
 
 
+def _stars(edges: DataFrame) -> bool:
+    """Whether every a has one b, which is no a: then the b are the roots."""
+    ends = edges.select(F.col("a").alias("x"), F.lit(1).alias("up"), F.lit(0).alias("under")).unionByName(edges.select(F.col("b").alias("x"), F.lit(0).alias("up"), F.lit(1).alias("under")))
+    return ends.groupBy("x").agg(F.sum("up").alias("up"), F.max("under").alias("under")).where("up > 1 OR up = 1 AND under = 1").isEmpty()
+
+
 def components(edges: DataFrame, scratch: Scratch, tag: str = "cc") -> DataFrame:
     """Distributed union-find: (u, v) long pairs to (node, root), root the least node of its component.
 
@@ -120,19 +126,15 @@ def components(edges: DataFrame, scratch: Scratch, tag: str = "cc") -> DataFrame
     round is a table, so lineage does not grow. Hubs go through :func:`heavy_join`. Nodes that are roots are included.
     """
     oriented = edges.where("u <> v").select(F.greatest("u", "v").alias("a"), F.least("u", "v").alias("b")).distinct()
-    now, before, i = scratch.table(oriented, f"{tag}0"), None, 0
-    while True:
-        mark = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if mark[0] == 0 or tuple(mark) == before:
-            break
-        before = tuple(mark)
+    now, i = scratch.table(oriented, f"{tag}0"), 0
+    while not _stars(now):
+        n = now.count()
         both = now.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(now.select(F.col("b").alias("u"), F.col("a").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).withColumn("m", F.least("u", "m"))
-        large = heavy_join(both, least, ["u"], "n", 2 * mark[0]).where("v > u").select(F.col("v").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        large = heavy_join(both, least, ["u"], "n", 2 * n).where("v > u").select(F.col("v").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         large = scratch.table(large, f"{tag}{i}l")
-        n = large.count()
         under = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n"))
-        small = heavy_join(large, under, ["a"], "n", n).where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(under.select("a", F.col("m").alias("b"))).distinct()
+        small = heavy_join(large, under, ["a"], "n", large.count()).where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(under.select("a", F.col("m").alias("b"))).distinct()
         after = scratch.table(small, f"{tag}{i + 1}")
         scratch.drop(f"{tag}{i}", f"{tag}{i}l")
         now, i = after, i + 1

@@ -51,8 +51,17 @@ def _grams(lines: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return mix(h[ok[: len(h)]]), np.repeat(np.arange(len(lines)), size - K + 1)
 
 
-def shingles(line: str) -> np.ndarray:
-    return np.unique(_grams([line])[0]) if line else np.empty(0, np.uint64)
+def shingle_sets(lines: list[str]) -> list[np.ndarray]:
+    """Sorted distinct shingles of each non-empty line."""
+    if not lines:
+        return []
+    h, line = _grams(lines)
+    order = np.lexsort((h, line))
+    h, line = h[order], line[order]
+    new = np.ones(len(h), bool)
+    new[1:] = (h[1:] != h[:-1]) | (line[1:] != line[:-1])
+    h, line = h[new], line[new]
+    return np.split(h, np.searchsorted(line, np.arange(1, len(lines))))
 
 
 def _probes(bins: int) -> np.ndarray:
@@ -103,13 +112,18 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
                     if h not in seen:
                         seen.add(h)
                         fresh.append((h, line))
-            keys: dict[int, np.ndarray] = {}
-            if fresh:
-                keys = dict(zip((h for h, _ in fresh), band_keys(signatures([x for _, x in fresh], bands * rows), bands, rows), strict=True))
-            lines = [[{"h": h, "h2": h2, "n": n, "bands": keys.pop(h, None)} for _, (h, h2), n in own] for _, _, _, own in docs]
-            kind = pa.list_(pa.struct([("h", pa.int64()), ("h2", pa.int64()), ("n", pa.int32()), ("bands", pa.list_(pa.int64()))]))
+            keys = band_keys(signatures([x for _, x in fresh], bands * rows), bands, rows) if fresh else np.empty((0, bands), np.int64)
+            flat = [x for *_, own in docs for x in own]
+            waiting = {h for h, _ in fresh}
+            has = np.array([h in waiting and not waiting.discard(h) for _, (h, _), _ in flat], bool)
+            at = np.concatenate([[0], np.cumsum(has * bands)])
+            lists = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(keys.ravel()))
+            parts = [pa.array([x[1][0] for x in flat], pa.int64()), pa.array([x[1][1] for x in flat], pa.int64()), pa.array([x[2] for x in flat], pa.int32()), lists]
+            kind = [pa.field("h", pa.int64()), pa.field("h2", pa.int64()), pa.field("n", pa.int32()), pa.field("bands", pa.list_(pa.int64()))]
+            ends = np.concatenate([[0], np.cumsum([len(own) for *_, own in docs])])
+            lines = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.StructArray.from_arrays(parts, fields=kind))
             return pa.RecordBatch.from_arrays(
-                [pa.array([d for d, *_ in docs], pa.int64()), pa.array([n for _, n, _, _ in docs], pa.int32()), pa.array([r for _, _, r, _ in docs], pa.list_(pa.int32())), pa.array(lines, kind)],
+                [pa.array([d for d, *_ in docs], pa.int64()), pa.array([n for _, n, _, _ in docs], pa.int32()), pa.array([r for _, _, r, _ in docs], pa.list_(pa.int32())), lines],
                 ["doc_id", "n_lines", "again", "lines"],
             )
 
@@ -139,7 +153,7 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
     base = scratch.table(whole.mapInArrow(split, "doc_id long, n_lines int, again array<int>, lines array<struct<h:long,h2:long,n:int,bands:array<long>>>"), "lines")
     each = base.select("doc_id", F.explode("lines").alias("l")).select("doc_id", "l.h", "l.h2", "l.n")
     stats = scratch.table(each.groupBy("h", "h2").agg(F.min("doc_id").alias("first"), F.min_by("n", "doc_id").alias("at"), F.count("*").alias("n_rows")), "stats")
-    keyed = base.select(F.explode("lines").alias("l")).select(F.col("l.h").alias("node"), "l.bands").where("bands IS NOT NULL")
+    keyed = base.select(F.explode("lines").alias("l")).select(F.col("l.h").alias("node"), "l.bands").where("size(bands) > 0")
     rough = scratch.table(rough_components(keyed, scratch, "lines"), "rough")
 
     # the candidates' texts: from one document each, which gives all of its candidates
@@ -163,7 +177,7 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
             yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in cols[:4]), pa.array(cols[4], pa.string())], ["node", "root", "members", "copies", "text"])
 
     items = near.join(by_doc, "doc_id").select("text", "want").mapInArrow(cut, "node long, root long, members long, copies long, text string")
-    edges, _ = verified(items, shingles, threshold, scratch, "lines")
+    edges, _ = verified(items, shingle_sets, threshold, scratch, "lines")
     roots = scratch.table(components(edges, scratch, "lines-final"), "final")
 
     # which occurrences go: all but the first of its class, for lines that recur or have near ones

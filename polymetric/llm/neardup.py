@@ -84,7 +84,7 @@ def bucket_edges(keyed: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
     found = scratch.table(rows.mapInArrow(run, "key long, u long, v long, edge boolean"), f"{tag}-links")
     ends = found.where(~F.col("edge")).select("key", "u").distinct()  # two rows a partition at most
     across = ends.join(ends.groupBy("key").agg(F.min("u").alias("v")), "key").where("u <> v").select("u", "v")
-    return found.where("edge").select("u", "v").unionByName(across).distinct()
+    return found.where("edge").select("u", "v").unionByName(across)
 
 
 def rough_components(keyed: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
@@ -95,7 +95,7 @@ def rough_components(keyed: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
     return heavy_join(found, sizes, ["root"], "members", found.count())
 
 
-def verified(items: DataFrame, sets: Callable[[str], np.ndarray], threshold: Fraction, scratch: Scratch, tag: str) -> tuple[DataFrame, DataFrame]:
+def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], threshold: Fraction, scratch: Scratch, tag: str) -> tuple[DataFrame, DataFrame]:
     """Exact verification of rough components.
 
     items: (node, root, members, copies, text), one row a node. Returns (edges (u, v) that join the same nodes as all
@@ -103,15 +103,8 @@ def verified(items: DataFrame, sets: Callable[[str], np.ndarray], threshold: Fra
     """
     num, den = threshold.numerator, threshold.denominator
 
-    def solve(unit: list[tuple]) -> list[tuple[int, int, int]]:
-        """unit: rows (node, block, copies, text) of two blocks, or of one."""
-        seen: dict[int, tuple] = {}
-        for r in unit:
-            seen.setdefault(r[0], r)
-        rows = sorted(seen.values(), key=lambda r: (r[1], r[0]))
-        if len(rows) < 2:
-            return []
-        got = [sets(r[3]) for r in rows]
+    def solve(rows: list[tuple], got: list[np.ndarray]) -> list[tuple[int, int, int]]:
+        """rows: (node, block, copies) of two blocks, or of one, by block; got: their sets."""
         size = np.array([len(g) for g in got])
         low, block = rows[0][1], np.array([r[1] for r in rows])
         cross = block[-1] != low
@@ -136,12 +129,7 @@ def verified(items: DataFrame, sets: Callable[[str], np.ndarray], threshold: Fra
         ok = shared * (num + den) >= num * (size[a][:, None] + size[b][None, :])
         if not cross:
             np.fill_diagonal(ok, False)
-            ok = ok | ok.T if len(rows) == 2 else ok
         copies = np.array([r[2] for r in rows], np.int64)
-        degree = np.zeros(len(rows), np.int64)
-        np.add.at(degree, a, ok @ copies[b])
-        if cross:
-            np.add.at(degree, b, ok.T @ copies[a])
         root = list(range(len(rows)))
 
         def find(i: int) -> int:
@@ -150,6 +138,12 @@ def verified(items: DataFrame, sets: Callable[[str], np.ndarray], threshold: Fra
                 i = root[i]
             return i
 
+        if len(rows) == 2:
+            return [(rows[0][0], rows[0][0], int(copies[1])), (rows[1][0], rows[1][0], int(copies[0])), (rows[0][0], rows[1][0], 0)] if ok[0, -1] else []
+        degree = np.zeros(len(rows), np.int64)
+        np.add.at(degree, a, ok @ copies[b])
+        if cross:
+            np.add.at(degree, b, ok.T @ copies[a])
         out = [(rows[i][0], rows[i][0], int(d)) for i, d in enumerate(degree) if d]
         for p, q in zip(*np.nonzero(ok), strict=True):
             i, j = find(a[p]), find(b[q])
@@ -163,17 +157,23 @@ def verified(items: DataFrame, sets: Callable[[str], np.ndarray], threshold: Fra
             cols = list(zip(*found, strict=True)) or [()] * 3
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["u", "v", "links"])
 
-        key, unit, found = None, [], []
+        def solved(units: list[dict[int, tuple]]) -> pa.RecordBatch:
+            ordered = [sorted(u.values(), key=lambda r: (r[1], r[0])) for u in units if len(u) > 1]
+            got = iter(sets([r[3] for rows in ordered for r in rows]))
+            return told([x for rows in ordered for x in solve(rows, [next(got) for _ in rows])])
+
+        key, units, chars = None, [], 0  # whole units wait until there is enough text to hash at once
         for batch in batches:
             for root, i, j, node, blk, copies, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if (root, i, j) != key:
-                    found += solve(unit)
-                    key, unit = (root, i, j), []
-                    if len(found) > 50_000:
-                        yield told(found)
-                        found = []
-                unit.append((node, blk, copies, text))
-        yield told(found + solve(unit))
+                    if chars > 500_000:
+                        yield solved(units)
+                        units, chars = [], 0
+                    key = (root, i, j)
+                    units.append({})
+                units[-1].setdefault(node, (node, blk, copies, text or ""))
+                chars += len(text or "")
+        yield solved(units)
 
     blocks = F.ceil(F.col("members") / BLOCK).cast("int")
     own = items.select("root", "node", "copies", "text", blocks.alias("nb")).withColumn("blk", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int"))

@@ -100,7 +100,7 @@ def ngram_join(docs: DataFrame, n: int = 5, threshold: Fraction = Fraction(4, 5)
     wanted = rough.join(sets, "node").select("node", "root", "members", "copies", "hi", "lo")
     near = bloom_probe(whole.where("doc_id IS NOT NULL").withColumn("k", F.xxhash64("doc_id")), "k", bloom_words(rough.select(F.xxhash64("node").alias("k")), "k"), "maybe").where("maybe")
     items = near.select(F.col("doc_id").alias("node"), "text").join(wanted, "node")
-    edges, links = verified(items, lambda t: shingles(t, n), threshold, scratch, "docs")
+    edges, links = verified(items, lambda texts: [shingles(t, n) for t in texts], threshold, scratch, "docs")
     roots = components(edges, scratch, "docs-final")
     classes = sets.join(roots, "node", "left").join(links, "node", "left").select("hi", "lo", "copies", F.coalesce("root", "node").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     classes = scratch.table(classes, "classes")
