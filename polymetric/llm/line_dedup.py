@@ -8,6 +8,7 @@ by fixed random probes, so equal sets get equal signatures at one pass over the
 from __future__ import annotations
 
 import hashlib
+import itertools
 from collections.abc import Iterator
 from fractions import Fraction
 
@@ -56,12 +57,14 @@ def shingle_sets(lines: list[str]) -> list[np.ndarray]:
     if not lines:
         return []
     h, line = _grams(lines)
-    order = np.lexsort((h, line))
-    h, line = h[order], line[order]
-    new = np.ones(len(h), bool)
-    new[1:] = (h[1:] != h[:-1]) | (line[1:] != line[:-1])
-    h, line = h[new], line[new]
-    return np.split(h, np.searchsorted(line, np.arange(1, len(lines))))
+    ends = np.searchsorted(line, np.arange(len(lines) + 1)).tolist()
+    out = []
+    for a, b in itertools.pairwise(ends):
+        own = h[a:b]
+        own.sort()
+        again = own[1:] == own[:-1]
+        out.append(own[np.append(True, ~again)] if again.any() else own)
+    return out
 
 
 def _probes(bins: int) -> np.ndarray:
@@ -186,7 +189,7 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
     recurring = named.where("root IS NULL AND n_rows > 1").select("h", "h2", "n_rows", "first", F.col("h").alias("keep_h"))
     nearby = heavy_join(named.where("root IS NOT NULL"), keep.join(roots.groupBy("root").agg(F.count("*").alias("w")), "root"), ["root"], "w", roots.count()).select("h", "h2", "n_rows", F.col("keep.first").alias("first"), F.col("keep.h").alias("keep_h"))
     judged = scratch.table(recurring.unionByName(nearby), "judged")
-    gone = heavy_join(each, judged, ["h", "h2"], "n_rows", max(1, each.count())).where("doc_id <> first OR h <> keep_h").groupBy("doc_id").agg(F.collect_set("n").alias("gone"))
+    gone = heavy_join(each, judged, ["h", "h2"], "n_rows", max(1, stats.agg(F.coalesce(F.sum("n_rows"), F.lit(0))).first()[0])).where("doc_id <> first OR h <> keep_h").groupBy("doc_id").agg(F.collect_set("n").alias("gone"))
     scratch.drop("rough", "lines-roots", "lines-verified")
     empty = F.array().cast("array<int>")
     told = base.select("doc_id", "n_lines", "again").join(gone, "doc_id", "left")

@@ -105,27 +105,32 @@ def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], th
 
     def solve(rows: list[tuple], got: list[np.ndarray]) -> list[tuple[int, int, int]]:
         """rows: (node, block, copies) of two blocks, or of one, by block; got: their sets."""
+        if len(rows) == 2:
+            both = np.concatenate(got)
+            both.sort()
+            n = len(got[0]) + len(got[1])
+            if int(np.count_nonzero(both[1:] == both[:-1])) * (num + den) < num * n:
+                return []
+            (u, _, c, *_), (v, _, d, *_) = rows
+            return [(u, u, d), (v, v, c), (u, v, 0)]
         size = np.array([len(g) for g in got])
         low, block = rows[0][1], np.array([r[1] for r in rows])
         cross = block[-1] != low
         a, b = (np.flatnonzero(block == low), np.flatnonzero(block != low)) if cross else (np.arange(len(rows)),) * 2
         shared = np.zeros((len(a), len(b)), np.int64)
-        if len(rows) == 2:
-            shared[0, -1] = len(np.intersect1d(got[0], got[1], assume_unique=True))
-        else:
-            every = np.concatenate(got)
-            owner = np.repeat(np.arange(len(rows)), size)
-            _, term, n = np.unique(every, return_inverse=True, return_counts=True)
-            keep = n[term] > 1
-            term, owner = term[keep], owner[keep]
-            _, term = np.unique(term, return_inverse=True)
-            order = np.argsort(term, kind="stable")
-            term, owner = term[order], owner[order]
-            for start in range(0, int(term[-1]) + 1 if len(term) else 0, _COLUMNS):
-                lo, hi = np.searchsorted(term, [start, start + _COLUMNS])
-                m = np.zeros((len(rows), _COLUMNS), np.float32)
-                m[owner[lo:hi], term[lo:hi] - start] = 1
-                shared += (m[a] @ m[b].T).astype(np.int64)
+        every = np.concatenate(got)
+        order = np.argsort(every, kind="stable")
+        every, owner = every[order], np.repeat(np.arange(len(rows)), size)[order]
+        new = np.ones(len(every), bool)
+        new[1:] = every[1:] != every[:-1]
+        term = np.cumsum(new) - 1
+        many = np.bincount(term) > 1  # a term of one row adds to no pair
+        owner, term = owner[many[term]], (np.cumsum(many) - 1)[term[many[term]]]
+        for start in range(0, int(term[-1]) + 1 if len(term) else 0, _COLUMNS):
+            lo, hi = np.searchsorted(term, [start, start + _COLUMNS])
+            m = np.zeros((len(rows), min(_COLUMNS, int(term[-1]) + 1 - start)), np.float32)
+            m[owner[lo:hi], term[lo:hi] - start] = 1
+            shared += (m[a] @ m[b].T).astype(np.int64)
         ok = shared * (num + den) >= num * (size[a][:, None] + size[b][None, :])
         if not cross:
             np.fill_diagonal(ok, False)
@@ -138,8 +143,6 @@ def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], th
                 i = root[i]
             return i
 
-        if len(rows) == 2:
-            return [(rows[0][0], rows[0][0], int(copies[1])), (rows[1][0], rows[1][0], int(copies[0])), (rows[0][0], rows[1][0], 0)] if ok[0, -1] else []
         degree = np.zeros(len(rows), np.int64)
         np.add.at(degree, a, ok @ copies[b])
         if cross:
