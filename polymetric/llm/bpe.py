@@ -7,13 +7,14 @@ import hashlib
 import heapq
 import json
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
+from polymetric.llm.common import worker_store
+
 #: Words kept by a worker; the store starts anew when it is full.
 MOST_KEPT = 1_000_000
 #: The pattern that cuts a text into words, as the vocabulary's users publish it.
@@ -105,9 +106,8 @@ class BytePairs:
         return b"".join(map(self.bytes_of.__getitem__, ids.tolist())).decode("utf-8", "replace")
 
 
-@lru_cache(maxsize=2)
 def vocabulary(path: str) -> BytePairs:
-    return BytePairs(path)
+    return worker_store(f"bpe {path}", lambda: BytePairs(path))
 
 
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"

@@ -6,12 +6,15 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Callable
+from typing import TypeVar
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: A key counts as heavy with more than 1/HEAVY of all rows, so there are fewer than HEAVY heavy keys at any size.
 HEAVY = 2000
+T = TypeVar("T")
 _left: list[tuple[SparkSession, str]] = []
 
 
@@ -41,6 +44,18 @@ def _clear() -> None:
             return
 
 
+_store: dict[str, object] = {}
+
+
+def worker_store(name: str, make: Callable[[], T]) -> T:
+    """What a Python worker keeps between batches under a name. A worker keeps one at a time, so stages that follow
+    each other in one worker don't add up."""
+    if name not in _store:
+        _store.clear()
+        _store[name] = make()
+    return _store[name]  # type: ignore[return-value]
+
+
 class Scratch:
     """Tables written once in the shared folder: they cut lineage, survive lost executors and are read by column.
 

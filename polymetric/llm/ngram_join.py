@@ -11,11 +11,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from polymetric.llm.common import Scratch, bloom_probe, bloom_words, components, heavy_join
+from polymetric.llm.common import Scratch, bloom_probe, bloom_words, components, heavy_join, worker_store
 from polymetric.llm.neardup import band_keys, banding, mix, rough_components, verified
 
 #: Words kept by a worker; the store starts anew when it is full.
-MOST_KEPT = 1_000_000
+MOST_KEPT = 400_000
 _FACTOR = np.uint64(0x9DDFEA08EB382D69)
 
 
@@ -29,13 +29,10 @@ class _Hashes(dict):
         return h
 
 
-_hashes = _Hashes()
-
-
 def shingles(text: str, n: int = 5) -> np.ndarray:
     """Sorted distinct 64-bit hashes of a text's n-grams of lower-cased words; a text of fewer words is one n-gram, an empty one has none."""
     words = (text or "").lower().split()
-    w = np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))
+    w = np.fromiter(map(worker_store("words", _Hashes).__getitem__, words), np.uint64, len(words))
     k = min(n, len(w))
     if not k:
         return w

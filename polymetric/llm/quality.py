@@ -18,9 +18,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from polymetric.llm.common import worker_store
+
 #: Word sums kept by a worker; the store starts anew when it is full.
 MOST_KEPT = 800_000
-_kept: dict[str, _Sums] = {}
 
 
 @dataclass(frozen=True)
@@ -186,10 +187,7 @@ def score_documents(docs: DataFrame, model: Model, id_col: str = "doc_id", text_
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        if m.name not in _kept:
-            _kept.clear()
-            _kept[m.name] = _Sums(m)
-        sums = _kept[m.name]
+        sums = worker_store(f"quality {m.name}", lambda: _Sums(m))
         for batch in batches:
             scores = [score(t.as_py() or "", sums) for t in batch.column(2)]
             yield pa.RecordBatch.from_arrays(
@@ -208,10 +206,8 @@ def keep_good(docs: DataFrame, model: Model, text_col: str = "text") -> DataFram
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        if m.name not in _kept:
-            _kept.clear()
-            _kept[m.name] = _Sums(m)
+        sums = worker_store(f"quality {m.name}", lambda: _Sums(m))
         for batch in batches:
-            yield batch.filter(pa.array([score(t.as_py() or "", _kept[m.name]) >= m.settings.threshold for t in batch.column(at)], pa.bool_()))
+            yield batch.filter(pa.array([score(t.as_py() or "", sums) >= m.settings.threshold for t in batch.column(at)], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
