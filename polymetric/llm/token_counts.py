@@ -13,15 +13,16 @@ import math
 import re
 from bisect import bisect_right
 from collections.abc import Iterator
-from functools import lru_cache
 
 import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame
 
+from polymetric.llm.common import worker_store
+
 MARK = "▁"
 #: Segments kept by a worker; the store starts anew when it is full.
-MOST_KEPT = 1_000_000
+MOST_KEPT = 2_000_000
 
 
 class PrefixCounter:
@@ -63,13 +64,17 @@ class PrefixCounter:
 
     def segment(self, s: str) -> list[int]:
         """Token counts of the prefixes of one segment, from the empty one to the whole."""
-        counts, last, pieces, ends = [0], [""], self.pieces, self.ends
+        counts, last, pieces, ends, goes = [0], [""], self.pieces, self.ends, self.goes.get
         for i in range(1, len(s) + 1):
             for n in ends.get(s[i - 1], ()):
-                if n <= i and (t := s[i - n : i]) in pieces and (n == i or not last[i - n] or self._pair(last[i - n], t)):
-                    counts.append(counts[i - n] + 1)
-                    last.append(t)
-                    break
+                if n > i or (t := s[i - n : i]) not in pieces:
+                    continue
+                before = last[i - n]
+                if before and (ok := goes((before, t))) is not True and (ok is False or not self._pair(before, t)):
+                    continue
+                counts.append(counts[i - n] + 1)
+                last.append(t)
+                break
             else:  # bytes of a character without a piece; nothing merges with them
                 counts.append(counts[i - 1] + len(s[i - 1].encode("utf-8", "replace")))
                 last.append("")
@@ -139,9 +144,8 @@ class _Totals(dict):
         return n
 
 
-@lru_cache(maxsize=2)
 def counter(path: str) -> PrefixCounter:
-    return PrefixCounter(path)
+    return worker_store(f"tokens {path}", lambda: PrefixCounter(path))
 
 
 SCHEMA = "doc_id long, n_bytes long, n_tokens long, over_limit boolean, fit_chars long"
