@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from polymetric.llm.common import worker_store
 
 #: Words kept by a worker; the store starts anew when it is full.
-MOST_KEPT = 1_000_000
+MOST_KEPT = 500_000
 #: The pattern that cuts a text into words, as the vocabulary's users publish it.
 WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+")
 
@@ -122,20 +122,22 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = vocabulary(path)
-        for batch in batches:
-            n, shas, texts, lists = [], [], [], []
-            for value in batch.column(1):
-                ids = bpe.encode(value.as_py() or "")
-                n.append(len(ids))
-                shas.append(hashlib.sha256(ids.tobytes()).hexdigest())
-                texts.append(hashlib.sha256(bpe.decode(ids).encode()).hexdigest())
+        for whole in batches:
+            for start in range(0, len(whole), 256):  # a few texts at a time, so the ids of a batch don't add up
+                batch = whole.slice(start, 256)
+                n, shas, texts, lists = [], [], [], []
+                for value in batch.column(1):
+                    ids = bpe.encode(value.as_py() or "")
+                    n.append(len(ids))
+                    shas.append(hashlib.sha256(ids.tobytes()).hexdigest())
+                    texts.append(hashlib.sha256(bpe.decode(ids).encode()).hexdigest())
+                    if with_ids:
+                        lists.append(ids.astype(np.int32))
+                cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(shas, pa.string()), pa.array(texts, pa.string())]
+                names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
                 if with_ids:
-                    lists.append(ids.astype(np.int32))
-            cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(shas, pa.string()), pa.array(texts, pa.string())]
-            names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
-            if with_ids:
-                cols.append(pa.array(lists, pa.list_(pa.int32())))
-                names.append("ids")
-            yield pa.RecordBatch.from_arrays(cols, names)
+                    cols.append(pa.array(lists, pa.list_(pa.int32())))
+                    names.append("ids")
+                yield pa.RecordBatch.from_arrays(cols, names)
 
     return docs.select(id_col, text_col).mapInArrow(run, SCHEMA + (", ids array<int>" if with_ids else ""))

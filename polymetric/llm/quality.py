@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from polymetric.llm.common import worker_store
 
 #: Word sums kept by a worker; the store starts anew when it is full.
-MOST_KEPT = 800_000
+MOST_KEPT = 500_000
 
 
 @dataclass(frozen=True)
