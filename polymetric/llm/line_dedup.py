@@ -24,7 +24,7 @@ from polymetric.llm.neardup import band_keys, banding, mix, rough_components, ve
 K = 8
 _STEP = 0x9DDFEA08EB382D69
 #: Characters that are hashed at once.
-_CHUNK = 1 << 20
+_CHUNK = 1 << 18
 
 
 def normal(line: str) -> str:

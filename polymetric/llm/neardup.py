@@ -169,7 +169,7 @@ def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], th
         for batch in batches:
             for root, i, j, node, blk, copies, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if (root, i, j) != key:
-                    if chars > 500_000:
+                    if chars > 250_000:
                         yield solved(units)
                         units, chars = [], 0
                     key = (root, i, j)
