@@ -9,15 +9,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from polymetric.llm import bpe, decontam, line_dedup, ngram_join, quality
-from polymetric.llm.common import Scratch, bloom_probe, bloom_words
+from polymetric.llm.common import Scratch, bloom_probe, bloom_words, fresh
 
 
 def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
     """The documents whose doc_id isn't among ``ids``: those outside a filter of the ids pass without a shuffle."""
-    gone = ids.select(F.col("doc_id").alias("pl_id")).where("pl_id IS NOT NULL").distinct()
-    probed = bloom_probe(docs.withColumn("pl_k", F.xxhash64("doc_id")), "pl_k", bloom_words(gone.select(F.xxhash64("pl_id").alias("k")), "k"), "pl_maybe")
-    out = probed.where("NOT pl_maybe OR doc_id IS NULL").select(*docs.columns)
-    return out.unionByName(probed.where("pl_maybe AND doc_id IS NOT NULL").join(gone, F.col("doc_id") == F.col("pl_id"), "left_anti").select(*docs.columns))
+    k, maybe, own = (fresh(docs, n) for n in ("pl_k", "pl_maybe", "pl_id"))
+    gone = ids.select(F.col("doc_id").alias(own)).where(F.col(own).isNotNull()).distinct()
+    probed = bloom_probe(docs.withColumn(k, F.xxhash64("doc_id")), k, bloom_words(gone.select(F.xxhash64(own).alias("k")), "k"), maybe)
+    out = probed.where(~F.col(maybe) | F.col("doc_id").isNull()).select(*docs.columns)
+    return out.unionByName(probed.where(F.col(maybe) & F.col("doc_id").isNotNull()).join(gone, F.col("doc_id") == F.col(own), "left_anti").select(*docs.columns))
 
 
 def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -107,10 +107,20 @@ def mask_of(h: Column) -> Column:
     return bit(0).bitwiseOR(bit(6)).bitwiseOR(bit(12)).bitwiseOR(bit(18))
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that ``df`` doesn't have, whatever the case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def bloom_probe(df: DataFrame, key: str, words: DataFrame, flag: str) -> DataFrame:
     """``df`` with a Boolean column: false only where the key is surely not in the filter."""
-    hit = F.col("bf_bits").bitwiseAND(mask_of(F.col(key))) == mask_of(F.col(key))
-    return df.withColumn("bf_word", word_of(F.col(key))).join(F.broadcast(words), "bf_word", "left").withColumn(flag, F.coalesce(hit, F.lit(False))).drop("bf_word", "bf_bits")
+    w, b = fresh(df, "bf_word"), fresh(df, "bf_bits")
+    hit = F.col(b).bitwiseAND(mask_of(F.col(key))) == mask_of(F.col(key))
+    named = words.select(F.col("bf_word").alias(w), F.col("bf_bits").alias(b))
+    return df.withColumn(w, word_of(F.col(key))).join(F.broadcast(named), w, "left").withColumn(flag, F.coalesce(hit, F.lit(False))).drop(w, b)
 
 
 def numbered(df: DataFrame, keys: list[str], spread: Column, order: list[str], name: str, parts: int) -> DataFrame:

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from polymetric.llm.common import Scratch, bloom_probe, bloom_words, components, heavy_join
+from polymetric.llm.common import Scratch, bloom_probe, bloom_words, components, fresh, heavy_join
 from polymetric.llm.neardup import band_keys, banding, mix, rough_components, verified
 
 #: Characters of a shingle.
@@ -199,10 +199,11 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
 
 def without_lines(docs: DataFrame, dropped: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The documents less the lines that :func:`duplicate_lines` names; other columns stay. Documents without such lines aren't shuffled."""
-    gone = dropped.where("n_dropped > 0 AND doc_id IS NOT NULL").select(F.col("doc_id").alias("dl_id"), F.col("dropped").alias("dl_lines")).dropDuplicates(["dl_id"])
-    probed = bloom_probe(docs.withColumn("dl_k", F.xxhash64(F.col(id_col).cast("long"))), "dl_k", bloom_words(gone.select(F.xxhash64("dl_id").alias("k")), "k"), "dl_maybe")
-    same = probed.where(~F.col("dl_maybe") | F.col(id_col).isNull()).select(*docs.columns)
-    met = probed.where(F.col("dl_maybe") & F.col(id_col).isNotNull()).join(gone, F.col(id_col) == F.col("dl_id"), "left")
-    lines = F.filter(F.split(F.col(text_col), "\n", -1), lambda x, i: ~F.array_contains("dl_lines", i))
-    cut = F.when(F.col("dl_id").isNull(), F.col(text_col)).otherwise(F.array_join(lines, "\n"))
+    k, maybe, own, cuts = (fresh(docs, n) for n in ("dl_k", "dl_maybe", "dl_id", "dl_lines"))
+    gone = dropped.where("n_dropped > 0 AND doc_id IS NOT NULL").select(F.col("doc_id").alias(own), F.col("dropped").alias(cuts)).dropDuplicates([own])
+    probed = bloom_probe(docs.withColumn(k, F.xxhash64(F.col(id_col).cast("long"))), k, bloom_words(gone.select(F.xxhash64(own).alias("k")), "k"), maybe)
+    same = probed.where(~F.col(maybe) | F.col(id_col).isNull()).select(*docs.columns)
+    met = probed.where(F.col(maybe) & F.col(id_col).isNotNull()).join(gone, F.col(id_col) == F.col(own), "left")
+    lines = F.filter(F.split(F.col(text_col), "\n", -1), lambda x, i: ~F.array_contains(cuts, i))
+    cut = F.when(F.col(own).isNull(), F.col(text_col)).otherwise(F.array_join(lines, "\n"))
     return same.unionByName(met.withColumn(text_col, cut).select(*docs.columns))
