@@ -11,7 +11,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from polymetric import bounds
-from polymetric.index import MultiMetricIndex, map_to_pivots, range_scan
+from polymetric.index import MultiMetricIndex, range_scan
+from polymetric.updates import updated
 
 if TYPE_CHECKING:
     from polymetric.queries import Setup
@@ -48,23 +49,6 @@ def balance(index: MultiMetricIndex, workers: Sequence[int]) -> DataFrame:
     return index.objects.sparkSession.createDataFrame(rows, "workers int, stddev double")
 
 
-def insert(index: MultiMetricIndex, rows: DataFrame) -> DataFrame:
-    """New rows as objects of the index: mapped, and sent to the leaf whose box is nearest at the first vantages (boxes then widen)."""
-    mapped = map_to_pivots(rows, index.schema, index.pivots)
-    names = index.schema.names
-    far = "+".join(f"greatest(0D, lo_{n} - v_{n}_0, v_{n}_0 - hi_{n}) / {index.sigma[n]!r}D" for n in names)
-    best = mapped.join(F.broadcast(index.leaves)).groupBy(index.schema.oid).agg(F.min_by("leaf_id", F.struct(F.expr(far), "leaf_id")).alias("leaf_id"))
-    return mapped.join(best, index.schema.oid)
-
-
-def updated(index: MultiMetricIndex, gone: DataFrame, new: DataFrame) -> MultiMetricIndex:
-    """The index less the ids in ``gone`` (an anti join; boxes stay valid) and with the rows of ``new`` (boxes recomputed)."""
-    from polymetric.index import leaf_boxes
-
-    objects = index.objects.join(gone.select(index.schema.oid), index.schema.oid, "left_anti").unionByName(insert(index, new).select(index.objects.columns))
-    return MultiMetricIndex(objects, leaf_boxes(objects, index.schema), index.schema, index.sigma, index.pivots)
-
-
 def after_update(s: Setup, mod: int, r: float) -> DataFrame:
     """Deletes the objects with id % mod = 7, inserts them again with a price 1000 higher, and asks for a range."""
     index = s.index()

@@ -97,8 +97,8 @@ for _name in ("rental", "food", "air", "quad", "evt", "tiny"):
     query(f"n1_median_norm_{_name}", f"{duck_norm(_name)} " + " UNION ALL ".join(f"SELECT '{s.name}' AS space, round(s_{s.name}, 6) AS sigma FROM norm" for s in fixtures.schema(_name).spaces))(_norms)
 
 _s4 = fixtures.schema("rental")
-query("n2_median_norm_allpairs", f"WITH f AS (SELECT * FROM ({fixtures.duck_sql('quad')}) WHERE oid < 500) " + " UNION ALL ".join(f"(SELECT '{s.name}' AS space, round(COALESCE(NULLIF(2 * quantile_cont({s.sql('f.' + s.name, 'g.' + s.name, True)}, 0.5), 0), 1.0), 6) AS sigma FROM f, f g)" for s in fixtures.schema("quad").spaces))(
-    lambda spark, d: norm_table(fixtures.load(spark, d, "quad").where("oid < 500"), fixtures.schema("quad"), pairs="all").select("space", F.round("sigma", 6).alias("sigma"))
+query("n2_median_norm_allpairs", f"WITH f AS ({fixtures.duck_sql("quad")}) " + " UNION ALL ".join(f"(SELECT '{s.name}' AS space, round(COALESCE(NULLIF(2 * quantile_cont({s.sql('f.' + s.name, 'g.' + s.name, True)}, 0.5), 0), 1.0), 6) AS sigma FROM f, f g)" for s in fixtures.schema("quad").spaces))(
+    lambda spark, d: norm_table(fixtures.load(spark, d, "quad"), fixtures.schema("quad"), pairs="all").select("space", F.round("sigma", 6).alias("sigma"))
 )
 for _policy, _agg in (("max", "max({0})"), ("mean", "avg({0})"), ("none", "1.0")):
     query(f"n4_norm_policy_{_policy}", f"{duck_norm('rental')} " + " UNION ALL ".join(f"(SELECT '{s.name}' AS space, round({_agg.format(s.sql('f.' + s.name, 'a.' + s.name, True))}, 6) AS sigma FROM f, a" + (" LIMIT 1)" if _policy == "none" else ")") for s in _s4.spaces))(
@@ -144,7 +144,7 @@ for _name in ("rental", "food"):
     query(f"k4_knn_{_name}_mindist", duck_knn(_name, _w, 10))(lambda spark, d, n=_name, w=_w: (lambda s: slim(s.index().knn(s.q, s.w, 10, centre="mindist", seeds=3)))(Setup(spark, d, n, w)))
 query("m3_knn_switched_off_spaces", duck_knn("food", {n: float(i % 2 == 0) for i, n in enumerate(fixtures.schema("food").names)}, 20))(lambda spark, d: (lambda s: slim(s.index().knn(s.q, s.w, 20)))(Setup(spark, d, "food", {n: float(i % 2 == 0) for i, n in enumerate(fixtures.schema("food").names)})))
 
-_BATCH = "oid % 97 = 7 AND oid < 97 * 20"
+_BATCH = "oid % 97 = 7 AND oid < 97 * 30"  # the 30 training queries of the experiment
 _duck_batch = f"{duck_norm('rental')}, p AS (SELECT g.oid AS qid, f.oid, {duck_dist(_s4, skew(_s4), 'f', 'g')} AS dist FROM f, (SELECT * FROM f WHERE {_BATCH}) g, norm)"
 query("q3_range_batch", f"{_duck_batch} SELECT qid, oid, round(dist, 6) AS mm_dist FROM p WHERE dist <= 0.4")(lambda spark, d: (lambda s: range_batch(s.df, s.df.where(_BATCH), s.schema, s.w, 0.4, s.sigma).select("qid", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, "rental", skew(_s4))))
 query("k3_knn_batch", f"{_duck_batch} SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY dist, oid) AS INT) AS rank, oid, round(dist, 6) AS mm_dist FROM p QUALIFY rank <= 50")(lambda spark, d: (lambda s: knn_batch(s.df, s.df.where(_BATCH), s.schema, s.w, 50, s.sigma).select("qid", "rank", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, "rental", skew(_s4))))
