@@ -3,7 +3,15 @@ result where that makes sense, and has one text for both engines."""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from uuid import uuid4
+
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
 from polymetric.fixtures import run_sql
+from polymetric.streaming import shared_folder
 
 #: name -> ANSI text that Spark and DuckDB both run.
 SQL = {
@@ -63,3 +71,93 @@ def duck(text: str) -> str:
 
 QUERIES = {n: (lambda spark, d, t=t: run_sql(spark, d, t)) for n, t in [*SQL.items(), *((n, p[0]) for n, p in PAIRS.items())]}
 ORACLES = {n: duck(t) for n, t in SQL.items()} | {n: p[1] for n, p in PAIRS.items()}
+
+
+# ---- formats, catalog, functions of a user's own ---------------------------------------------------------------------
+def _part(spark: SparkSession, d: str) -> DataFrame:
+    return spark.read.parquet(f"{d}/part.parquet").select("p_partkey", "p_name", "p_size")
+
+
+def _round_trip(kind: str) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        df, folder = _part(spark, d), shared_folder(spark)
+        if kind == "text":
+            df.select(F.to_json(F.struct("*"))).write.text(folder)
+            return spark.read.text(folder).select(F.from_json("value", df.schema).alias("v")).select("v.*")
+        df.write.format(kind).save(folder)
+        return spark.read.schema(df.schema).format(kind).load(folder)
+
+    return run
+
+
+def _catalog(spark: SparkSession, d: str) -> DataFrame:
+    name = f"pm_{uuid4().hex[:8]}"
+    _part(spark, d).createOrReplaceTempView(name)
+    out = spark.table(name).where("p_size > 25")
+    spark.catalog.dropTempView(name)
+    return out
+
+
+def _scalar(spark: SparkSession, d: str) -> DataFrame:
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION pm_gap(a DOUBLE, b DOUBLE) RETURNS DOUBLE RETURN abs(a - b)")
+    return _part(spark, d).select("p_partkey", F.expr("pm_gap(p_size, 25)").alias("d"))
+
+
+def _arrow(spark: SparkSession, d: str) -> DataFrame:
+    @F.pandas_udf("double")
+    def canberra(x: pd.Series, y: pd.Series) -> pd.Series:
+        return ((x - y).abs() / (x.abs() + y.abs())).fillna(0.0)
+
+    return _part(spark, d).select("p_partkey", F.round(canberra(F.col("p_size").cast("double"), F.lit(25.0)), 6).alias("d"))
+
+
+def _mean(spark: SparkSession, d: str) -> DataFrame:
+    @F.pandas_udf("double")
+    def spread(x: pd.Series) -> float:
+        return float(x.max() - x.min())
+
+    return spark.read.parquet(f"{d}/part.parquet").groupBy("p_brand").agg(spread(F.col("p_size").cast("double")).alias("spread"))
+
+
+class _Grams:
+    """Table function: the distinct two-letter pieces of a text."""
+
+    def eval(self, text: str):  # noqa: ANN201
+        for g in sorted({text[i : i + 2] for i in range(len(text) - 1)}):
+            yield (g,)
+
+
+def _table_function(spark: SparkSession, d: str) -> DataFrame:
+    spark.udtf.register("pm_grams", F.udtf(_Grams, returnType="gram string"))
+    return spark.sql("SELECT p_partkey, gram FROM {p}, LATERAL pm_grams(p_name)", p=_part(spark, d))
+
+
+def _grouped(spark: SparkSession, d: str) -> DataFrame:
+    def box(t):  # noqa: ANN001, ANN202
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        return pa.table({"leaf": [t["leaf"][0].as_py()], "lo": [pc.min(t["p_size"]).as_py()], "hi": [pc.max(t["p_size"]).as_py()]}, schema=pa.schema([("leaf", pa.int64()), ("lo", pa.int64()), ("hi", pa.int64())]))
+
+    return _part(spark, d).select((F.col("p_partkey") % 8).alias("leaf"), F.col("p_size").cast("long").alias("p_size")).groupBy("leaf").applyInArrow(box, "leaf long, lo long, hi long")
+
+
+_P = "SELECT p_partkey, p_name, p_size FROM part"
+for _kind in ("csv", "json", "orc", "text"):
+    QUERIES[f"o2_scan_{_kind}"], ORACLES[f"o2_scan_{_kind}"] = _round_trip(_kind), _P
+for _name, _run, _text in (
+    ("o3_scan_catalog", _catalog, f"{_P} WHERE p_size > 25"),
+    ("u1_udf_scalar", _scalar, "SELECT p_partkey, abs(CAST(p_size AS DOUBLE) - 25) AS d FROM part"),
+    ("u2_d9_udf_arrow_custom_metric", _arrow, "SELECT p_partkey, round(abs(CAST(p_size AS DOUBLE) - 25) / (p_size + 25), 6) AS d FROM part"),
+    ("u3_udaf", _mean, "SELECT p_brand, CAST(max(p_size) - min(p_size) AS DOUBLE) AS spread FROM part GROUP BY p_brand"),
+    ("u4_udtf", _table_function, "SELECT DISTINCT p_partkey, substr(p_name, CAST(i AS INT), 2) AS gram FROM part, range(1, 200) g(i) WHERE i < length(p_name)"),
+    ("u5_grouped_map", _grouped, "SELECT p_partkey % 8 AS leaf, CAST(min(p_size) AS BIGINT) AS lo, CAST(max(p_size) AS BIGINT) AS hi FROM part GROUP BY 1"),
+):
+    QUERIES[_name], ORACLES[_name] = _run, _text
+for _name, (_text, _other) in {
+    "o15_join_lateral": ("SELECT n_nationkey, c_custkey FROM nation, LATERAL (SELECT c_custkey FROM customer WHERE c_nationkey = n_nationkey ORDER BY c_acctbal DESC, c_custkey LIMIT 2) t",) * 2,
+    "o17_approx_distinct": ("SELECT p_type, approx_count_distinct(p_brand) > 0 AS some FROM part GROUP BY p_type",) * 2,
+    "f5_maps": ("SELECT p_partkey, map_from_arrays(array('a', 'b'), array(p_size, p_size * 2))['b'] AS twice, size(map_keys(map('x', p_size))) AS n FROM part", "SELECT p_partkey, p_size * 2 AS twice, CAST(1 AS INT) AS n FROM part"),
+}.items():
+    QUERIES[_name], ORACLES[_name] = (lambda spark, d, t=_text: run_sql(spark, d, t)), _other
+QUERIES["f8_hash"] = lambda spark, d: _part(spark, d).select("p_partkey", F.xxhash64("p_name").alias("h64"), F.crc32(F.col("p_name").cast("binary")).alias("crc"))
