@@ -49,6 +49,10 @@ def _meet(index: MultiMetricIndex, routed: DataFrame, w: Mapping[str, float]) ->
     for s in schema.active(w):
         each = [f"abs(v_{s.name}_{j} - a_{s.name}_{j})" for j in range(len(index.pivots[s.name]))]
         lows.append(f"{w[s.name]!r}D * {each[0] if len(each) == 1 else 'greatest(' + ', '.join(each) + ')'} / {index.sigma[s.name]!r}D")
+    parts = int(objects.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    if sum(b["n_objects"] for b in index.boxes) <= BUCKET_ROWS * parts:
+        # little input but many pairs: a set number of partitions isn't merged for its small size; larger inputs are left to the skew join
+        objects, spread = objects.repartition(parts, "leaf_id", "o_bucket"), spread.repartition(parts, "q_leaf", "bucket")
     near = objects.join(spread, F.expr(f"leaf_id = q_leaf AND o_bucket = bucket AND {' + '.join(lows)} <= radius + {SLACK!r}D"))
     return near.withColumn("dist", F.expr(mm_distance(schema, None, w, index.sigma))).where("dist <= radius")
 
