@@ -1,7 +1,7 @@
 """A saved index as a data source: ``spark.read.format("polymetric").load(path)``.
 
-Each Parquet file of a leaf is a partition of the scan; equality and IN filters on leaf_id leave the other leaves' files
-unread (with ``spark.sql.python.filterPushdown.enabled``). The path must be visible to all executors. The plain Parquet
+Each Parquet file of a leaf is a partition of the scan. Option ``leaves`` (ids with commas) leaves the other leaves' files
+unread; option ``pushdown`` true takes them from the plan's filters and needs ``spark.sql.python.filterPushdown.enabled``. The path must be visible to all executors. The plain Parquet
 reader prunes the same way and stays in the JVM; this one serves readers that know only a format's name.
 """
 
@@ -36,7 +36,8 @@ class IndexSource(DataSource):
         return from_arrow_schema(pq.read_schema(files[0])).add("leaf_id", IntegerType())
 
     def reader(self, schema) -> DataSourceReader:  # noqa: ANN001
-        return IndexReader(self.options["path"], schema)
+        kind = PushingReader if self.options.get("pushdown", "false").lower() == "true" else IndexReader
+        return kind(self.options["path"], schema, self.options.get("leaves"))
 
 
 def _files(path: str) -> list[str]:
@@ -44,16 +45,9 @@ def _files(path: str) -> list[str]:
 
 
 class IndexReader(DataSourceReader):
-    def __init__(self, path: str, schema):  # noqa: ANN001
-        self.path, self.names, self.leaves = path, [f.name for f in schema.fields], None
-
-    def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:  # noqa: N802
-        for f in filters:
-            wanted = {f.value} if isinstance(f, EqualTo) and f.attribute == ("leaf_id",) else set(f.value) if isinstance(f, In) and f.attribute == ("leaf_id",) else None
-            if wanted is None:
-                yield f
-            else:
-                self.leaves = wanted if self.leaves is None else self.leaves & wanted
+    def __init__(self, path: str, schema, leaves: str | None = None):  # noqa: ANN001
+        self.path, self.names = path, [f.name for f in schema.fields]
+        self.leaves = None if leaves is None else {int(x) for x in leaves.split(",") if x}
 
     def partitions(self) -> list[LeafFile]:
         each = [LeafFile(p, int(p.split("leaf_id=")[1].split("/")[0])) for p in _files(self.path)]
@@ -68,5 +62,17 @@ class IndexReader(DataSourceReader):
                 yield batch.append_column("leaf_id", pa.array([partition.leaf] * len(batch), pa.int32()))
 
 
+class PushingReader(IndexReader):
+    """Also takes filters on leaf_id from the plan; Spark refuses it while the setting is off."""
+
+    def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:  # noqa: N802
+        for f in filters:
+            wanted = {f.value} if isinstance(f, EqualTo) and f.attribute == ("leaf_id",) else set(f.value) if isinstance(f, In) and f.attribute == ("leaf_id",) else None
+            if wanted is None:
+                yield f
+            else:
+                self.leaves = wanted if self.leaves is None else self.leaves & wanted
+
+
 def register(spark: SparkSession) -> None:
     spark.dataSource.register(IndexSource)

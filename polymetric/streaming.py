@@ -71,9 +71,9 @@ def best_of(found: DataFrame, k: int) -> DataFrame:
 
 
 def session_distance(stream: DataFrame, schema: MultiMetricSchema, q: Mapping[str, Any], w: Mapping[str, float], sigma: Mapping[str, float], key: str = "user_id", ts: str = "ts", gap: str = "1 hour", delay: str = "1 hour") -> DataFrame:
-    """(key, start, n, mean distance) of sessions."""
+    """(key, start, n, mean_dist, total) of sessions; total is the sum in billionths, the same in any order of rows."""
     scored = stream.withColumn("dist", F.expr(mm_distance(schema, q, w, sigma))).withWatermark(ts, delay)
-    return scored.groupBy(key, F.session_window(ts, gap).alias("s")).agg(F.count("*").alias("n"), F.avg("dist").alias("mean_dist")).select(key, F.col("s.start").alias("start"), "n", "mean_dist")
+    return scored.groupBy(key, F.session_window(ts, gap).alias("s")).agg(F.count("*").alias("n"), F.avg("dist").alias("mean_dist"), F.sum(F.round(F.col("dist") * 1e9).cast("long")).alias("total")).select(key, F.col("s.start").alias("start"), "n", "mean_dist", "total")
 
 
 def deduplicated(stream: DataFrame, oid: str = "oid", ts: str = "ts", delay: str = "1 hour") -> DataFrame:
