@@ -12,16 +12,15 @@ from pyspark.sql import functions as F
 from polymetric import baselines, batch, fixtures, local_index, measures, sources, streaming, tuning, updates, weights
 from polymetric.index import knn_scan, range_scan, select_pivots
 from polymetric.normalize import norm_table
-from polymetric.queries import _BATCH, ONES, QID, Setup, duck_dist, duck_knn, duck_norm, duck_range, duck_scan, query, skew, slim
+from polymetric.queries import _BATCH, ASK, ONES, QID, Setup, duck_dist, duck_knn, duck_norm, duck_range, duck_scan, query, skew, slim
 from polymetric.spaces import MultiMetricSchema
 
 _RENTAL, _FOOD, _QUAD, _EVT = (fixtures.schema(n) for n in ("rental", "food", "quad", "evt"))
 
 # ---- batches and joins: every row whose id is divisible by 20 asks, against all rows --------------------------------
-_ASK = "oid % 20 = 0"
 
 
-def _duck_asked(name: str, w: Mapping[str, float], ask: str = _ASK) -> str:
+def _duck_asked(name: str, w: Mapping[str, float], ask: str = ASK) -> str:
     return f"{duck_norm(name)}, p AS (SELECT g.oid AS qid, f.oid, {duck_dist(fixtures.schema(name), w, 'f', 'g')} AS dist FROM f, (SELECT * FROM f WHERE {ask}) g, norm)"
 
 
@@ -32,8 +31,8 @@ def _ranked(df: DataFrame) -> DataFrame:
 _TOP10 = "SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY dist, oid) AS INT) AS rank, oid, round(dist, 6) AS mm_dist FROM p QUALIFY rank <= 10"
 for _name, _r in (("rental", 0.3), ("food", 0.8)):
     _w = skew(fixtures.schema(_name))
-    query(f"q3_range_batch_indexed_{_name}", f"{_duck_asked(_name, _w)} SELECT qid, oid, round(dist, 6) AS mm_dist FROM p WHERE dist <= {_r}")(lambda spark, d, n=_name, w=_w, r=_r: (lambda s: batch.range_queries(s.index(), s.df.where(_ASK), s.w, r).select("qid", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, n, w)))
-    query(f"k3_knn_batch_indexed_{_name}", f"{_duck_asked(_name, _w)} {_TOP10}")(lambda spark, d, n=_name, w=_w: (lambda s: _ranked(batch.knn_queries(s.index(), s.df.where(_ASK), s.w, 10)))(Setup(spark, d, n, w)))
+    query(f"q3_range_batch_indexed_{_name}", f"{_duck_asked(_name, _w)} SELECT qid, oid, round(dist, 6) AS mm_dist FROM p WHERE dist <= {_r}")(lambda spark, d, n=_name, w=_w, r=_r: (lambda s: batch.range_queries(s.index(), s.df.where(ASK), s.w, r).select("qid", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, n, w)))
+    query(f"k3_knn_batch_indexed_{_name}", f"{_duck_asked(_name, _w)} {_TOP10}")(lambda spark, d, n=_name, w=_w: (lambda s: _ranked(batch.knn_queries(s.index(), s.df.where(ASK), s.w, 10)))(Setup(spark, d, n, w)))
 query("k6_knn_join", f"{_duck_asked('quad', ONES['quad'], 'true')} {_TOP10}")(lambda spark, d: (lambda s: _ranked(batch.knn_queries(s.index(), s.df, s.w, 10)))(Setup(spark, d, "quad")))
 
 

@@ -55,3 +55,12 @@ def test_late_rows_are_dropped_and_windows_close_once(spark, tmp_path):
     found = streaming.landed(streaming.window_topk(stream, schema, {"v": 0.0}, {"v": 1.0}, 2, {"v": 1.0}))
     best = streaming.best_of(found, 2).orderBy("w_start", "rank").collect()
     assert [r["oid"] for r in best] == [1, 2, 5, 3]  # 4 came behind the watermark; the window of 6 is still open
+
+
+def test_a_grid_of_blocks_and_strips_pairs_every_query_with_every_row_once(spark, monkeypatch):
+    df = spark.createDataFrame(ROWS, "oid long, a double, t string")
+    few = sorted((r["qid"], r["oid"], r["dist"]) for r in queries.paired(df, df, SCHEMA, ONES, SIGMA).collect())
+    for name, n in (("FEW_QUERIES", 7), ("STRIP_ROWS", 11)):
+        monkeypatch.setattr(f"polymetric.index.{name}", n)
+    assert sorted((r["qid"], r["oid"], r["dist"]) for r in queries.paired(df, df, SCHEMA, ONES, SIGMA).collect()) == few
+    assert queries.paired(df.where("oid < 0"), df, SCHEMA, ONES, SIGMA).count() == 0
