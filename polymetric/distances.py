@@ -5,8 +5,14 @@ from __future__ import annotations
 import math
 from collections.abc import Callable
 
+import pandas as pd
+from pyspark.sql import SparkSession
+from pyspark.sql import functions as F
+
 #: Vectors up to this width are written out term by term, which stays inside whole-stage codegen.
 UNROLL = 16
+#: As the width of an edit space: texts of whole documents, compared by ``pm_edit`` (64 cells of the table a step) instead of cell by cell.
+LONG = 1 << 16
 
 
 def _vector(a: str, b: str, term: str, total: str, width: int | None, duck: bool) -> str:
@@ -30,7 +36,7 @@ def l2_vector(a: str, b: str, width: int | None = None, duck: bool = False) -> s
 
 
 def edit(a: str, b: str, width: int | None = None, duck: bool = False) -> str:
-    return f"CAST(levenshtein({a}, {b}) AS DOUBLE)"
+    return f"pm_edit({a}, {b})" if width == LONG and not duck else f"CAST(levenshtein({a}, {b}) AS DOUBLE)"
 
 
 def edit_capped(a: str, b: str, cap: str) -> str:
@@ -64,12 +70,33 @@ def angular(a: str, b: str, width: int | None = None, duck: bool = False) -> str
 
 
 def _levenshtein(a: str, b: str) -> float:
-    row = list(range(len(b) + 1))
-    for i, x in enumerate(a, 1):
-        left, row[0] = row[0], i
-        for j, y in enumerate(b, 1):
-            left, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, left + (x != y))
-    return float(row[-1])
+    """Exact, by columns of the table as two whole numbers: where it rises and where it falls by one from row to row."""
+    if len(a) < len(b):
+        a, b = b, a
+    if not b or a == b:
+        return 0.0 if a == b else float(len(a))
+    full = (1 << len(a)) - 1
+    letters = {ord(c): "0" for c in set(a)}
+    at = {c: int(a[::-1].translate(letters | {ord(c): "1"}), 2) for c in set(a) & set(b)}
+    up, down = full, 0
+    for c in b:
+        same = at.get(c, 0)
+        stay = same | down
+        cross = (((same & up) + up) ^ up) | same
+        rise, fall = down | (full & ~(cross | up)), up & cross
+        rise, fall = (rise << 1) | 1, fall << 1
+        up, down = (fall | ~(stay | rise)) & full, rise & stay & full
+    return float(len(b) + up.bit_count() - down.bit_count())
+
+
+def register_edit(spark: SparkSession) -> None:
+    """Makes ``pm_edit`` known to the session, for spaces of LONG texts."""
+
+    @F.pandas_udf("double")
+    def pm_edit(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([None if x is None or y is None else _levenshtein(x, y) for x, y in zip(a, b, strict=True)], dtype="float64")
+
+    spark.udf.register("pm_edit", pm_edit)
 
 
 KINDS: dict[str, Callable[..., str]] = {"l1": l1, "l1v": l1_vector, "l2v": l2_vector, "edit": edit, "discrete": discrete, "linf": linf, "hamming": hamming, "jaccard": jaccard, "angular": angular}

@@ -8,6 +8,7 @@ from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 
+from polymetric.distances import LONG, register_edit
 from polymetric.spaces import MultiMetricSchema
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -30,8 +31,8 @@ class Dialect:
     def array(self, *items: str) -> str:
         return f"[{', '.join(items)}]" if self.duck else f"array({', '.join(items)})"
 
-    def ascii(self, c: str, n: int) -> str:
-        return f"substr(trim(regexp_replace(lower({c}), '[^a-z]+', ' '{', ' + chr(39) + 'g' + chr(39) if self.duck else ''})), 1, {n})"
+    def ascii(self, c: str) -> str:
+        return f"trim(regexp_replace(lower({c}), '[^a-z]+', ' '{', ' + chr(39) + 'g' + chr(39) if self.duck else ''}))"
 
     def number(self, c: str) -> str:
         return f"CAST({c} AS DOUBLE)"
@@ -82,7 +83,7 @@ def _place(d: Dialect, key: str) -> str:
 
 
 def _syn50(d: Dialect) -> str:
-    return f"""SELECT doc_id AS oid, {_place(d, 'doc_id')} AS loc, {d.ascii('text', 24)} AS words, vec AS picture,
+    return f"""SELECT doc_id AS oid, {_place(d, 'doc_id')} AS loc, {d.ascii('text')} AS words, vec AS picture,
         {', '.join(f"{d.feature('doc_id', i + 1)} AS f{i}" for i in range(1, 48))}
     FROM documents JOIN {_vec(d, 'doc_id')}"""
 
@@ -94,7 +95,7 @@ def _syn96(d: Dialect) -> str:
 
 
 def _quad(d: Dialect) -> str:
-    return f"""SELECT d.doc_id AS oid, vec AS picture, {d.ascii('text', 40)} AS report, {d.number('n_chars')} AS len, {d.number('quality')} AS score
+    return f"""SELECT d.doc_id AS oid, vec AS picture, {d.ascii('text')} AS report, {d.number('n_chars')} AS len, {d.number('quality')} AS score
     FROM documents d JOIN labels l ON d.doc_id = l.doc_id JOIN {_vec(d, 'd.doc_id')}"""
 
 
@@ -115,9 +116,9 @@ FIXTURES = {
     "rental": (_rental, _S(("price", "l1"), ("size", "l1v", 2), ("loc", "l2v", 2), ("listed", "l1"), ("review", "edit"))),
     "air": (_air, _S(*((f"x{i}", "l1") for i in range(1, 14)))),
     "food": (_food, _S(*((c, "l1") for c in ("n_add", "energy", "salt", "fat", "sugar", "protein")), ("category", "edit"), ("labels", "edit"), ("picture", "l1v", 64))),
-    "syn50": (_syn50, _S(("loc", "l2v", 2), ("words", "edit"), ("picture", "l1v", 64), *((f"f{i}", "l1") for i in range(1, 48)))),
+    "syn50": (_syn50, _S(("loc", "l2v", 2), ("words", "edit", LONG), ("picture", "l1v", 64), *((f"f{i}", "l1") for i in range(1, 48)))),
     "syn96": (_syn96, _S(("loc", "l2v", 2), ("words", "edit"), ("picture", "l1v", 64), *((f"s{i}", "l1v", 4) for i in range(1, 9)), *((f"t{i}", "l1v", 8) for i in range(1, 5)), *((f"f{i}", "l1") for i in range(1, 82)))),
-    "quad": (_quad, _S(("picture", "l1v", 64), ("report", "edit"), ("len", "l1"), ("score", "l1"))),
+    "quad": (_quad, _S(("picture", "l1v", 64), ("report", "edit", LONG), ("len", "l1"), ("score", "l1"))),
     "evt": (_evt, _S(("value", "l1"), ("at", "l1"), ("kind", "edit"), ("k", "l1"))),
     "tiny": (_tiny, _S(("picture", "l1v", 3), ("loc", "l2v", 2), ("review", "edit"))),
 }
@@ -144,4 +145,8 @@ def run_sql(spark: SparkSession, sf_dir: str, text: str, **frames: DataFrame) ->
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     n = spark.read.parquet(f"{sf_dir}/embeddings.parquet").count() if name in ("food", "syn50", "syn96", "quad") else 0
-    return run_sql(spark, sf_dir, FIXTURES[name][0](Dialect(False, str(n))))
+    df = run_sql(spark, sf_dir, FIXTURES[name][0](Dialect(False, str(n))))
+    if not any(s.width == LONG for s in schema(name).spaces):
+        return df
+    register_edit(spark)
+    return df.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "oid")  # few rows of long texts have few splits, but much work

@@ -120,3 +120,20 @@ def test_tuning_gains_on_a_counted_cost(method):
     env = tuning.TuningEnv(knobs, lambda k: 10.0 + (k["a"] - 7) ** 2 + (k["b"] - 1) ** 2)
     log = tuning.tune(env, 50, method=method)
     assert len(log) == 50 and log[-1]["best"] <= 0.85 * env.start
+
+
+def test_edit_distance_reads_whole_texts(spark):
+    rng = random.Random(5)
+    for _ in range(200):
+        a, b = ("".join(rng.choice("abc ") for _ in range(rng.randrange(90))) for _ in "ab")
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            left, row[0] = row[0], i
+            for j, y in enumerate(b, 1):
+                left, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, left + (x != y))
+        assert distances.TWINS["edit"](a, b) == row[-1]
+    for name, column in (("quad", "report"), ("syn50", "words")):
+        df, space = fixtures.load(spark, SF, name), next(s for s in fixtures.schema(name).spaces if s.name == column)
+        assert df.selectExpr(f"max(length({column}))").first()[0] > 1000
+        got = df.limit(8).selectExpr(f"{space.sql(column, repr('same opening of two reports'))} AS d", column).collect()
+        assert all(r["d"] == distances.TWINS["edit"](r[column], "same opening of two reports") for r in got)
