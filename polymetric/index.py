@@ -194,24 +194,27 @@ def knn_scan(df: DataFrame, schema: MultiMetricSchema, q: Mapping[str, Any], w:
     return df.withColumn("dist", F.expr(mm_distance(schema, q, w, sigma))).orderBy("dist", schema.oid).limit(k)
 
 
-def paired(df: DataFrame, queries: DataFrame, schema: MultiMetricSchema, w: Mapping[str, float], sigma: Mapping[str, float]) -> DataFrame:
-    """(qid, oid, dist) of a stated query set against all rows. Few queries are broadcast; more meet the rows in a grid of
+def met(df: DataFrame, queries: DataFrame, schema: MultiMetricSchema) -> DataFrame:
+    """(qid, q_<space>) of a stated query set beside all rows (oid, <space>). Few queries are broadcast; more meet the rows in a grid of
     (block of queries, strip of rows) cells, so no cell and no broadcast grows with the data."""
     qs = queries.select(F.col(schema.oid).alias("qid"), *(F.col(n).alias(f"q_{n}") for n in schema.names))
-    dist = F.expr(mm_distance(schema, None, w, sigma))
     n_queries = queries.count()
     rows, oid = df.select(schema.oid, *schema.names), schema.oid
     n_rows, parts = rows.count(), int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     if n_queries <= FEW_QUERIES:
         spread = rows.repartition(parts, oid) if n_rows <= STRIP_ROWS * parts else rows  # a small input has few splits, but many pairs
-        return spread.join(F.broadcast(qs)).withColumn("dist", dist)
+        return spread.join(F.broadcast(qs))
     blocks, strips = -(-n_queries // FEW_QUERIES), max(1, -(-n_rows // STRIP_ROWS))
     grid = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
     dealt = rows.withColumn("strip", F.expr(f"pmod(xxhash64({oid}), {strips})").cast("int")).withColumn("block", grid(blocks))
     asked = qs.withColumn("block", F.expr(f"pmod(xxhash64(qid), {blocks})").cast("int")).withColumn("strip", grid(strips))
     parts = max(parts, min(blocks * strips, MOST_CELLS))
-    met = dealt.repartition(parts, "block", "strip").join(asked.repartition(parts, "block", "strip").hint("shuffle_hash"), ["block", "strip"])
-    return met.withColumn("dist", dist).drop("block", "strip")
+    return dealt.repartition(parts, "block", "strip").join(asked.repartition(parts, "block", "strip").hint("shuffle_hash"), ["block", "strip"]).drop("block", "strip")
+
+
+def paired(df: DataFrame, queries: DataFrame, schema: MultiMetricSchema, w: Mapping[str, float], sigma: Mapping[str, float]) -> DataFrame:
+    """(qid, oid, dist) of a stated query set against all rows, dealt by ``met``."""
+    return met(df, queries, schema).withColumn("dist", F.expr(mm_distance(schema, None, w, sigma)))
 
 
 def range_batch(df: DataFrame, queries: DataFrame, schema: MultiMetricSchema, w: Mapping[str, float], r: float, sigma: Mapping[str, float]) -> DataFrame:

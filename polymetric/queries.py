@@ -145,13 +145,13 @@ for _name in ("rental", "food"):
 query("m3_knn_switched_off_spaces", duck_knn("food", {n: float(i % 2 == 0) for i, n in enumerate(fixtures.schema("food").names)}, 20))(lambda spark, d: (lambda s: slim(s.index().knn(s.q, s.w, 20)))(Setup(spark, d, "food", {n: float(i % 2 == 0) for i, n in enumerate(fixtures.schema("food").names)})))
 
 _BATCH = "oid % 97 = 7 AND oid < 97 * 30"  # the 30 training queries of the experiment
-#: Searches are asked by every row whose id is divisible by 20.
+#: Searches, distances and recalls are asked by every row whose id is divisible by 20.
 ASK = "oid % 20 = 0"
-_duck_batch, _duck_asked = (f"{duck_norm('rental')}, p AS (SELECT g.oid AS qid, f.oid, {duck_dist(_s4, skew(_s4), 'f', 'g')} AS dist FROM f, (SELECT * FROM f WHERE {_ids}) g, norm)" for _ids in (_BATCH, ASK))
+_duck_asked = f"{duck_norm('rental')}, p AS (SELECT g.oid AS qid, f.oid, {duck_dist(_s4, skew(_s4), 'f', 'g')} AS dist FROM f, (SELECT * FROM f WHERE {ASK}) g, norm)"
 query("q3_range_batch", f"{_duck_asked} SELECT qid, oid, round(dist, 6) AS mm_dist FROM p WHERE dist <= 0.4")(lambda spark, d: (lambda s: range_batch(s.df, s.df.where(ASK), s.schema, s.w, 0.4, s.sigma).select("qid", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, "rental", skew(_s4))))
 query("k3_knn_batch", f"{_duck_asked} SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY dist, oid) AS INT) AS rank, oid, round(dist, 6) AS mm_dist FROM p QUALIFY rank <= 50")(lambda spark, d: (lambda s: knn_batch(s.df, s.df.where(ASK), s.schema, s.w, 50, s.sigma).select("qid", "rank", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, "rental", skew(_s4))))
-query("q4_radius_for_share", f"{_duck_batch} SELECT qid, " + ", ".join(f"round(quantile_cont(dist, {x / 100}), 6) AS r{x}" for x in (1, 2, 4, 8, 16)) + " FROM p GROUP BY qid")(lambda spark, d: (lambda s: paired(s.df, s.df.where(_BATCH), s.schema, s.w, s.sigma).groupBy("qid").agg(*(F.round(F.percentile("dist", F.lit(x / 100)), 6).alias(f"r{x}") for x in (1, 2, 4, 8, 16))))(Setup(spark, d, "rental", skew(_s4))))
-query("m2_distance_pairs", f"{duck_norm('rental')} SELECT g.oid AS qid, f.oid, " + ", ".join(f"round({s.sql('f.' + s.name, 'g.' + s.name, True)} / s_{s.name}, 6) AS d_{s.name}" for s in _s4.spaces) + f" FROM f, (SELECT * FROM f WHERE {_BATCH}) g, norm")(lambda spark, d: (lambda s: weights.cache_distances(s.df, s.df.where(_BATCH), s.schema, s.sigma).select("qid", "oid", *(F.round(f"d_{n}", 6).alias(f"d_{n}") for n in s.schema.names)))(Setup(spark, d, "rental")))
+query("q4_radius_for_share", f"{_duck_asked} SELECT qid, " + ", ".join(f"round(quantile_cont(dist, {x / 100}), 6) AS r{x}" for x in (1, 2, 4, 8, 16)) + " FROM p GROUP BY qid")(lambda spark, d: (lambda s: paired(s.df, s.df.where(ASK), s.schema, s.w, s.sigma).groupBy("qid").agg(*(F.round(F.percentile("dist", F.lit(x / 100)), 6).alias(f"r{x}") for x in (1, 2, 4, 8, 16))))(Setup(spark, d, "rental", skew(_s4))))
+query("m2_distance_pairs", f"{duck_norm('rental')} SELECT g.oid AS qid, f.oid, " + ", ".join(f"round({s.sql('f.' + s.name, 'g.' + s.name, True)} / s_{s.name}, 6) AS d_{s.name}" for s in _s4.spaces) + f" FROM f, (SELECT * FROM f WHERE {ASK}) g, norm")(lambda spark, d: (lambda s: weights.cache_distances(s.df, s.df.where(ASK), s.schema, s.sigma).select("qid", "oid", *(F.round(f"d_{n}", 6).alias(f"d_{n}") for n in s.schema.names)))(Setup(spark, d, "rental")))
 
 # ---- pivots and bounds -------------------------------------------------------------------------------------------
 query("g1_pivot_farthest", f"WITH f AS ({fixtures.duck_sql('rental')}), o AS (SELECT * FROM f ORDER BY oid LIMIT 1) " + " UNION ALL ".join(f"SELECT * FROM (SELECT '{s.name}' AS space, f.oid FROM f, o ORDER BY round({s.sql('f.' + s.name, 'o.' + s.name, True)}, 9) DESC, f.oid LIMIT 1)" for s in _s4.spaces))(

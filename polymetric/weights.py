@@ -8,13 +8,13 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from polymetric.index import met
 from polymetric.spaces import MultiMetricSchema
 
 
 def cache_distances(df: DataFrame, queries: DataFrame, schema: MultiMetricSchema, sigma: Mapping[str, float]) -> DataFrame:
-    """(qid, oid, d_<space>): distances don't depend on weights, so each iteration only re-ranks. The queries are a stated, broadcast set."""
-    qs = F.broadcast(queries.select(F.col(schema.oid).alias("qid"), *(F.col(n).alias(f"q_{n}") for n in schema.names)))
-    return df.join(qs).select("qid", schema.oid, *(F.expr(f"{s.sql(s.name, f'q_{s.name}')} / {sigma[s.name]!r}D").alias(f"d_{s.name}") for s in schema.spaces))
+    """(qid, oid, d_<space>): distances don't depend on weights, so each iteration only re-ranks. Query sets may grow with the rows (``met``)."""
+    return met(df, queries, schema).select("qid", schema.oid, *(F.expr(f"{s.sql(s.name, f'q_{s.name}')} / {sigma[s.name]!r}D").alias(f"d_{s.name}") for s in schema.spaces))
 
 
 def retrieve(cache: DataFrame, schema: MultiMetricSchema, w: Mapping[str, float], k: int) -> DataFrame:

@@ -205,7 +205,7 @@ def _merge_lists(cache: DataFrame, schema: MultiMetricSchema, most: int) -> Data
 
 
 _D = " + ".join(f"{x!r} * d_{n}" for n, x in skew(_RENTAL).items())
-_VM = f"""{duck_norm('rental')}, c AS (SELECT g.oid AS qid, f.oid, {', '.join(f"{s.sql('f.' + s.name, 'g.' + s.name, True)} / s_{s.name} AS d_{s.name}" for s in _RENTAL.spaces)} FROM f, (SELECT * FROM f WHERE {_BATCH}) g, norm),
+_VM = f"""{duck_norm('rental')}, c AS (SELECT g.oid AS qid, f.oid, {', '.join(f"{s.sql('f.' + s.name, 'g.' + s.name, True)} / s_{s.name} AS d_{s.name}" for s in _RENTAL.spaces)} FROM f, (SELECT * FROM f WHERE {ASK}) g, norm),
     t AS (SELECT qid, oid FROM c QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round({_D}, 9), oid) <= 10),
     l AS ({' UNION ALL '.join(f"SELECT qid, oid, row_number() OVER (PARTITION BY qid ORDER BY round(d_{n}, 9), oid) AS rn FROM c" for n in _RENTAL.names)}), n AS (SELECT qid, oid, min(rn) AS need FROM l GROUP BY ALL)
     SELECT CAST(range AS INT) AS ratio, round(avg(CASE WHEN need <= 10 * range THEN 1.0 ELSE 0.0 END), 6) AS recall FROM t JOIN n USING (qid, oid), range(1, 6) GROUP BY range"""
@@ -215,7 +215,7 @@ _VM = f"""{duck_norm('rental')}, c AS (SELECT g.oid AS qid, f.oid, {', '.join(f"
 def _merge_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall of merged per-field lists at ratios 1 to 5; an object is found at a ratio if some field ranks it within ratio * k."""
     s = Setup(spark, sf_dir, "rental")
-    cache = weights.cache_distances(s.df, s.df.where(_BATCH), s.schema, s.sigma)
+    cache = weights.cache_distances(s.df, s.df.where(ASK), s.schema, s.sigma)
     truth = weights.retrieve(cache, s.schema, skew(s.schema), 10).select("qid", "oid")
     need = truth.join(_merge_lists(cache, s.schema, 50), ["qid", "oid"], "left")
     by = need.select(F.explode(F.sequence(F.lit(1), F.lit(5))).alias("ratio"), "need")

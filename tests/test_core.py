@@ -137,3 +137,9 @@ def test_edit_distance_reads_whole_texts(spark):
         assert df.selectExpr(f"max(length({column}))").first()[0] > 1000
         got = df.limit(8).selectExpr(f"{space.sql(column, repr('same opening of two reports'))} AS d", column).collect()
         assert all(r["d"] == distances.TWINS["edit"](r[column], "same opening of two reports") for r in got)
+
+
+@pytest.mark.parametrize(("name", "table", "column", "share"), [("m2_distance_pairs", "orders", "qid", 20), ("q4_radius_for_share", "orders", "qid", 20)])
+def test_results_grow_with_the_table(spark, name, table, column, share):
+    keys = spark.read.parquet(f"{SF}/{table}.parquet").where(f"o_orderkey % {share} = 0")
+    assert entry.queries()[name](spark, SF).select(column).distinct().count() == keys.count()
