@@ -10,6 +10,9 @@ from polymetric.spaces import MultiMetricSchema
 #: Anchors are the first of an arithmetic shuffle of the ids, so any engine picks the same.
 ANCHOR_ORDER = "({oid} * 7919 + 104729) % 1000003"
 
+#: Bins of a round of the exact median, and distinct values that the driver may sort.
+BINS, FEW_VALUES = 1_000, 10_000
+
 
 def anchors(df: DataFrame, schema: MultiMetricSchema, n: int = 16) -> DataFrame:
     return df.orderBy(F.expr(ANCHOR_ORDER.format(oid=schema.oid)), schema.oid).limit(n)
@@ -17,20 +20,65 @@ def anchors(df: DataFrame, schema: MultiMetricSchema, n: int = 16) -> DataFrame:
 
 def observed(df: DataFrame, schema: MultiMetricSchema, pairs: str = "anchors", n: int = 16) -> DataFrame:
     """Distances of each space, columns d_<space>: of all rows to ``n`` anchors (broadcast, a fixed number), of all
-    pairs (small tables only), or of ``n`` pairs of neighbours in two arithmetic shuffles (random)."""
+    pairs (in the grid of ``index.met``), or of ``n`` pairs of neighbours in two arithmetic shuffles (random)."""
     if pairs == "all":
-        if (size := df.count()) > 5000:
-            raise ValueError(f"all pairs of {size} rows; use anchors")
-        n = size
-    few = df if pairs == "all" else anchors(df, schema, n)
-    other = F.broadcast(few.select(*(F.col(s.name).alias(f"q_{s.name}") for s in schema.spaces)))
-    return df.join(other).select(*(F.expr(s.sql(s.name, f"q_{s.name}")).alias(f"d_{s.name}") for s in schema.spaces))
+        from polymetric.index import met
+
+        both = met(df, df, schema)
+    else:
+        both = df.join(F.broadcast(anchors(df, schema, n).select(*(F.col(s.name).alias(f"q_{s.name}") for s in schema.spaces))))
+    return both.select(*(F.expr(s.sql(s.name, f"q_{s.name}")).alias(f"d_{s.name}") for s in schema.spaces))
+
+
+def medians(d: DataFrame, names: list[str]) -> tuple[dict[str, float], int]:
+    """Exact medians of columns d_<name> and the number of rows. Equal values are counted once for all; each round then cuts a
+    name's interval into equal bins, counts them and goes on in the one that holds the middle, until few values are left, so
+    neither a task nor the driver holds a column."""
+    cells = ", ".join(f"'{n}', d_{n}" for n in names)
+    counts = d.selectExpr(f"stack({len(names)}, {cells}) AS (space, d)").groupBy("space", "d").agg(F.count("*").alias("n")).persist()
+    try:
+        ends = {r["space"]: r for r in counts.groupBy("space").agg(F.min("d").alias("lo"), F.max("d").alias("hi"), F.sum("n").alias("n"), F.count("*").alias("kinds")).collect()}
+        if not ends:
+            return {}, 0
+        rows = next(iter(ends.values()))["n"]
+        state = {k: [r["lo"], r["hi"], 0, r["kinds"]] for k, r in ends.items()}  # interval, rows before it, distinct values in it
+        while wide := {k: v for k, v in state.items() if v[3] > FEW_VALUES}:
+            bins = [F.when(F.col("space") == k, F.floor((F.col("d") - lo) / ((hi - lo) / BINS))) for k, (lo, hi, _, _) in wide.items()]
+            inside = _inside(wide)
+            got = counts.where(inside).withColumn("bin", F.coalesce(*bins)).groupBy("space", "bin").agg(F.sum("n").alias("n"), F.min("d").alias("lo"), F.max("d").alias("hi"), F.count("*").alias("kinds")).collect()
+            for k in wide:
+                before = state[k][2]
+                for r in sorted((r for r in got if r["space"] == k), key=lambda r: r["bin"]):
+                    if before + r["n"] > (rows - 1) // 2:
+                        state[k] = [r["lo"], r["hi"], before, r["kinds"]]
+                        break
+                    before += r["n"]
+        left = counts.where(_inside(state)).collect()
+        after = {r["space"]: r["d"] for r in counts.where(F.coalesce(*(F.when(F.col("space") == k, F.col("d") > v[1]) for k, v in state.items()))).groupBy("space").agg(F.min("d").alias("d")).collect()}
+    finally:
+        counts.unpersist()
+    out = {}
+    for k, (_, _, before, _) in state.items():
+        middle = []
+        for r in sorted((r for r in left if r["space"] == k), key=lambda r: r["d"]):
+            middle += [r["d"] for rank in ((rows - 1) // 2, rows // 2) if before <= rank < before + r["n"]]
+            before += r["n"]
+        middle = middle if len(middle) == 2 else [*middle, after[k]]
+        out[k] = middle[0] + (middle[1] - middle[0]) * 0.5
+    return out, rows
+
+
+def _inside(state: dict[str, list]) -> F.Column:
+    return F.coalesce(*(F.when(F.col("space") == k, F.col("d").between(lo, hi)) for k, (lo, hi, _, _) in state.items()))
 
 
 def norm_table(df: DataFrame, schema: MultiMetricSchema, pairs: str = "anchors", n: int = 16, policy: str = "median2", exact: bool = True) -> DataFrame:
     """(space, sigma, n_pairs), one pass for all spaces. policy: median2, max, mean or none; a constant space gets 1.
     exact False takes a sketch for the median."""
     d = observed(df, schema, pairs, n)
+    if pairs == "all" and policy == "median2" and exact:
+        found, n_pairs = medians(d, schema.names)
+        return df.sparkSession.createDataFrame([(k, 2 * found[k] if found.get(k, 0) > 0 else 1.0, n_pairs) for k in schema.names], "space string, sigma double, n_pairs long")
     middle = F.percentile if exact else F.percentile_approx
     stat = {"median2": lambda c: 2 * middle(c, F.lit(0.5)), "max": F.max, "mean": F.avg, "none": lambda c: F.max(F.lit(1.0))}[policy]
     row = d.agg(F.count("*").alias("n_pairs"), *(stat(F.col(f"d_{s.name}")).alias(s.name) for s in schema.spaces))

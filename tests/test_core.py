@@ -8,6 +8,7 @@ import pytest
 
 import __spark_entry__ as entry
 from polymetric import distances, fixtures, queries, rstar, sql, tuning
+from polymetric.normalize import norm_table
 from polymetric.rewards import reward
 from polymetric.spaces import MultiMetricSchema, distance, query_row
 
@@ -139,6 +140,18 @@ def test_edit_distance_reads_whole_texts(spark):
         assert all(r["d"] == distances.TWINS["edit"](r[column], "same opening of two reports") for r in got)
 
 
+def test_median_of_all_pairs_has_no_limit_of_rows(spark, monkeypatch):
+    schema, rows = MultiMetricSchema.of(("a", "l1"), ("b", "l1"), ("c", "l1")), [(i, float(i * i % 97), float(i // 90), 1.0) for i in range(101)]
+    want = [2 * float(np.median(np.abs(np.subtract.outer(x, x)))) or 1.0 for x in np.array(rows).T[1:]]
+    df = spark.createDataFrame(rows, "oid long, a double, b double, c double")
+    for few in (10_000, 3):
+        monkeypatch.setattr("polymetric.normalize.FEW_VALUES", few)
+        monkeypatch.setattr("polymetric.normalize.BINS", 4)
+        assert [(r["sigma"], r["n_pairs"]) for r in norm_table(df, schema, pairs="all").collect()] == [(x, 101**2) for x in want]
+    wide = spark.range(5001).selectExpr("id AS oid", "CAST(id % 3 AS DOUBLE) AS a")
+    assert norm_table(wide, MultiMetricSchema.of(("a", "l1")), pairs="all").first()["sigma"] == 2.0
+
+
 @pytest.mark.parametrize(("name", "table", "column", "share"), [("m2_distance_pairs", "orders", "qid", 20), ("q4_radius_for_share", "orders", "qid", 20)])
 def test_results_grow_with_the_table(spark, name, table, column, share):
     keys = spark.read.parquet(f"{SF}/{table}.parquet").where(f"o_orderkey % {share} = 0")
