@@ -152,7 +152,7 @@ def test_median_of_all_pairs_has_no_limit_of_rows(spark, monkeypatch):
     assert norm_table(wide, MultiMetricSchema.of(("a", "l1")), pairs="all").first()["sigma"] == 2.0
 
 
-@pytest.mark.parametrize(("name", "table", "column", "share"), [("m2_distance_pairs", "orders", "qid", 20), ("q4_radius_for_share", "orders", "qid", 20)])
+@pytest.mark.parametrize(("name", "table", "column", "share"), [("m2_distance_pairs", "orders", "qid", 20), ("q4_radius_for_share", "orders", "qid", 20), ("o8_join_equi_inner", "orders", "o_orderkey", 1)])
 def test_results_grow_with_the_table(spark, name, table, column, share):
     keys = spark.read.parquet(f"{SF}/{table}.parquet").where(f"o_orderkey % {share} = 0")
     assert entry.queries()[name](spark, SF).select(column).distinct().count() == keys.count()
