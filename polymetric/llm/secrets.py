@@ -4,6 +4,9 @@ A layer is a string whose characters each know the span of the original text the
 its encoded stretches (percent-encoding, backslash escapes, base64, and compressed bytes inside) are decoded into new layers on the
 worklist until nothing new appears. A layer whose content was already seen on the way is not opened again, so cycles
 end, and a layer only opens ones that differ from it.
+
+No layer is dropped for bytes that aren't text: those stand for themselves. Base64 goes on over line breaks. Compressed
+streams are read piece by piece, with an overlap, up to their end or first error, and what follows them is read as well.
 """
 
 from __future__ import annotations
@@ -11,13 +14,12 @@ from __future__ import annotations
 import base64
 import binascii
 import bz2
-import gzip
 import hashlib
-import io
+import itertools
 import lzma
 import re
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator, Sequence
 
 import pyarrow as pa
 import zstandard
@@ -32,8 +34,11 @@ _HEX24 = re.compile(r"[0-9a-f]{24,}")
 _URL = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
 _ESCAPE = re.compile(r"(?:\\u[0-9A-Fa-f]{4}|\\u\{[0-9A-Fa-f]{1,6}\}|\\x[0-9A-Fa-f]{2}|\\U[0-9A-Fa-f]{8})")
 _BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
-#: Decompression stops with an error beyond so many bytes a layer: a bomb is then left closed.
-MOST_BYTES = 64 << 20
+_WRAPPED = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]++(?=[ \t\r]*\n)(?:[ \t]*\r?\n[ \t]*[A-Za-z0-9+/_-]++)++={0,2}")
+_LINE = re.compile(r"[A-Za-z0-9+/_-]+={0,2}")
+#: Bytes of an inflated stream that are one layer, and how much of a layer the next one repeats; an encoded stretch that is longer
+#: than the overlap and lies across the end of a layer is opened in two parts.
+PIECE, OVERLAP = 64 << 20, 1 << 20
 
 
 def find(text: str) -> list[tuple[int, int, str]]:
@@ -53,58 +58,147 @@ def joined(spans: list[tuple[int, int, str]]) -> str:
     return ",".join(f"{kind}:{start}:{end}" for start, end, kind in spans)
 
 
-def _inflate(data: bytes) -> bytes | None:
-    """Bytes of a compressed layer, or None if the magic number or the stream isn't one."""
-    try:
-        if data[:2] == b"\x1f\x8b":
-            with gzip.GzipFile(fileobj=io.BytesIO(data)) as f:
-                out = f.read(MOST_BYTES + 1)
-        elif data[:1] == b"\x78" and len(data) > 2 and (data[0] * 256 + data[1]) % 31 == 0:
-            out = zlib.decompressobj().decompress(data, MOST_BYTES + 1)
-        elif data[:3] == b"BZh":
-            out = bz2.BZ2Decompressor().decompress(data, MOST_BYTES + 1)
-        elif data[:6] == b"\xfd7zXZ\x00":
-            out = lzma.LZMADecompressor().decompress(data, MOST_BYTES + 1)
-        elif data[:4] == b"\x28\xb5\x2f\xfd":
-            out = zstandard.ZstdDecompressor().stream_reader(data).read(MOST_BYTES + 1)
-        else:
-            return None
-    except (OSError, EOFError, ValueError, zlib.error, lzma.LZMAError, zstandard.ZstdError):
-        return None
-    return out if 0 < len(out) <= MOST_BYTES else None
-
-
-def _readable(data: bytes) -> str | None:
-    """The text of decoded bytes if they are text: valid UTF-8 without control characters."""
-    try:
-        text = data.decode("utf-8")
-    except UnicodeDecodeError:
-        return None
-    return text if text and not re.search(r"[\x00-\x08\x0e-\x1f]", text) else None
+def _maker(head: bytes) -> tuple[Callable, int] | None:
+    """What inflates a stream with this magic number, and how many bytes it is fed at a time: a zstd block holds 128 KiB."""
+    if head[:2] == b"\x1f\x8b":
+        return lambda: zlib.decompressobj(31), 4096
+    if head[:1] == b"\x78" and len(head) > 2 and (head[0] * 256 + head[1]) % 31 == 0:
+        return zlib.decompressobj, 4096
+    if head[:3] == b"BZh":
+        return bz2.BZ2Decompressor, 4096
+    if head[:6] == b"\xfd7zXZ\x00":
+        return lzma.LZMADecompressor, 4096
+    if head[:4] == b"\x28\xb5\x2f\xfd":
+        return lambda: zstandard.ZstdDecompressor().decompressobj(), 64
+    return None
+
+
+def _fed(one, data: bytes) -> Iterator[bytes]:  # noqa: ANN001
+    """Output for some input, a bounded part at a time."""
+    if isinstance(one, (bz2.BZ2Decompressor, lzma.LZMADecompressor)):
+        yield one.decompress(data, 1 << 20)
+        while not one.eof and not one.needs_input:
+            yield one.decompress(b"", 1 << 20)
+    elif hasattr(one, "unconsumed_tail"):
+        yield (more := one.decompress(data, 1 << 20))
+        while not one.eof and (one.unconsumed_tail or more):
+            yield (more := one.decompress(one.unconsumed_tail, 1 << 20))
+    else:
+        yield one.decompress(data)
+
+
+def _member(chunks: Iterator[bytes], kind: tuple[Callable, int], rest: list[bytes]) -> Iterator[bytes]:
+    """The output of one stream as far as it goes; the input that is left over goes to ``rest``."""
+    make, step = kind
+    one = make()
+    for chunk in chunks:
+        for at in range(0, len(chunk), step):
+            part = chunk[at : at + step]
+            try:
+                yield from _fed(one, part)
+            except _ERRORS:
+                rest += [part, chunk[at + step :]]
+                return
+            if one.eof:
+                rest += [one.unused_data, chunk[at + step :]]
+                return
+
+
+_ERRORS = (OSError, EOFError, ValueError, zlib.error, lzma.LZMAError, zstandard.ZstdError)
+
+
+def _unpacked(chunks: Iterator[bytes], opened: frozenset[bytes] = frozenset()) -> tuple[Iterator[bytes], bool]:
+    """(bytes, whether they were compressed): streams are inflated, also one inside another, and what lies behind one follows it.
+    A stream that begins like one around it is left as it is, so cycles end."""
+    head = b""
+    for chunk in chunks:
+        head += chunk
+        if len(head) >= 1024:
+            break
+    kind = _maker(head)
+    chunks = itertools.chain([head], chunks) if head else iter(())
+    if kind is None or head[:1024] in opened:
+        return chunks, False
+
+    def out() -> Iterator[bytes]:
+        rest: list[bytes] = []
+        yield from _unpacked(_member(chunks, kind, rest), opened | {head[:1024]})[0]
+        if any(rest):
+            yield from _unpacked(itertools.chain((x for x in rest if x), chunks), opened)[0]
+
+    return out(), True
+
+
+def _pieces(chunks: Iterator[bytes]) -> Iterator[bytes]:
+    held, size, fresh = [], 0, 0
+    for chunk in chunks:
+        held.append(chunk)
+        size, fresh = size + len(chunk), fresh + len(chunk)
+        if size >= PIECE:
+            whole = b"".join(held)
+            yield whole
+            held, size, fresh = [whole[-OVERLAP:]], min(OVERLAP, size), 0
+    if fresh:
+        yield b"".join(held)
+
+
+def _texts(data: bytes) -> Iterator[tuple[str, int, Callable[[str], int]]]:
+    """(text, first byte, bytes of a character) of decoded bytes: UTF-8 in which other bytes stand for themselves, and UTF-16 if there are NULs."""
+    if data:
+        yield data.decode("utf-8", "surrogateescape"), 0, lambda c: 1 if c < "\x80" or "\udc80" <= c <= "\udcff" else len(c.encode())
+    if b"\0" in data:
+        for first, code in itertools.product((0, 1), ("utf-16-le", "utf-16-be")):
+            even = data[first : len(data) - (len(data) - first) % 2]
+            if even:
+                yield even.decode(code, "surrogatepass"), first, lambda c: 4 if c > "\uffff" else 2
 
 
 def _unbase64(token: str) -> bytes | None:
+    """The bytes of all whole groups of four, and of a shorter last group unless it is one letter alone."""
     body = token.rstrip("=").replace("-", "+").replace("_", "/")
-    if len(body) % 4 == 1:
-        return None
+    body = body[:-1] if len(body) % 4 == 1 else body
     try:
         return base64.b64decode(body + "=" * (-len(body) % 4), validate=True)
     except (binascii.Error, ValueError):
         return None
 
 
+def _tokens(text: str) -> Iterator[tuple[str, Sequence[int]]]:
+    """(base64, place of each letter): on one line; over line breaks, the whole run, and each stretch of lines of one width with the line behind it."""
+    for m in _BASE64.finditer(text):
+        yield m[0], range(m.start(), m.end())
+    if "\n" not in text:
+        return
+    for m in _WRAPPED.finditer(text):
+        lines = [(x.start(), x.end()) for x in _LINE.finditer(text, m.start(), m.end())]
+        starts = [0, *(i for i in range(1, len(lines)) if lines[i][1] - lines[i][0] != lines[i - 1][1] - lines[i - 1][0]), len(lines)]
+        parts = {(0, len(lines))} | {(i, min(j + 1, len(lines))) for i, j in itertools.pairwise(starts)}
+        for i, j in sorted(parts):
+            places = [k for a, b in lines[i:j] for k in range(a, b)] if j - i > 1 else ()
+            if len(places) >= 16:
+                yield "".join(text[a:b] for a, b in lines[i:j]), places
+
+
+class _Same:
+    """Spans of a layer without places: each character stands for the whole encoded stretch."""
+
+    def __init__(self, n: int, span: tuple[int, int]):
+        self.n, self.span = n, span
+
+    def __getitem__(self, at):  # noqa: ANN001
+        return [self.span] * len(range(*at.indices(self.n))) if isinstance(at, slice) else self.span
+
+
 def _percent(text: str, spans: list[tuple[int, int]]) -> tuple[str, list[tuple[int, int]]] | None:
     out, where, at, changed = [], [], 0, False
     for m in _URL.finditer(text):
         data = bytes.fromhex(m[0].replace("%", ""))
         piece = data.decode("utf-8", "surrogateescape")
-        if any("\udc80" <= c <= "\udcff" for c in piece):
-            continue
         out.append(text[at : m.start()])
         where += spans[at : m.start()]
         pos = m.start()
         for c in piece:
-            n = 3 * len(c.encode())
+            n = 3 * (1 if "\udc80" <= c <= "\udcff" else len(c.encode()))
             where.append((spans[pos][0], spans[pos + n - 1][1]))
             pos += n
         out.append(piece)
@@ -145,32 +239,27 @@ def _opened(text: str, spans: list[tuple[int, int]]) -> Iterator[tuple[str, list
         yield got
     if "\\" in text and (got := _escapes(text, spans)):
         yield got
-    for m in _BASE64.finditer(text):
-        data = _unbase64(m[0])
-        if data is None:
-            continue
-        inner, packed = _inflate(data), True
-        if inner is None:
-            inner, packed = data, False
-        while packed and (more := _inflate(inner)) is not None and more != inner:
-            inner = more
-        got_text = _readable(inner)
-        if not got_text:
+    for token, places in _tokens(text):
+        data = _unbase64(token)
+        if not data:
             continue
+        chunks, packed = _unpacked(iter([data]))
         if packed:  # a compressed stream has no place for each character
-            yield got_text, [(spans[m.start()][0], spans[m.end() - 1][1])] * len(got_text)
-            continue
-        where, at, last = [], 0, m.end() - 1
-        for c in got_text:
-            n = len(c.encode())
-            first, end = m.start() + at * 8 // 6, min(last, m.start() + ((at + n) * 8 - 1) // 6)
-            where.append((spans[first][0], spans[end][1]))
-            at += n
-        yield got_text, where
+            whole = (spans[places[0]][0], spans[places[-1]][1])
+            for piece in _pieces(chunks):
+                for inner, _, _ in _texts(piece):
+                    yield inner, _Same(len(inner), whole)
+        for inner, at, width in _texts(data):
+            where, last = [], len(places) - 1
+            for c in inner:
+                n = width(c)
+                where.append((spans[places[at * 8 // 6]][0], spans[places[min(last, ((at + n) * 8 - 1) // 6)]][1]))
+                at += n
+            yield inner, where
 
 
 def _may_open(text: str) -> bool:
-    return "%" in text and bool(_URL.search(text)) or "\\" in text and bool(_ESCAPE.search(text)) or bool(_BASE64.search(text))
+    return "%" in text and bool(_URL.search(text)) or "\\" in text and bool(_ESCAPE.search(text)) or bool(_BASE64.search(text)) or "\n" in text and bool(_WRAPPED.search(text))
 
 
 class _Whole:
@@ -189,18 +278,21 @@ def scan(text: str) -> tuple[list[tuple[int, int, str]], list[tuple[int, int, st
     if not _may_open(text):
         return base, base
     found, seen = set(base), {hashlib.sha256(text.encode("utf-8", "surrogatepass")).digest()}
-    work = [(text, _Whole(len(text)))]
+    work = [(text, _opened(text, _Whole(len(text))))]  # depth first, so one piece of each stream is held
     while work:
-        layer, spans = work.pop()
-        for inner, where in _opened(layer, spans):
-            mark = hashlib.sha256(repr(where[:1] + where[-1:]).encode() + inner.encode("utf-8", "surrogatepass")).digest()
-            if mark in seen or inner == layer:
-                continue
-            seen.add(mark)
-            for start, end, kind in find(inner):
-                found.add((where[start][0], where[end - 1][1], kind))
-            if _may_open(inner):
-                work.append((inner, where))
+        layer, inside = work[-1]
+        inner, where = next(inside, (None, None))
+        if inner is None:
+            work.pop()
+            continue
+        mark = hashlib.sha256(repr(where[:1] + where[-1:]).encode() + inner.encode("utf-8", "surrogatepass")).digest()
+        if mark in seen or inner == layer:
+            continue
+        seen.add(mark)
+        for start, end, kind in find(inner):
+            found.add((where[start][0], where[end - 1][1], kind))
+        if _may_open(inner):
+            work.append((inner, _opened(inner, where)))
     return base, order(found)
 
 

@@ -129,6 +129,24 @@ def test_secrets():
     assert secrets.scan("%25" * 40 + "41")[1] == []
 
 
+def test_secrets_in_layers_that_are_not_clean_text(monkeypatch):
+    b64 = lambda x: base64.b64encode(x).decode()
+    wrap = lambda x, n=76: "\n".join(x[i : i + n] for i in range(0, len(x), n))
+    rng = random.Random(4)
+    noise = bytes(rng.randrange(256) for _ in range(3000)).hex().upper().encode()
+    secret, packed = b"password=hunter2hunter2", gzip.compress(noise + b" token=abcdef123456 " + noise)
+    for x in (
+        b64("password=hunter2hunter2".encode("utf-16")), b64("password=hunter2hunter2".encode("utf-16-be")), b64(b"user\0" + secret + b"\0x"), b64("größer ".encode("latin-1") + secret), b64(b"\x01" + secret),
+        "%FF" + "".join(f"%{c:02X}" for c in secret), wrap(b64(packed)), "data:\n" + wrap(b64(packed)).replace("\n", "\r\n  "), wrap(b64(b"some plain text, " * 3 + secret), 64),
+        b64(packed[:-9]), b64(packed + b"behind"), b64(packed[:-9] + b"\0\xff\xff\xff\xff"), b64(gzip.compress(b"nothing") + packed), b64(gzip.compress(b"nothing here") + secret), b64(gzip.compress(packed)), b64(zlib.compress(noise + secret)[:-3]),
+    ):
+        _, full = secrets.scan(f"Ünï {x} end")
+        assert full and all(4 <= a < b <= 4 + len(x) for a, b, _ in full), x[:60]
+    for name, n in (("PIECE", 2000), ("OVERLAP", 300)):
+        monkeypatch.setattr(secrets, name, n)
+    assert [k for _, _, k in secrets.scan(b64(packed))[1]] == ["assign"]
+
+
 def test_secret_rows(docs):
     r = secrets.scan_documents(docs).where("doc_id = 4").first()
     assert (r["n_assign"], r["spans"], r["base_sha256"]) == (0, "", hashlib.sha256(b"").hexdigest())
