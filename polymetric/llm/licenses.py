@@ -1,8 +1,9 @@
 """Licence scans: sparse TF-IDF cosine of notices to licence templates, then inheritance from the nearest ancestor
 directory that has a licence file, by joins on paths.
 
-Terms are weighed by their document frequency over the whole table; terms outside the templates weigh as the rarest.
-A unit is a line with an anchor term, or a run of such lines. Anchors are chosen so that a unit without any stays below the
+Terms are weighed by their document frequency over the whole table. A unit is a line with an anchor term, a run of such
+lines, or a window of a template's length, over line ends too, that holds an anchor of the template. Terms outside the
+templates are counted if they stand in a unit that passes with the least weight they can have. Anchors are chosen so that a unit without any stays below the
 threshold with every template (the terms left over can't make up that much of a template's norm), so skipping the
 other lines loses nothing.
 """
@@ -61,16 +62,19 @@ class Matcher:
         self.idf = {t: math.log((1 + n_docs) / (1 + f)) + 1 for t, f in frequency.items()}
         self.vectors = []
         self.anchors: set[str] = set()
+        self.own: list[tuple[int, set[str]]] = []  # terms and anchors of each template
         for name, texts in sorted(templates.items()):
             for text in texts:
                 v = {t: n * self.idf.get(t, self.rarest) for t, n in Counter(terms(text)).items()}
                 norm = math.sqrt(sum(x * x for x in v.values()))
                 self.vectors.append((name, {t: x / norm for t, x in v.items()}))
-                rest = 0.0
+                rest, mine = 0.0, set()
                 for t, x in sorted(self.vectors[-1][1].items(), key=lambda p: (p[1], p[0])):
                     rest += x * x
                     if math.sqrt(rest) >= threshold:
-                        self.anchors.add(t)
+                        mine.add(t)
+                self.anchors |= mine
+                self.own.append((len(terms(text)), mine))
 
     def best(self, unit: str) -> tuple[float, str]:
         """(cosine, name) of the nearest template; ties to the first name."""
@@ -80,22 +84,56 @@ class Matcher:
         top = max(c for c, _ in cos)
         return round(top, 9), min(name for c, name in cos if c == top)
 
+    def windows(self, words: list[str]) -> Iterator[tuple[int, float, str]]:
+        """(first template term, cosine, name) of each window of a template's length with an anchor, at or above the threshold."""
+        w = [self.idf.get(t, self.rarest) for t in words]
+        for (size, mine), (name, vector) in zip(self.own, self.vectors, strict=True):
+            starts = sorted({s for p, t in enumerate(words) if t in mine for s in range(max(0, p - size + 1), min(p, len(words) - size) + 1)})
+            count: Counter[str] = Counter()
+            norm = dot = 0.0
+            last = None
+            for s in starts:
+                if last is None or s - last >= size:
+                    count.clear()
+                    norm = dot = 0.0
+                    out, new = (), range(s, s + size)
+                else:
+                    out, new = range(last, s), range(last + size, s + size)
+                for i in out:
+                    count[words[i]] -= 1
+                    norm -= (2 * count[words[i]] + 1) * w[i] * w[i]
+                    dot -= w[i] * vector.get(words[i], 0.0)
+                for i in new:
+                    norm += (2 * count[words[i]] + 1) * w[i] * w[i]
+                    dot += w[i] * vector.get(words[i], 0.0)
+                    count[words[i]] += 1
+                last = s
+                if dot >= (self.threshold - 1e-9) * math.sqrt(max(norm, 1e-300)) and (cos := round(dot / math.sqrt(norm), 9)) >= self.threshold:
+                    yield next(i for i in range(s, s + size) if words[i] in vector), cos, name
+
     def notices(self, text: str) -> list[tuple[int, float, str]]:
-        """(line, cosine, name) of the units at or above the threshold; a run counts at its first line."""
+        """(line, cosine, name) of the units at or above the threshold; a run or window counts at its first line."""
+        return [(line, cos, name) for line, cos, name, _ in self.units(text)]
+
+    def units(self, text: str) -> Iterator[tuple[int, float, str, list[str]]]:
+        """The notices with their terms; those of a window with the terms of its template's length from the first on both sides."""
         if self.anchors.isdisjoint(terms(text)):
-            return []
-        lines, out, run = text.split("\n"), [], []
+            return
+        lines, run = text.split("\n"), []
         for i, line in enumerate([*lines, ""]):
             if i < len(lines) and not self.anchors.isdisjoint(terms(line)):
                 run.append(i)
                 continue
-            units = [(k, lines[k]) for k in run] + ([(run[0], "\n".join(lines[k] for k in run))] if len(run) > 1 else [])
-            for k, unit in units:
+            parts = [(k, lines[k]) for k in run] + ([(run[0], "\n".join(lines[k] for k in run))] if len(run) > 1 else [])
+            for k, unit in parts:
                 cos, name = self.best(unit)
                 if cos >= self.threshold:
-                    out.append((k, cos, name))
+                    yield k, cos, name, terms(unit)
             run = []
-        return out
+        words = [(t, i) for i, line in enumerate(lines) for t in terms(line)]
+        longest, plain = max(n for n, _ in self.own), [t for t, _ in words]
+        for at, cos, name in self.windows(plain):
+            yield words[at][1], cos, name, plain[max(0, at - longest) : at + longest]
 
 
 def frequencies(docs: DataFrame, vocabulary: set[str], text_col: str = "text") -> tuple[dict[str, int], int]:
@@ -126,7 +164,20 @@ def scan_licenses(files: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     templates = templates or TEMPLATES
     scratch = scratch or Scratch(files.sparkSession)
     vocabulary = {t for texts in templates.values() for text in texts for t in terms(text)}
-    matcher = Matcher(templates, *frequencies(files, vocabulary, text_col), threshold)
+    known, n_docs = frequencies(files, vocabulary, text_col)
+    light = Matcher(templates, known, n_docs, threshold)
+    light.rarest = 1.0  # the least weight, of a term that every document has; the templates' own terms are all known
+
+    def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[str] = set()
+        for batch in batches:
+            for t in batch.column(0):
+                for *_, words in light.units(t.as_py() or ""):
+                    seen.update(words)
+        yield pa.RecordBatch.from_arrays([pa.array(sorted(seen - vocabulary), pa.string())], ["term"])
+
+    others = {r["term"] for r in files.select(text_col).mapInArrow(near, "term string").distinct().collect()}  # terms beside notices
+    matcher = Matcher(templates, known | (frequencies(files, others, text_col)[0] if others else {}), n_docs, threshold)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -204,6 +204,16 @@ def test_licenses(spark):
     assert got == {1: ("MIT", None), 2: ("CC-BY-NC-4.0", "a/b"), 3: ("CC-BY-NC-4.0", None), 4: ("Apache-2.0", None), 5: (None, None), 6: (None, None)}
 
 
+def test_licenses_inside_lines(spark):
+    apache, mit = licenses.TEMPLATES["Apache-2.0"][0], licenses.TEMPLATES["MIT"][1]
+    around = "quick foxes jump over lazy dogs while seven wizards quietly mix new potions"
+    cut = mit.split()
+    texts = [f"{around}. {apache}. {around}", f"x\n{around}; {mit}; {around}", f"{around}\n" + "\n".join(" ".join(cut[i : i + 5]) for i in range(0, len(cut), 5)) + f"\n{around}", around]
+    files = spark.createDataFrame([(i, f"f{i}", t) for i, t in enumerate(texts)], "doc_id long, path string, text string")
+    got = {r["doc_id"]: (r["own_license"], r["own_line"]) for r in licenses.scan_licenses(files).collect()}
+    assert got == {0: ("Apache-2.0", 0), 1: ("MIT", 1), 2: ("MIT", 1), 3: (None, None)}
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
