@@ -115,12 +115,12 @@ def fresh(df: DataFrame, name: str) -> str:
     return name
 
 
-def bloom_probe(df: DataFrame, key: str, words: DataFrame, flag: str) -> DataFrame:
+def bloom_probe(df: DataFrame, key: str, words: DataFrame, flag: str, most_words: int = 1 << 20) -> DataFrame:
     """``df`` with a Boolean column: false only where the key is surely not in the filter."""
     w, b = fresh(df, "bf_word"), fresh(df, "bf_bits")
     hit = F.col(b).bitwiseAND(mask_of(F.col(key))) == mask_of(F.col(key))
     named = words.select(F.col("bf_word").alias(w), F.col("bf_bits").alias(b))
-    return df.withColumn(w, word_of(F.col(key))).join(F.broadcast(named), w, "left").withColumn(flag, F.coalesce(hit, F.lit(False))).drop(w, b)
+    return df.withColumn(w, word_of(F.col(key), most_words)).join(F.broadcast(named), w, "left").withColumn(flag, F.coalesce(hit, F.lit(False))).drop(w, b)
 
 
 def numbered(df: DataFrame, keys: list[str], spread: Column, order: list[str], name: str, parts: int) -> DataFrame:
