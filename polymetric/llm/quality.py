@@ -38,10 +38,6 @@ class Settings:
     batch: int = 16
     seed: int = 7
     threshold: float = 0.3
-    #: A word that repeats the one before it adds so many features of one bucket of its own.
-    repeat: int = 16
-    #: Features without a vector that every document has besides, so a short text needs strong signs.
-    blank: int = 200
 
 
 def features(word: str, s: Settings) -> list[int]:
@@ -63,18 +59,19 @@ def counted(text: str, s: Settings) -> tuple[np.ndarray, np.ndarray]:
     total = np.zeros(1 << s.bits)
     for w, n in words.items():
         np.add.at(total, features(w, s), n)
-    total[repeat_bucket(s)] += s.repeat * repeats(text.split())
+    total[again_bucket(s)] += again(text.split())
     at = np.flatnonzero(total)
-    return at.astype(np.int32), (total[at] / (total.sum() + s.blank)).astype(np.float32)
+    return at.astype(np.int32), (total[at] / total.sum()).astype(np.float32)
 
 
-def repeats(words: list[str]) -> int:
-    """Word bigrams of a word with itself."""
+def again(words: list[str]) -> int:
+    """Word bigrams of a word with itself. All of them are one feature, hashed and learned like the others: as words or plain
+    bigrams they have nothing in common, and a bag of words can't tell a repeated word from a frequent one."""
     return sum(map(operator.eq, words, words[1:]))
 
 
-def repeat_bucket(s: Settings) -> int:
-    return zlib.crc32(b"\x00repeat") & ((1 << s.bits) - 1)
+def again_bucket(s: Settings) -> int:
+    return zlib.crc32(b"\x00again") & ((1 << s.bits) - 1)
 
 
 @dataclass
@@ -116,7 +113,24 @@ def fit(rows: list[tuple[np.ndarray, np.ndarray, int]], s: Settings) -> Model:
                 vectors[at] -= (rate * share)[:, None] * back
         losses.append(loss / len(rows))
     d = out[1] - out[0]
-    return Model((vectors @ d).astype(np.float64), float(bias[1] - bias[0]), s, losses=losses)
+    gain = (vectors @ d).astype(np.float64)
+    return Model(gain, float(bias[1] - bias[0]) + calibration(rows, gain, float(bias[1] - bias[0]), s), s, losses=losses)
+
+
+def calibration(rows: list[tuple[np.ndarray, np.ndarray, int]], gain: np.ndarray, bias: float, s: Settings) -> float:
+    """What the bias takes so that the threshold is the best cut of the fitted rows: the one with the least sum of both classes' shares
+    on the wrong side; of equally good ones the middle of the widest gap. 0 without rows of both classes."""
+    z = np.array([share @ gain[at] + bias for at, share, _ in rows])
+    y = np.array([q for *_, q in rows])
+    if not len(rows) or y.all() or not y.any():
+        return 0.0
+    order = np.argsort(z, kind="stable")
+    z, y = z[order], y[order]
+    wrong = np.cumsum(y) / y.sum() + (1 - np.cumsum(1 - y) / (1 - y).sum())  # with the cut behind each row
+    gaps = np.append(np.diff(z), 0.0)
+    best = min(range(len(z) - 1), key=lambda i: (round(float(wrong[i]), 9), -float(gaps[i])), default=0)
+    cut = (z[best] + z[min(best + 1, len(z) - 1)]) / 2
+    return float(math.log(s.threshold / (1 - s.threshold)) - cut)
 
 
 class _Sums(dict):
@@ -124,7 +138,7 @@ class _Sums(dict):
 
     def __init__(self, model: Model):
         super().__init__()
-        self.model = model
+        self.model, self.again = model, float(model.gain[again_bucket(model.settings)])
 
     def __missing__(self, word: str) -> complex:
         if len(self) >= MOST_KEPT:
@@ -139,34 +153,38 @@ class _Sums(dict):
 def score(text: str, sums: _Sums) -> float:
     """Probability of label 1."""
     words, m = text.split(), sums.model
-    again = m.settings.repeat * repeats(words)
-    total = sum(map(sums.__getitem__, words), 0j) + complex(again * m.gain[repeat_bucket(m.settings)], again)
-    z = m.bias + total.real / (total.imag + m.settings.blank)
+    n = again(words)
+    total = sum(map(sums.__getitem__, words), complex(n * sums.again, n))
+    z = m.bias + (total.real / total.imag if words else 0.0)
     return 1 / (1 + math.exp(-z)) if z > -700 else 0.0
 
 
-def labelled_rows(docs: DataFrame, labels: DataFrame, s: Settings, training: bool = True) -> DataFrame:
-    """(text, quality): the bounded sample a model may learn from, never rows whose crc32(id) is divisible by 5."""
-    usable = labels.select(F.col("doc_id").alias("lb_id"), "quality").where("lb_id IS NOT NULL AND quality IN (0, 1)")
-    usable = usable.where(F.pmod(F.crc32(F.col("lb_id").cast("string")), F.lit(5)) != 0)
-    parts = [usable.where(F.col("quality") == q).orderBy(F.xxhash64("lb_id"), "lb_id").limit(s.most_rows) for q in (0, 1)]
+def labelled_rows(docs: DataFrame, labels: DataFrame, s: Settings, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, text, quality): the bounded sample a model may learn from, never rows whose crc32(id) is divisible by 5. Both tables
+    may have any other columns; ids of any whole type meet as long."""
+    usable = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where("doc_id IS NOT NULL AND quality IN (0, 1)")
+    usable = usable.where(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(5)) != 0)
+    parts = [usable.where(F.col("quality") == q).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.most_rows) for q in (0, 1)]
     chosen = F.broadcast(parts[0].unionByName(parts[1]))  # at most 2 * most_rows rows of two numbers
-    return docs.join(chosen, docs["doc_id"] == chosen["lb_id"]).select("text", "quality", "doc_id")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).join(chosen, "doc_id").select("doc_id", "text", "quality")
 
 
-def train(docs: DataFrame, labels: DataFrame, s: Settings | None = None) -> Model:
-    """Features are counted on the executors; the driver gets those of at most 2 * most_rows documents, and fits."""
+def train(docs: DataFrame, labels: DataFrame, s: Settings | None = None, id_col: str = "doc_id", text_col: str = "text") -> Model:
+    """Features are counted on the executors; the driver gets those of at most 2 * most_rows documents, and fits.
+
+    labels: (doc_id, quality). Null ids and other qualities than 0 and 1 are passed over, a null text counts as empty, rows that
+    repeat count once, and empty tables give a model that scores 0.5."""
     s = s or Settings()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            got = [counted(t.as_py() or "", s) for t in batch.column(0)]
+            got = [counted(t.as_py() or "", s) for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(2), batch.column(1).cast(pa.int32()), pa.array([a.tobytes() for a, _ in got], pa.binary()), pa.array([b.tobytes() for _, b in got], pa.binary())],
+                [batch.column(0), batch.column(2), pa.array([a.tobytes() for a, _ in got], pa.binary()), pa.array([b.tobytes() for _, b in got], pa.binary())],
                 ["doc_id", "quality", "buckets", "shares"],
             )
 
-    got = labelled_rows(docs, labels, s).mapInArrow(run, "doc_id long, quality int, buckets binary, shares binary").collect()
+    got = labelled_rows(docs, labels, s, id_col, text_col).mapInArrow(run, "doc_id long, quality int, buckets binary, shares binary").collect()
     seen = sorted({(r["doc_id"], r["quality"], bytes(r["buckets"]), bytes(r["shares"])) for r in got})
     model = fit([(np.frombuffer(b, np.int32), np.frombuffer(w, np.float32), q) for _, q, b, w in seen], s)
     model.name = f"{zlib.crc32(model.gain.tobytes())}-{model.bias}"
