@@ -1,9 +1,9 @@
 """Longest-processing-time scheduling of groups that must stay together.
 
-The plan is made on sizes alone. Sizes are classed by their 17 leading bits, so sizes under 131072 are exact, larger
-ones are off by less than 2^-16 of themselves, and there are about a million classes at most at any scale. The driver
+The plan is made on sizes alone. Sizes are classed by their 12 leading bits, so sizes under 4096 are exact, larger
+ones are off by less than 2^-11 of themselves, and there are fewer than 80,000 classes at any scale, whatever the groups. The driver
 gets only (class, number of groups), runs a heap over them from the largest class down, and hands out each class's
-groups as ranges of ranks: group by group this is the classic heap schedule, since groups of one class are alike.
+groups as ranges of ranks, one row a class: group by group this is the classic heap schedule, since groups of one class are alike.
 """
 
 from __future__ import annotations
@@ -17,9 +17,7 @@ from pyspark.sql import functions as F
 
 from polymetric.llm.common import Scratch, heavy_join, numbered
 
-BITS = 17
-#: Plans up to so many rows of 28 bytes are broadcast; longer ones meet the groups in a shuffle.
-MOST_PLAN_ROWS = 500_000
+BITS = 12
 
 
 def _alike(loads: list[int], size: int, count: int) -> list[int]:
@@ -72,26 +70,29 @@ def schedule(classes: Iterable[tuple[int, int]], shards: int) -> list[tuple[int,
 def shard_by_size(docs: DataFrame, shards: int, id_col: str = "doc_id", text_col: str = "text", overhead: int = 16, scratch: Scratch | None = None) -> DataFrame:
     """(doc_id, size, text_crc32, law, shard, slot, grown_shard): equal texts share a shard, and bytes are near equal.
 
-    size is the text's UTF-8 bytes plus ``overhead``; null counts as an empty text. A group weighs the sum of its
+    Texts are equal by their SHA-256. size is the text's UTF-8 bytes plus ``overhead``; null counts as an empty text. A group weighs the sum of its
     rows. slot numbers a shard's rows from 0 without gaps. Repeated rows each get a slot, null ids sort first, other
     columns are ignored, and an empty table gives no rows. The law is ``bytes``; grown_shard is null under it.
     """
     spark = docs.sparkSession
     scratch = scratch or Scratch(spark)
     text = F.coalesce(F.col(text_col), F.lit(""))
-    base = docs.select(F.col(id_col).alias("doc_id"), (F.octet_length(text) + F.lit(overhead)).cast("long").alias("size"), F.crc32(text).alias("text_crc32"), F.unhex(F.md5(text)).alias("key"))
+    base = docs.select(F.col(id_col).alias("doc_id"), (F.octet_length(text) + F.lit(overhead)).cast("long").alias("size"), F.crc32(text).alias("text_crc32"), F.unhex(F.sha2(text, 256)).alias("key"))
     base = scratch.table(base, "base")
     n = base.count()
     groups = base.groupBy("key").agg(F.sum("size").alias("weight"), F.count("*").alias("copies"))
     unit = F.expr(f"shiftleft(1L, greatest(0, length(bin(weight)) - {BITS}))")
     groups = scratch.table(groups.withColumn("class", ((F.col("weight") / unit).cast("long") * unit).cast("long")), "groups")
     plan = schedule(((r["class"], r["n"]) for r in groups.groupBy("class").agg(F.count("*").alias("n")).collect()), shards)
-    cols = list(zip(*plan, strict=True)) or [()] * 4
-    made = spark.createDataFrame(pa.table([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.int64())], ["class", "shard", "first", "end"]))
+    ends: dict[int, list[int]] = {}
+    for size, shard, _, end in plan:  # ends[size][s]: the first rank that is not in shards 0 to s
+        row = ends.setdefault(size, [0] * shards)
+        row[shard:] = [end] * (shards - shard)
+    made = spark.createDataFrame(pa.table([pa.array(list(ends), pa.int64()), pa.array(list(ends.values()), pa.list_(pa.int64()))], ["class", "ends"]))
     parts = 1 + n // 2_000_000
     ranked = numbered(groups, ["class"], F.xxhash64("key"), ["key"], "rank", parts)
-    made = F.broadcast(made) if len(plan) <= MOST_PLAN_ROWS else made
-    placed = ranked.join(made, "class").where("rank >= first AND rank < end").select("key", "copies", "shard")
+    shard = F.size(F.filter("ends", lambda e: e <= F.col("rank")))
+    placed = ranked.join(F.broadcast(made), "class").select("key", "copies", shard.alias("shard"))  # fewer than 80,000 rows
     placed = scratch.table(placed, "placed")
     rows = scratch.table(heavy_join(base, placed, ["key"], "copies", n).drop("key", "copies"), "rows")
     out = numbered(rows, ["shard"], F.xxhash64("doc_id"), ["doc_id", "text_crc32"], "slot", 16 + n // (shards * 100_000))
