@@ -184,7 +184,7 @@ def test_decontamination_equals_alignment():
             left, row[0] = row[0], i
             for j, b in enumerate(text, 1):
                 left, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, left + (a != b))
-        b = decontam.Benchmark.of([(1, item)], 8, 0.1)
+        (b,) = decontam.Benchmark.of([(1, item)], 8, 0.1)
         got = b.search([decontam.codes(decontam.normal(text))], b.table())
         assert bool(got) == (min(row) <= 10) and (not got or got[0][2] == min(row))
 
