@@ -5,8 +5,10 @@ its encoded stretches (percent-encoding, backslash escapes, base64, and compress
 worklist until nothing new appears. A layer whose content was already seen on the way is not opened again, so cycles
 end, and a layer only opens ones that differ from it.
 
-No layer is dropped for bytes that aren't text: those stand for themselves. Base64 goes on over line breaks. Compressed
-streams are read piece by piece, with an overlap, up to their end or first error, and what follows them is read as well.
+No layer is dropped for bytes that aren't text: those stand for themselves. Base64 goes on over line breaks and is read at all
+four alignments, since a word or path before it belongs to the same letters. Compressed streams are looked for at every place of
+decoded bytes, whatever they were decoded from; they are read piece by piece, with an overlap, up to their end or first
+error, and what follows them is read as well.
 """
 
 from __future__ import annotations
@@ -32,8 +34,12 @@ _ASSIGN = re.compile(
 _ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 _HEX24 = re.compile(r"[0-9a-f]{24,}")
 _URL = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
+_BYTES = re.compile(r"(?:\\x[0-9A-Fa-f]{2}){8,}")
 _ESCAPE = re.compile(r"(?:\\u[0-9A-Fa-f]{4}|\\u\{[0-9A-Fa-f]{1,6}\}|\\x[0-9A-Fa-f]{2}|\\U[0-9A-Fa-f]{8})")
-_BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
+#: Fewer than 16 letters hold fewer than 12 bytes, and the shortest secret has 12; only a zlib stream, which begins so, may hold more.
+_BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}|(?<![A-Za-z0-9+/_-])e[AFJN][A-Za-z0-9+/_-]{9,13}={0,2}")
+_MAGIC = re.compile(rb"\x1f\x8b\x08|\x78[\x01\x5e\x9c\xda]|BZh[1-9]1AY&SY|\xfd7zXZ\x00|\x28\xb5\x2f\xfd", re.S)
+_WIDE = re.compile(rb"(?:[\x20-\x7e]\x00){12}|(?:\x00[\x20-\x7e]){12}")
 _WRAPPED = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]++(?=[ \t\r]*\n)(?:[ \t]*\r?\n[ \t]*[A-Za-z0-9+/_-]++)++={0,2}")
 _LINE = re.compile(r"[A-Za-z0-9+/_-]+={0,2}")
 #: Bytes of an inflated stream that are one layer, and how much of a layer the next one repeats; an encoded stretch that is longer
@@ -79,7 +85,7 @@ def _fed(one, data: bytes) -> Iterator[bytes]:  # noqa: ANN001
         yield one.decompress(data, 1 << 20)
         while not one.eof and not one.needs_input:
             yield one.decompress(b"", 1 << 20)
-    elif hasattr(one, "unconsumed_tail"):
+    elif isinstance(one, _ZLIB):
         yield (more := one.decompress(data, 1 << 20))
         while not one.eof and (one.unconsumed_tail or more):
             yield (more := one.decompress(one.unconsumed_tail, 1 << 20))
@@ -87,29 +93,29 @@ def _fed(one, data: bytes) -> Iterator[bytes]:  # noqa: ANN001
         yield one.decompress(data)
 
 
-def _member(chunks: Iterator[bytes], kind: tuple[Callable, int], rest: list[bytes]) -> Iterator[bytes]:
-    """The output of one stream as far as it goes; the input that is left over goes to ``rest``."""
+def _member(chunks: Iterator[bytes], kind: tuple[Callable, int]) -> Iterator[bytes]:
+    """The output of one stream, up to its end or first error."""
     make, step = kind
     one = make()
     for chunk in chunks:
         for at in range(0, len(chunk), step):
-            part = chunk[at : at + step]
             try:
-                yield from _fed(one, part)
+                yield from _fed(one, chunk[at : at + step])
             except _ERRORS:
-                rest += [part, chunk[at + step :]]
                 return
             if one.eof:
-                rest += [one.unused_data, chunk[at + step :]]
                 return
 
 
+_ZLIB = type(zlib.decompressobj())
 _ERRORS = (OSError, EOFError, ValueError, zlib.error, lzma.LZMAError, zstandard.ZstdError)
+#: Streams that are read one inside another at once; deeper ones are opened as layers of their own.
+_NESTED = 50
 
 
 def _unpacked(chunks: Iterator[bytes], opened: frozenset[bytes] = frozenset()) -> tuple[Iterator[bytes], bool]:
-    """(bytes, whether they were compressed): streams are inflated, also one inside another, and what lies behind one follows it.
-    A stream that begins like one around it is left as it is, so cycles end."""
+    """(bytes, whether they were compressed): a stream is inflated, also one that another begins with. A stream that begins like one
+    around it is left as it is, so cycles end."""
     head = b""
     for chunk in chunks:
         head += chunk
@@ -117,16 +123,9 @@ def _unpacked(chunks: Iterator[bytes], opened: frozenset[bytes] = frozenset()) -
             break
     kind = _maker(head)
     chunks = itertools.chain([head], chunks) if head else iter(())
-    if kind is None or head[:1024] in opened:
+    if kind is None or head[:1024] in opened or len(opened) >= _NESTED:
         return chunks, False
-
-    def out() -> Iterator[bytes]:
-        rest: list[bytes] = []
-        yield from _unpacked(_member(chunks, kind, rest), opened | {head[:1024]})[0]
-        if any(rest):
-            yield from _unpacked(itertools.chain((x for x in rest if x), chunks), opened)[0]
-
-    return out(), True
+    return _unpacked(_member(chunks, kind), opened | {head[:1024]})[0], True
 
 
 def _pieces(chunks: Iterator[bytes]) -> Iterator[bytes]:
@@ -143,16 +142,28 @@ def _pieces(chunks: Iterator[bytes]) -> Iterator[bytes]:
 
 
 def _texts(data: bytes) -> Iterator[tuple[str, int, Callable[[str], int]]]:
-    """(text, first byte, bytes of a character) of decoded bytes: UTF-8 in which other bytes stand for themselves, and UTF-16 if there are NULs."""
+    """(text, first byte, bytes of a character) of decoded bytes: UTF-8 in which other bytes stand for themselves, and UTF-16 where
+    it could hold a secret, which has 12 characters at least."""
     if data:
         yield data.decode("utf-8", "surrogateescape"), 0, lambda c: 1 if c < "\x80" or "\udc80" <= c <= "\udcff" else len(c.encode())
-    if b"\0" in data:
+    if b"\0" in data and _WIDE.search(data):
         for first, code in itertools.product((0, 1), ("utf-16-le", "utf-16-be")):
             even = data[first : len(data) - (len(data) - first) % 2]
             if even:
                 yield even.decode(code, "surrogatepass"), first, lambda c: 4 if c > "\uffff" else 2
 
 
+def _streams(data: bytes) -> Iterator[tuple[int, str]]:
+    """(first byte, text of a piece) of what the compressed streams in some bytes hold, wherever they begin; those inside one that
+    could be read to its end are part of it."""
+    for m in _MAGIC.finditer(data):
+        chunks = (data[k : k + (1 << 16)] for k in range(m.start(), len(data), 1 << 16))
+        inside, packed = _unpacked(chunks)
+        for piece in _pieces(inside) if packed else ():
+            for text, _, _ in _texts(piece):
+                yield m.start(), text
+
+
 def _unbase64(token: str) -> bytes | None:
     """The bytes of all whole groups of four, and of a shorter last group unless it is one letter alone."""
     body = token.rstrip("=").replace("-", "+").replace("_", "/")
@@ -189,7 +200,16 @@ class _Same:
         return [self.span] * len(range(*at.indices(self.n))) if isinstance(at, slice) else self.span
 
 
-def _percent(text: str, spans: list[tuple[int, int]]) -> tuple[str, list[tuple[int, int]]] | None:
+def _runs(text: str, spans: Sequence[tuple[int, int]], pattern: re.Pattern, value: Callable[[str], bytes]) -> Iterator[tuple[bytes, list[tuple[int, int]]]]:
+    """(bytes, span of each) of the stretches of escapes that may hold a compressed stream."""
+    for m in pattern.finditer(text):
+        data = value(m[0])
+        if _MAGIC.search(data):
+            n = len(m[0]) // len(data)
+            yield data, [(spans[k][0], spans[k + n - 1][1]) for k in range(m.start(), m.end(), n)]
+
+
+def _percent(text: str, spans: Sequence[tuple[int, int]]) -> tuple[str, list[tuple[int, int]]] | None:
     out, where, at, changed = [], [], 0, False
     for m in _URL.finditer(text):
         data = bytes.fromhex(m[0].replace("%", ""))
@@ -206,7 +226,7 @@ def _percent(text: str, spans: list[tuple[int, int]]) -> tuple[str, list[tuple[i
     return ("".join(out) + text[at:], where + spans[at:]) if changed else None
 
 
-def _escapes(text: str, spans: list[tuple[int, int]]) -> tuple[str, list[tuple[int, int]]] | None:
+def _escapes(text: str, spans: Sequence[tuple[int, int]]) -> tuple[str, list[tuple[int, int]]] | None:
     out, where, at = [], [], 0
     for m in _ESCAPE.finditer(text):
         code = int(re.sub(r"[^0-9A-Fa-f]", "", m[0][2:]), 16)
@@ -226,36 +246,41 @@ def _escapes(text: str, spans: list[tuple[int, int]]) -> tuple[str, list[tuple[i
                 places.append((where[i][0], where[i + 1][1]))
                 i += 2
             else:
-                joined_.append("�" if "\ud800" <= whole[i] <= "\udfff" else whole[i])
+                joined_.append("\ufffd" if "\ud800" <= whole[i] <= "\udfff" else whole[i])
                 places.append(where[i])
                 i += 1
         whole, where = "".join(joined_), places
     return whole, where
 
 
-def _opened(text: str, spans: list[tuple[int, int]]) -> Iterator[tuple[str, list[tuple[int, int]]]]:
+def _opened(text: str, spans: Sequence[tuple[int, int]]) -> Iterator[tuple[str, Sequence[tuple[int, int]]]]:
     """The layers directly inside one."""
-    if "%" in text and (got := _percent(text, spans)):
-        yield got
-    if "\\" in text and (got := _escapes(text, spans)):
-        yield got
+    if "%" in text:
+        if got := _percent(text, spans):
+            yield got
+        for data, where in _runs(text, spans, _URL, lambda x: bytes.fromhex(x.replace("%", ""))):
+            yield from ((inner, _Same(len(inner), (where[at][0], where[-1][1]))) for at, inner in _streams(data))
+    if "\\" in text:
+        if got := _escapes(text, spans):
+            yield got
+        for data, where in _runs(text, spans, _BYTES, lambda x: bytes.fromhex(x.replace("\\x", ""))):
+            yield from ((inner, _Same(len(inner), (where[at][0], where[-1][1]))) for at, inner in _streams(data))
+    if isinstance(spans, _Same):  # what a stream held may hold others
+        yield from ((inner, _Same(len(inner), spans.span)) for _, inner in _streams(text.encode("utf-8", "surrogateescape")) if inner)
     for token, places in _tokens(text):
-        data = _unbase64(token)
-        if not data:
-            continue
-        chunks, packed = _unpacked(iter([data]))
-        if packed:  # a compressed stream has no place for each character
-            whole = (spans[places[0]][0], spans[places[-1]][1])
-            for piece in _pieces(chunks):
-                for inner, _, _ in _texts(piece):
-                    yield inner, _Same(len(inner), whole)
-        for inner, at, width in _texts(data):
-            where, last = [], len(places) - 1
-            for c in inner:
-                n = width(c)
-                where.append((spans[places[at * 8 // 6]][0], spans[places[min(last, ((at + n) * 8 - 1) // 6)]][1]))
-                at += n
-            yield inner, where
+        for first in range(4):
+            data = _unbase64(token[first:])
+            if not data:
+                continue
+            for at, inner in _streams(data):  # a compressed stream has no place for each character
+                yield inner, _Same(len(inner), (spans[places[first + at * 8 // 6]][0], spans[places[-1]][1]))
+            for inner, at, width in _texts(data):
+                where, last = [], len(places) - 1
+                for c in inner:
+                    n = width(c)
+                    where.append((spans[places[first + at * 8 // 6]][0], spans[places[min(last, first + ((at + n) * 8 - 1) // 6)]][1]))
+                    at += n
+                yield inner, where
 
 
 def _may_open(text: str) -> bool:
