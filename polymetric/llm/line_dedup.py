@@ -14,6 +14,7 @@ from fractions import Fraction
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -161,25 +162,29 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
 
     # the candidates' texts: from one document each, which gives all of its candidates
     wanted = stats.select(F.col("h").alias("node"), "first").join(rough, "node").dropDuplicates(["node"])
-    by_doc = wanted.groupBy(F.col("first").alias("doc_id")).agg(F.collect_list(F.struct("node", "root", "members")).alias("want"))
+    by_doc = wanted.groupBy(F.col("first").alias("doc_id")).agg(F.collect_list(F.struct("node", "root", "members", "bands", "buckets")).alias("want"))
     by_doc = scratch.table(by_doc, "wanted")
     keyed_docs = whole.withColumn("doc_id", F.coalesce("doc_id", F.lit(none))).withColumn("k", F.xxhash64("doc_id"))
     near = bloom_probe(keyed_docs, "k", bloom_words(by_doc.select(F.xxhash64("doc_id").alias("k")), "k"), "maybe").where("maybe").select("doc_id", "text")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: list[tuple] = []
-            for t, want in zip(batch.column(0), batch.column(1), strict=True):
-                left = {w["node"]: w for w in want.as_py()}
+            want = batch.column(1)
+            node, ends = pa.compute.struct_field(want.values, "node").to_numpy(), want.offsets.to_numpy()
+            at, lines = [], []
+            for k, t in enumerate(batch.column(0)):
+                left = {int(node[i]): i for i in range(ends[k], ends[k + 1])}
                 for x in (t.as_py() or "").split("\n"):
                     if not left:
                         break
-                    if (x := normal(x)) and (w := left.pop(line_id(x)[0], None)):
-                        out.append((w["node"], w["root"], w["members"], 1, x))
-            cols = list(zip(*out, strict=True)) or [()] * 5
-            yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in cols[:4]), pa.array(cols[4], pa.string())], ["node", "root", "members", "copies", "text"])
-
-    items = near.join(by_doc, "doc_id").select("text", "want").mapInArrow(cut, "node long, root long, members long, copies long, text string")
+                    if (x := normal(x)) and (i := left.pop(line_id(x)[0], None)) is not None:
+                        at.append(i)
+                        lines.append(x)
+            taken = want.values.take(pa.array(at, pa.int64()))
+            names = ["node", "root", "members", "bands", "buckets"]
+            yield pa.RecordBatch.from_arrays([*(pa.compute.struct_field(taken, n) for n in names), pa.array(np.ones(len(at), np.int64)), pa.array(lines, pa.string())], [*names, "copies", "text"])
+
+    items = near.join(by_doc, "doc_id").select("text", "want").mapInArrow(cut, "node long, root long, members long, bands array<long>, buckets array<struct<unit:long,n:long>>, copies long, text string")
     edges, _ = verified(items, shingle_sets, threshold, scratch, "lines")
     roots = scratch.table(components(edges, scratch, "lines-final"), "final")
 
@@ -190,7 +195,7 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
     nearby = heavy_join(named.where("root IS NOT NULL"), keep.join(roots.groupBy("root").agg(F.count("*").alias("w")), "root"), ["root"], "w", roots.count()).select("h", "h2", "n_rows", F.col("keep.first").alias("first"), F.col("keep.h").alias("keep_h"))
     judged = scratch.table(recurring.unionByName(nearby), "judged")
     gone = heavy_join(each, judged, ["h", "h2"], "n_rows", max(1, stats.agg(F.coalesce(F.sum("n_rows"), F.lit(0))).first()[0])).where("doc_id <> first OR h <> keep_h").groupBy("doc_id").agg(F.collect_set("n").alias("gone"))
-    scratch.drop("rough", "lines-roots", "lines-verified")
+    scratch.drop("rough", "lines-roots", "lines-sized", "lines-cells", "lines-verified")
     empty = F.array().cast("array<int>")
     told = base.select("doc_id", "n_lines", "again").join(gone, "doc_id", "left")
     dropped = F.array_sort(F.array_union("again", F.coalesce("gone", empty)))

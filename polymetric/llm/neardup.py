@@ -2,8 +2,10 @@
 
 A bucket's rows are sorted by (band hash, node) over range partitions, which also split a bucket of any size; each row
 is linked to the first of its bucket in its partition, and partitions that share a bucket are linked through their first rows.
-The links join candidates into rough components. A rough component is cut into blocks of a bounded size, and every pair
-of blocks is verified by exact Jaccard in one bounded unit of work, which gives back counts and a spanning forest, not pairs.
+The links join candidates into rough components. The candidates of a rough component are cut into blocks of a bounded size, and
+every pair of blocks is verified by exact Jaccard in one bounded unit of work, which gives back counts and a spanning
+forest, not pairs. Where strays have joined many small groups into one component, its blocks are those of its buckets
+instead, if they need fewer texts: a pair counts in the first bucket it shares, so both ways verify every pair that meets.
 """
 
 from __future__ import annotations
@@ -88,24 +90,38 @@ def bucket_edges(keyed: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
 
 
 def rough_components(keyed: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
-    """(node, root, members) of the candidates: nodes that share buckets, directly or through others."""
+    """(node, root, members, bands, buckets) of the candidates: nodes that share buckets, directly or through others. bands and buckets
+    (struct of unit, n): the node's own and those of them with others, if its component is verified by buckets, else null."""
     found = scratch.table(components(bucket_edges(keyed, scratch, tag), scratch, f"{tag}-rough"), f"{tag}-roots")
     scratch.drop(f"{tag}-links")
     sizes = found.groupBy("root").agg(F.count("*").alias("members"))
-    return heavy_join(found, sizes, ["root"], "members", found.count())
+    total = found.count()
+    sized = scratch.table(heavy_join(found, sizes, ["root"], "members", total), f"{tag}-sized")
+    large = keyed.join(sized.where(F.col("members") > 2 * BLOCK), "node")
+    texts = lambda c: F.col(c) * F.ceil(F.col(c) / BLOCK)  # noqa: E731 - that units of so many rows need
+    cells = scratch.table(large.select("root", "members", F.explode("bands").alias("unit")).groupBy("root", "members", "unit").agg(F.count("*").alias("n")).where("n > 1"), f"{tag}-cells")
+    split = cells.groupBy("root", "members").agg(F.sum(texts("n")).alias("texts")).where(F.col("texts") < texts("members")).select("root", "members")
+    if split.isEmpty():
+        return sized.withColumn("bands", F.lit(None).cast("array<long>")).withColumn("buckets", F.lit(None).cast("array<struct<unit:long,n:long>>"))
+    marked = scratch.table(heavy_join(large.select("node", "root", "bands"), split, ["root"], "members", total).select("node", "bands"), f"{tag}-marked")
+    each = marked.select("node", F.explode("bands").alias("unit"))
+    met = heavy_join(each, cells.select("unit", "n"), ["unit"], "n", each.count()).groupBy("node").agg(F.collect_list(F.struct("unit", "n")).alias("buckets"))  # as many as bands at most
+    return sized.join(marked.join(met, "node"), "node", "left")
 
 
 def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], threshold: Fraction, scratch: Scratch, tag: str) -> tuple[DataFrame, DataFrame]:
     """Exact verification of rough components.
 
-    items: (node, root, members, copies, text), one row a node. Returns (edges (u, v) that join the same nodes as all
+    items: (node, root, members, bands, buckets, copies, text), one row a node. Returns (edges (u, v) that join the same nodes as all
     pairs with Jaccard at or above the threshold do, links (node, links): for each node the copies at such other nodes).
     """
     num, den = threshold.numerator, threshold.denominator
 
-    def solve(rows: list[tuple], got: list[np.ndarray]) -> list[tuple[int, int, int]]:
-        """rows: (node, block, copies) of two blocks, or of one, by block; got: their sets."""
-        if len(rows) == 2:
+    def solve(rows: list[tuple], got: list[np.ndarray], bucket: int, cross: bool) -> list[tuple[int, int, int]]:
+        """rows: (node, block, copies, text, bands) of two blocks (cross) or of one, by block; got: their sets; bucket: the unit's, if it is one's."""
+        if cross and rows[0][1] == rows[-1][1]:
+            return []  # the other block is empty, and a block's own pairs have a unit
+        if len(rows) == 2 and rows[0][4] is None:
             both = np.concatenate(got)
             both.sort()
             n = len(got[0]) + len(got[1])
@@ -115,7 +131,6 @@ def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], th
             return [(u, u, d), (v, v, c), (u, v, 0)]
         size = np.array([len(g) for g in got])
         low, block = rows[0][1], np.array([r[1] for r in rows])
-        cross = block[-1] != low
         a, b = (np.flatnonzero(block == low), np.flatnonzero(block != low)) if cross else (np.arange(len(rows)),) * 2
         shared = np.zeros((len(a), len(b)), np.int64)
         every = np.concatenate(got)
@@ -134,6 +149,10 @@ def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], th
         ok = shared * (num + den) >= num * (size[a][:, None] + size[b][None, :])
         if not cross:
             np.fill_diagonal(ok, False)
+        if rows[0][4] is not None:  # only pairs whose first common bucket is this one
+            keys = np.array([r[4] for r in rows])
+            same = keys[a][:, None, :] == keys[b][None, :, :]
+            ok &= np.take_along_axis(np.broadcast_to(keys[a][:, None, :], same.shape), same.argmax(axis=2)[:, :, None], 2)[:, :, 0] == bucket
         copies = np.array([r[2] for r in rows], np.int64)
         root = list(range(len(rows)))
 
@@ -160,28 +179,30 @@ def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], th
             cols = list(zip(*found, strict=True)) or [()] * 3
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["u", "v", "links"])
 
-        def solved(units: list[dict[int, tuple]]) -> pa.RecordBatch:
-            ordered = [sorted(u.values(), key=lambda r: (r[1], r[0])) for u in units if len(u) > 1]
-            got = iter(sets([r[3] for rows in ordered for r in rows]))
-            return told([x for rows in ordered for x in solve(rows, [next(got) for _ in rows])])
+        def solved(units: list[tuple[int, bool, dict[int, tuple]]]) -> pa.RecordBatch:
+            ordered = [(key, cross, sorted(u.values(), key=lambda r: (r[1], r[0]))) for key, cross, u in units if len(u) > 1]
+            got = iter(sets([r[3] for *_, rows in ordered for r in rows]))
+            return told([x for key, cross, rows in ordered for x in solve(rows, [next(got) for _ in rows], key, cross)])
 
         key, units, chars = None, [], 0  # whole units wait until there is enough text to hash at once
         for batch in batches:
-            for root, i, j, node, blk, copies, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if (root, i, j) != key:
+            for root, i, j, node, blk, copies, bands, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if (root, i, j, bands is None) != key:
                     if chars > 250_000:
                         yield solved(units)
                         units, chars = [], 0
-                    key = (root, i, j)
-                    units.append({})
-                units[-1].setdefault(node, (node, blk, copies, text or ""))
+                    key = (root, i, j, bands is None)
+                    units.append((root, i != j, {}))
+                units[-1][2].setdefault(node, (node, blk, copies, text or "", bands))
                 chars += len(text or "")
         yield solved(units)
 
-    blocks = F.ceil(F.col("members") / BLOCK).cast("int")
-    own = items.select("root", "node", "copies", "text", blocks.alias("nb")).withColumn("blk", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int"))
-    units = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1))).select("root", F.least("blk", "other").alias("i"), F.greatest("blk", "other").alias("j"), "node", "blk", "copies", "text")
-    dealt = units.repartition(F.col("root"), F.col("i"), F.col("j")).sortWithinPartitions("root", "i", "j")
+    alone = F.array(F.struct(F.col("root").alias("unit"), F.col("members").alias("n")))
+    own = items.select("node", "copies", "bands", "text", F.explode(F.coalesce("buckets", alone)).alias("u")).select("node", "copies", "bands", "text", "u.unit", F.ceil(F.col("u.n") / BLOCK).cast("int").alias("nb"))
+    own = own.withColumn("blk", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int"))
+    units = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("nb") - 1))).select("unit", F.least("blk", "other").alias("i"), F.greatest("blk", "other").alias("j"), "node", "blk", "copies", "bands", "text")
+    kind = F.isnull("bands")
+    dealt = units.repartition(F.col("unit"), F.col("i"), F.col("j"), kind).sortWithinPartitions("unit", "i", "j", kind)
     found = scratch.table(dealt.mapInArrow(run, "u long, v long, links long"), f"{tag}-verified")
     links = found.where("u = v").groupBy(F.col("u").alias("node")).agg(F.sum("links").alias("links"))
     return found.where("u <> v").select("u", "v"), links
