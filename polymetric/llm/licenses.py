@@ -1,5 +1,6 @@
 """Licence scans: sparse TF-IDF cosine of notices to licence templates, then inheritance from the nearest ancestor
-directory that has a licence file, by joins on paths.
+directory that has a licence file, by joins on paths. Files named as licence files are also compared as wholes, and in windows at
+quarter steps, with the texts of short licences and the openings of long ones.
 
 Terms are weighed by their document frequency over the whole table. A unit is a line with an anchor term, a run of such
 lines, or a window of a template's length, over line ends too, that holds an anchor of the template. Terms outside the
@@ -47,6 +48,39 @@ TEMPLATES = {
     "CC-BY-NC-4.0": ["Licensed under CC BY-NC 4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License"],
     "CC-BY-4.0": ["Licensed under CC BY 4.0", "This work is licensed under a Creative Commons Attribution 4.0 International License"],
 }
+_WARRANTY = """THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE."""
+_BSD = """Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution."""
+#: The texts of short licences, and how the files of long ones open.
+FILE_TEMPLATES = {
+    "MIT": [
+        """MIT License Copyright (c) year holder Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.""",
+    ],
+    "ISC": [
+        """ISC License Copyright (c) year holder Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies. THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.""",
+    ],
+    "BSD-2-Clause": [f"BSD 2-Clause License Copyright (c) year, holder All rights reserved. {_BSD} {_WARRANTY}"],
+    "BSD-3-Clause": [
+        f"BSD 3-Clause License Copyright (c) year, holder All rights reserved. {_BSD} 3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. {_WARRANTY}"
+    ],
+    "Unlicense": [
+        """This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means. In jurisdictions that recognize copyright laws, the author or authors of this software dedicate any and all copyright interest in the software to the public domain. We make this dedication for the benefit of the public at large and to the detriment of our heirs and successors."""
+    ],
+    "Apache-2.0": [
+        """Apache License Version 2.0, January 2004 http://www.apache.org/licenses/ TERMS AND CONDITIONS FOR USE, REPRODUCTION, AND DISTRIBUTION 1. Definitions. "License" shall mean the terms and conditions for use, reproduction, and distribution as defined by Sections 1 through 9 of this document. "Licensor" shall mean the copyright owner or entity authorized by the copyright owner that is granting the License."""
+    ],
+    "GPL-3.0": [
+        """GNU GENERAL PUBLIC LICENSE Version 3, 29 June 2007 Copyright (C) 2007 Free Software Foundation, Inc. Everyone is permitted to copy and distribute verbatim copies of this license document, but changing it is not allowed. Preamble The GNU General Public License is a free, copyleft license for software and other kinds of works."""
+    ],
+    "GPL-2.0": [
+        """GNU GENERAL PUBLIC LICENSE Version 2, June 1991 Copyright (C) 1989, 1991 Free Software Foundation, Inc. Everyone is permitted to copy and distribute verbatim copies of this license document, but changing it is not allowed. Preamble The licenses for most software are designed to take away your freedom to share and change it."""
+    ],
+    "LGPL-3.0": [
+        """GNU LESSER GENERAL PUBLIC LICENSE Version 3, 29 June 2007 Copyright (C) 2007 Free Software Foundation, Inc. Everyone is permitted to copy and distribute verbatim copies of this license document, but changing it is not allowed. This version of the GNU Lesser General Public License incorporates the terms and conditions of version 3 of the GNU General Public License, supplemented by the additional permissions listed below."""
+    ],
+    "MPL-2.0": [
+        """Mozilla Public License Version 2.0 1. Definitions 1.1. "Contributor" means each individual or legal entity that creates, contributes to the creation of, or owns Covered Software. 1.2. "Contributor Version" means the combination of the Contributions of others (if any) used by a Contributor and that particular Contributor's Contribution."""
+    ],
+}
 FILE_NAMES = ("license", "licence", "copying", "license.txt", "licence.txt", "license.md", "licence.md", "copying.txt")
 
 
@@ -78,7 +112,10 @@ class Matcher:
 
     def best(self, unit: str) -> tuple[float, str]:
         """(cosine, name) of the nearest template; ties to the first name."""
-        v = {t: n * self.idf.get(t, self.rarest) for t, n in Counter(terms(unit)).items()}
+        return self.best_of(terms(unit))
+
+    def best_of(self, words: list[str]) -> tuple[float, str]:
+        v = {t: n * self.idf.get(t, self.rarest) for t, n in Counter(words).items()}
         norm = math.sqrt(sum(x * x for x in v.values())) or 1.0
         cos = [(sum(x * v.get(t, 0.0) for t, x in vector.items()) / norm, name) for name, vector in self.vectors]
         top = max(c for c, _ in cos)
@@ -136,6 +173,28 @@ class Matcher:
             yield words[at][1], cos, name, plain[max(0, at - longest) : at + longest]
 
 
+class FileMatcher(Matcher):
+    """Whole licence files against whole licences and openings."""
+
+    def __init__(self, templates: dict[str, list[str]], frequency: dict[str, int], n_docs: int, threshold: float):
+        super().__init__(templates, frequency, n_docs, threshold)
+        self.sizes = sorted({n for n, _ in self.own})
+
+    def units(self, text: str) -> Iterator[tuple[int, float, str, list[str]]]:
+        """As of a matcher: the whole file, and windows of each template's length at quarter steps."""
+        words = [(t, i) for i, line in enumerate(text.split("\n")) for t in terms(line)]
+        parts = {(0, len(words))} | {(k, k + n) for n in self.sizes for k in range(0, max(1, len(words) - n + 1), max(1, n // 4))}
+        for a, b in sorted(parts):
+            own = [t for t, _ in words[a:b]]
+            cos, name = self.best_of(own)
+            if own and cos >= self.threshold:
+                yield words[a][1], cos, name, own
+
+
+def is_license_file(path: str | None) -> bool:
+    return (path or "").rsplit("/", 1)[-1].lower() in FILE_NAMES
+
+
 def frequencies(docs: DataFrame, vocabulary: set[str], text_col: str = "text") -> tuple[dict[str, int], int]:
     """Documents with each term of the vocabulary, over all rows, and the number of rows."""
 
@@ -153,35 +212,39 @@ def frequencies(docs: DataFrame, vocabulary: set[str], text_col: str = "text") -
     return {t: counts.get(t, 0) for t in vocabulary}, n
 
 
-def scan_licenses(files: DataFrame, id_col: str = "doc_id", text_col: str = "text", path_col: str = "path", threshold: float = 0.75, templates: dict[str, list[str]] | None = None, scratch: Scratch | None = None) -> DataFrame:
+def scan_licenses(files: DataFrame, id_col: str = "doc_id", text_col: str = "text", path_col: str = "path", threshold: float = 0.75, templates: dict[str, list[str]] | None = None, whole: dict[str, list[str]] | None = None, scratch: Scratch | None = None) -> DataFrame:
     """One row a file: (doc_id, path, own_license, own_similarity, own_line, license, license_dir).
 
     own_*: the file's best notice (ties to the first line), null without one. license: the own one, else that of the nearest ancestor directory
     (its own directory first) with a licence file, which is a file with a notice named as in FILE_NAMES; a directory with several
-    takes the best, ties to the first path. license_dir says where an inherited one comes from. A null text counts as empty; a null
+    takes the best, ties to the first path and name. license_dir says where an inherited one comes from. A null text counts as empty; a null
     path has no directory and inherits nothing; rows may repeat; other columns are ignored.
     """
-    templates = templates or TEMPLATES
+    templates, whole = templates or TEMPLATES, FILE_TEMPLATES if whole is None else whole
     scratch = scratch or Scratch(files.sparkSession)
-    vocabulary = {t for texts in templates.values() for text in texts for t in terms(text)}
+    vocabulary = {t for texts in [*templates.values(), *whole.values()] for text in texts for t in terms(text)}
     known, n_docs = frequencies(files, vocabulary, text_col)
     light = Matcher(templates, known, n_docs, threshold)
-    light.rarest = 1.0  # the least weight, of a term that every document has; the templates' own terms are all known
+    light_whole = FileMatcher(whole, known, n_docs, threshold)
+    light.rarest = light_whole.rarest = 1.0  # the least weight, of a term that every document has; the templates' own terms are all known
 
     def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[str] = set()
         for batch in batches:
-            for t in batch.column(0):
-                for *_, words in light.units(t.as_py() or ""):
-                    seen.update(words)
+            for t, path in zip(batch.column(0), batch.column(1), strict=True):
+                for m in (light, light_whole)[: 1 + is_license_file(path.as_py())]:
+                    for *_, words in m.units(t.as_py() or ""):
+                        seen.update(words)
         yield pa.RecordBatch.from_arrays([pa.array(sorted(seen - vocabulary), pa.string())], ["term"])
 
-    others = {r["term"] for r in files.select(text_col).mapInArrow(near, "term string").distinct().collect()}  # terms beside notices
-    matcher = Matcher(templates, known | (frequencies(files, others, text_col)[0] if others else {}), n_docs, threshold)
+    others = {r["term"] for r in files.select(text_col, path_col).mapInArrow(near, "term string").distinct().collect()}  # terms beside notices
+    known |= frequencies(files, others, text_col)[0] if others else {}
+    matchers = Matcher(templates, known, n_docs, threshold), FileMatcher(whole, known, n_docs, threshold)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [min(((-c, k, n) for k, c, n in matcher.notices(t.as_py() or "")), default=None) for t in batch.column(2)]
+            own = [(t.as_py() or "", matchers[: 1 + is_license_file(p.as_py())]) for p, t in zip(batch.column(1), batch.column(2), strict=True)]
+            found = [min(((-c, k, n) for m in ms for k, c, n in m.notices(t)), default=None) for t, ms in own]
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), batch.column(1), pa.array([f and f[2] for f in found], pa.string()), pa.array([f and -f[0] for f in found], pa.float64()), pa.array([f and f[1] for f in found], pa.int32())],
                 ["doc_id", "path", "own_license", "own_similarity", "own_line"],
@@ -191,7 +254,7 @@ def scan_licenses(files: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     own = scratch.table(own.withColumn("dir", F.expr("regexp_replace(path, '/?[^/]*$', '')")), "own")
     n = own.count()
     named = F.lower(F.regexp_extract("path", "[^/]*$", 0)).isin(*FILE_NAMES)
-    grants = own.where(named & F.col("own_license").isNotNull()).groupBy(F.col("dir").alias("license_dir")).agg(F.min_by("own_license", F.struct(-F.col("own_similarity"), "path")).alias("license"))
+    grants = own.where(named & F.col("own_license").isNotNull()).groupBy(F.col("dir").alias("license_dir")).agg(F.min_by("own_license", F.struct(-F.col("own_similarity"), "path", "own_license")).alias("license"))
     dirs = own.where("dir IS NOT NULL").groupBy("dir").agg(F.count("*").alias("n"))
     parts = F.split("dir", "/")
     ancestors = dirs.select("dir", F.explode(F.transform(F.sequence(F.lit(0), F.size(parts)), lambda k: F.struct(k.alias("depth"), F.concat_ws("/", F.slice(parts, 1, k)).alias("license_dir")))).alias("a")).select("dir", "a.*").distinct()
