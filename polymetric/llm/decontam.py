@@ -80,6 +80,8 @@ def banded(item: np.ndarray, region: np.ndarray, e: int) -> tuple[int, int, int]
         run = np.minimum.accumulate((new - place) * (width + 1) + place)  # insertions run along the row
         source = run % (width + 1)
         cost, start = np.minimum(run // (width + 1) + place, big), frm[source]
+        if cost.min() > e:  # costs never fall from row to row
+            return None
     best = int(np.argmin(cost))
     if cost[best] > e:
         return None
