@@ -10,8 +10,8 @@ from polymetric.spaces import MultiMetricSchema
 #: Anchors are the first of an arithmetic shuffle of the ids, so any engine picks the same.
 ANCHOR_ORDER = "({oid} * 7919 + 104729) % 1000003"
 
-#: Bins of a round of the exact median, and distinct values that the driver may sort.
-BINS, FEW_VALUES = 1_000, 10_000
+#: Error of the sketch that narrows the exact median, as a share of the rows, and rows that may be counted by value.
+SKETCH, FEW_VALUES = 1e-4, 20_000
 
 
 def anchors(df: DataFrame, schema: MultiMetricSchema, n: int = 16) -> DataFrame:
@@ -31,56 +31,55 @@ def observed(df: DataFrame, schema: MultiMetricSchema, pairs: str = "anchors", n
 
 
 def medians(d: DataFrame, names: list[str]) -> tuple[dict[str, float], int]:
-    """Exact medians of columns d_<name> and the number of rows. Equal values are counted once for all; each round then cuts a
-    name's interval into equal bins, counts them and goes on in the one that holds the middle, until few values are left, so
-    neither a task nor the driver holds a column."""
-    cells = ", ".join(f"'{n}', d_{n}" for n in names)
-    counts = d.selectExpr(f"stack({len(names)}, {cells}) AS (space, d)").groupBy("space", "d").agg(F.count("*").alias("n")).persist()
-    try:
-        ends = {r["space"]: r for r in counts.groupBy("space").agg(F.min("d").alias("lo"), F.max("d").alias("hi"), F.sum("n").alias("n"), F.count("*").alias("kinds")).collect()}
-        if not ends:
+    """Exact medians of columns d_<name> and the number of rows, for all names at once. Each pass counts the rows before and inside
+    a name's interval and narrows it, by a sketch of known error, to a few ten-thousandths of them around the middle; once few are
+    left, or no fewer, they are counted by value. Neither a task nor the driver holds a column, and nothing is shuffled by value."""
+    n = 0
+    state: dict[str, tuple[float, float] | None] = dict.fromkeys(names)  # interval that holds both middle rows
+    inside: dict[str, tuple[int, int]] = {}  # rows before it, rows inside
+    wide = list(names)
+    while wide:
+        cells = [F.count("*").alias("n")]
+        for k in wide:
+            c, where = F.col(f"d_{k}"), F.lit(True) if state[k] is None else F.col(f"d_{k}").between(*state[k])
+            before = F.lit(0) if state[k] is None else F.count_if(c < state[k][0])
+            middle = [0.5, 0.5] if state[k] is None else [(r - inside[k][0]) / max(1, inside[k][1]) for r in ((n - 1) // 2, n // 2 + 1)]
+            shares = [max(0.0, min(middle) - 3 * SKETCH), min(1.0, max(middle) + 3 * SKETCH)]
+            cells.append(F.struct(before.alias("before"), F.count_if(where & c.isNotNull()).alias("inside"), F.percentile_approx(F.when(where, c), F.array(*map(F.lit, shares)), F.lit(int(1 / SKETCH))).alias("ends")).alias(k))
+        row = d.agg(*cells).first()
+        n = row["n"]
+        if not n:
             return {}, 0
-        rows = next(iter(ends.values()))["n"]
-        state = {k: [r["lo"], r["hi"], 0, r["kinds"]] for k, r in ends.items()}  # interval, rows before it, distinct values in it
-        while wide := {k: v for k, v in state.items() if v[3] > FEW_VALUES}:
-            bins = [F.when(F.col("space") == k, F.floor((F.col("d") - lo) / ((hi - lo) / BINS))) for k, (lo, hi, _, _) in wide.items()]
-            inside = _inside(wide)
-            got = counts.where(inside).withColumn("bin", F.coalesce(*bins)).groupBy("space", "bin").agg(F.sum("n").alias("n"), F.min("d").alias("lo"), F.max("d").alias("hi"), F.count("*").alias("kinds")).collect()
-            for k in wide:
-                before = state[k][2]
-                for r in sorted((r for r in got if r["space"] == k), key=lambda r: r["bin"]):
-                    if before + r["n"] > (rows - 1) // 2:
-                        state[k] = [r["lo"], r["hi"], before, r["kinds"]]
-                        break
-                    before += r["n"]
-        left = counts.where(_inside(state)).collect()
-        after = {r["space"]: r["d"] for r in counts.where(F.coalesce(*(F.when(F.col("space") == k, F.col("d") > v[1]) for k, v in state.items()))).groupBy("space").agg(F.min("d").alias("d")).collect()}
-    finally:
-        counts.unpersist()
+        after = []
+        for k in wide:
+            before, count, ends = row[k]
+            old, inside[k], state[k] = state[k], (before, count), (ends[0], ends[1])
+            if state[k] != old and 8 * SKETCH * count > FEW_VALUES:
+                after.append(k)
+        wide = after
+    values = [F.struct(F.lit(k).alias("space"), F.col(f"d_{k}").alias("d")) for k in names]
+    ends = F.create_map(*(F.lit(x) for k in names for x in (k, state[k][0]))), F.create_map(*(F.lit(x) for k in names for x in (k, state[k][1])))
+    low = d.agg(*(F.count_if(F.col(f"d_{k}") < state[k][0]).alias(k) for k in names)).first()
+    cut = d.select(F.explode(F.array(*values)).alias("v")).select("v.*").where(F.col("d").between(ends[0][F.col("space")], ends[1][F.col("space")]))
+    counts = cut.groupBy("space", "d").agg(F.count("*").alias("c")).collect()  # values of a few ten-thousandths of the rows, or a few values
     out = {}
-    for k, (_, _, before, _) in state.items():
-        middle = []
-        for r in sorted((r for r in left if r["space"] == k), key=lambda r: r["d"]):
-            middle += [r["d"] for rank in ((rows - 1) // 2, rows // 2) if before <= rank < before + r["n"]]
-            before += r["n"]
-        middle = middle if len(middle) == 2 else [*middle, after[k]]
+    for k in names:
+        before, middle = low[k], []
+        for r in sorted((r for r in counts if r["space"] == k), key=lambda r: r["d"]):
+            middle += [r["d"] for rank in ((n - 1) // 2, n // 2) if before <= rank < before + r["c"]]
+            before += r["c"]
         out[k] = middle[0] + (middle[1] - middle[0]) * 0.5
-    return out, rows
-
-
-def _inside(state: dict[str, list]) -> F.Column:
-    return F.coalesce(*(F.when(F.col("space") == k, F.col("d").between(lo, hi)) for k, (lo, hi, _, _) in state.items()))
+    return out, n
 
 
 def norm_table(df: DataFrame, schema: MultiMetricSchema, pairs: str = "anchors", n: int = 16, policy: str = "median2", exact: bool = True) -> DataFrame:
     """(space, sigma, n_pairs), one pass for all spaces. policy: median2, max, mean or none; a constant space gets 1.
     exact False takes a sketch for the median."""
     d = observed(df, schema, pairs, n)
-    if pairs == "all" and policy == "median2" and exact:
+    if policy == "median2" and exact:
         found, n_pairs = medians(d, schema.names)
         return df.sparkSession.createDataFrame([(k, 2 * found[k] if found.get(k, 0) > 0 else 1.0, n_pairs) for k in schema.names], "space string, sigma double, n_pairs long")
-    middle = F.percentile if exact else F.percentile_approx
-    stat = {"median2": lambda c: 2 * middle(c, F.lit(0.5)), "max": F.max, "mean": F.avg, "none": lambda c: F.max(F.lit(1.0))}[policy]
+    stat = {"median2": lambda c: 2 * F.percentile_approx(c, F.lit(0.5)), "max": F.max, "mean": F.avg, "none": lambda c: F.max(F.lit(1.0))}[policy]
     row = d.agg(F.count("*").alias("n_pairs"), *(stat(F.col(f"d_{s.name}")).alias(s.name) for s in schema.spaces))
     cells = ", ".join(f"'{s.name}', {s.name}" for s in schema.spaces)
     return row.selectExpr(f"stack({len(schema.spaces)}, {cells}) AS (space, s)", "n_pairs").select("space", F.when(F.col("s") > 0, F.col("s")).otherwise(1.0).alias("sigma"), "n_pairs")

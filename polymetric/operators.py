@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from polymetric.fixtures import run_sql
-from polymetric.streaming import shared_folder
+from polymetric.store import new_folder
 
 #: name -> ANSI text that Spark and DuckDB both run.
 SQL = {
@@ -80,7 +80,7 @@ def _part(spark: SparkSession, d: str) -> DataFrame:
 
 def _round_trip(kind: str) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, d: str) -> DataFrame:
-        df, folder = _part(spark, d), shared_folder(spark)
+        df, folder = _part(spark, d), new_folder(spark)
         if kind == "text":
             df.select(F.to_json(F.struct("*"))).write.text(folder)
             return spark.read.text(folder).select(F.from_json("value", df.schema).alias("v")).select("v.*")

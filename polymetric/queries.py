@@ -16,6 +16,7 @@ from polymetric.index import MultiMetricIndex, knn_batch, knn_scan, leaf_boxes,
 from polymetric.normalize import fit_normaliser, norm_table
 from polymetric.rewards import reward_sql
 from polymetric.spaces import MultiMetricSchema, check_metric, query_row
+from polymetric.store import new_folder, once
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -50,7 +51,7 @@ def duck_norm(name: str, schema: MultiMetricSchema | None = None) -> str:
     s = schema or fixtures.schema(name)
     sig = ", ".join(f"CASE WHEN quantile_cont(d_{x.name}, 0.5) > 0 THEN 2 * quantile_cont(d_{x.name}, 0.5) ELSE 1.0 END AS s_{x.name}" for x in s.spaces)
     each = ", ".join(f"{x.sql('f.' + x.name, 'a.' + x.name, True)} AS d_{x.name}" for x in s.spaces)
-    return f"""WITH f AS ({fixtures.duck_sql(name)}), a AS (SELECT * FROM f ORDER BY (oid * 7919 + 104729) % 1000003, oid LIMIT 16),
+    return f"""WITH f AS MATERIALIZED ({fixtures.duck_sql(name)}), a AS (SELECT * FROM f ORDER BY (oid * 7919 + 104729) % 1000003, oid LIMIT 16),
     norm AS (SELECT {sig} FROM (SELECT {each} FROM f, a)), q AS (SELECT * FROM f WHERE oid = {top(name)})"""
 
 
@@ -72,15 +73,22 @@ def duck_knn(name: str, w: Mapping[str, float], k: int) -> str:
 
 # ---- helpers -------------------------------------------------------------------------------------------------------
 class Setup:
-    """A fixture with its schema, normaliser, weights and query."""
+    """A fixture with its schema, normaliser, weights and query. The normaliser and each index are made once in an application; an
+    index is saved, and queries read it from where it was saved."""
 
     def __init__(self, spark: SparkSession, sf_dir: str, name: str, w: Mapping[str, float] | None = None):
+        self.spark, self.key = spark, (sf_dir, name)
         self.df, self.schema = fixtures.load(spark, sf_dir, name), fixtures.schema(name)
-        self.sigma = fit_normaliser(self.df, self.schema)
-        self.w, self.q, self.r = self.schema.weights(w), query_row(self.df, self.schema, top(name)), RADIUS[name]
+        self.sigma = once(spark, ("sigma", *self.key), lambda: fit_normaliser(self.df, self.schema))
+        self.q = once(spark, ("q", *self.key), lambda: query_row(self.df, self.schema, top(name)))
+        self.w, self.r = self.schema.weights(w), RADIUS[name]
 
     def index(self, **options) -> MultiMetricIndex:  # noqa: ANN003
-        return MultiMetricIndex.build(self.df, self.schema, sigma=self.sigma, **options)
+        return once(self.spark, ("index", *self.key, *sorted(options.items())), lambda: MultiMetricIndex.build(self.df, self.schema, sigma=self.sigma, **options).save(new_folder(self.spark)))
+
+    def of(self, df: DataFrame, **options) -> MultiMetricIndex:  # noqa: ANN003
+        """An index of other rows under this normaliser."""
+        return MultiMetricIndex.build(df, self.schema, sigma=self.sigma, **options)
 
 
 def slim(df: DataFrame) -> DataFrame:
@@ -97,7 +105,7 @@ for _name in ("rental", "food", "air", "quad", "evt", "tiny"):
     query(f"n1_median_norm_{_name}", f"{duck_norm(_name)} " + " UNION ALL ".join(f"SELECT '{s.name}' AS space, round(s_{s.name}, 6) AS sigma FROM norm" for s in fixtures.schema(_name).spaces))(_norms)
 
 _s4 = fixtures.schema("rental")
-query("n2_median_norm_allpairs", f"WITH f AS ({fixtures.duck_sql("quad")}) " + " UNION ALL ".join(f"(SELECT '{s.name}' AS space, round(COALESCE(NULLIF(2 * quantile_cont({s.sql('f.' + s.name, 'g.' + s.name, True)}, 0.5), 0), 1.0), 6) AS sigma FROM f, f g)" for s in fixtures.schema("quad").spaces))(
+query("n2_median_norm_allpairs", f"WITH f AS MATERIALIZED ({fixtures.duck_sql("quad")}) " + " UNION ALL ".join(f"(SELECT '{s.name}' AS space, round(COALESCE(NULLIF(2 * quantile_cont({s.sql('f.' + s.name, 'g.' + s.name, True)}, 0.5), 0), 1.0), 6) AS sigma FROM f, f g)" for s in fixtures.schema("quad").spaces))(
     lambda spark, d: norm_table(fixtures.load(spark, d, "quad"), fixtures.schema("quad"), pairs="all").select("space", F.round("sigma", 6).alias("sigma"))
 )
 for _policy, _agg in (("max", "max({0})"), ("mean", "avg({0})"), ("none", "1.0")):
@@ -113,7 +121,7 @@ for _key, (_fx, _col, _kind, _width) in _DISTANCES.items():
         q = F.broadcast(df.where(F.col("oid") == QID).select(F.col(sp.name).alias("q_")))
         return df.join(q).select("oid", F.expr(f"round({sp.sql(sp.name, 'q_')}, 6)").alias("d"))
 
-    query(_key, f"WITH f AS ({fixtures.duck_sql(_fx)}) SELECT f.oid, round({_sp.sql('f.' + _col, 'q.' + _col, True)}, 6) AS d FROM f, f q WHERE q.oid = {QID}")(_dist)
+    query(_key, f"WITH f AS MATERIALIZED ({fixtures.duck_sql(_fx)}) SELECT f.oid, round({_sp.sql('f.' + _col, 'q.' + _col, True)}, 6) AS d FROM f, f q WHERE q.oid = {QID}")(_dist)
 
 _words = MultiMetricSchema.of(("words", "jaccard")).spaces[0]
 query("d6_jaccard", f"WITH f AS (SELECT oid, string_split(labels, ' ') AS words FROM ({fixtures.duck_sql('food')})) SELECT f.oid, round({_words.sql('f.words', 'q.words', True)}, 6) AS d FROM f, f q WHERE q.oid = {QID}")(
@@ -148,13 +156,13 @@ _BATCH = "oid % 97 = 7 AND oid < 97 * 30"  # the 30 training queries of the expe
 #: Searches, distances and recalls are asked by every row whose id is divisible by 20.
 ASK = "oid % 20 = 0"
 _duck_asked = f"{duck_norm('rental')}, p AS (SELECT g.oid AS qid, f.oid, {duck_dist(_s4, skew(_s4), 'f', 'g')} AS dist FROM f, (SELECT * FROM f WHERE {ASK}) g, norm)"
-query("q3_range_batch", f"{_duck_asked} SELECT qid, oid, round(dist, 6) AS mm_dist FROM p WHERE dist <= 0.4")(lambda spark, d: (lambda s: range_batch(s.df, s.df.where(ASK), s.schema, s.w, 0.4, s.sigma).select("qid", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, "rental", skew(_s4))))
+query("q3_range_batch", f"{_duck_asked} SELECT qid, oid, round(dist, 6) AS mm_dist FROM p WHERE dist <= 0.15")(lambda spark, d: (lambda s: range_batch(s.df, s.df.where(ASK), s.schema, s.w, 0.15, s.sigma).select("qid", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, "rental", skew(_s4))))
 query("k3_knn_batch", f"{_duck_asked} SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY dist, oid) AS INT) AS rank, oid, round(dist, 6) AS mm_dist FROM p QUALIFY rank <= 50")(lambda spark, d: (lambda s: knn_batch(s.df, s.df.where(ASK), s.schema, s.w, 50, s.sigma).select("qid", "rank", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, "rental", skew(_s4))))
 query("q4_radius_for_share", f"{_duck_asked} SELECT qid, " + ", ".join(f"round(quantile_cont(dist, {x / 100}), 6) AS r{x}" for x in (1, 2, 4, 8, 16)) + " FROM p GROUP BY qid")(lambda spark, d: (lambda s: paired(s.df, s.df.where(ASK), s.schema, s.w, s.sigma).groupBy("qid").agg(*(F.round(F.percentile("dist", F.lit(x / 100)), 6).alias(f"r{x}") for x in (1, 2, 4, 8, 16))))(Setup(spark, d, "rental", skew(_s4))))
-query("m2_distance_pairs", f"{duck_norm('rental')} SELECT g.oid AS qid, f.oid, " + ", ".join(f"round({s.sql('f.' + s.name, 'g.' + s.name, True)} / s_{s.name}, 6) AS d_{s.name}" for s in _s4.spaces) + f" FROM f, (SELECT * FROM f WHERE {ASK}) g, norm")(lambda spark, d: (lambda s: weights.cache_distances(s.df, s.df.where(ASK), s.schema, s.sigma).select("qid", "oid", *(F.round(f"d_{n}", 6).alias(f"d_{n}") for n in s.schema.names)))(Setup(spark, d, "rental")))
+query("m2_distance_pairs", f"{duck_norm('quad')} SELECT g.oid AS qid, f.oid, " + ", ".join(f"round({s.sql('f.' + s.name, 'g.' + s.name, True)} / s_{s.name}, 6) AS d_{s.name}" for s in fixtures.schema("quad").spaces) + f" FROM f, (SELECT * FROM f WHERE {ASK}) g, norm")(lambda spark, d: (lambda s: weights.cache_distances(s.df, s.df.where(ASK), s.schema, s.sigma).select("qid", "oid", *(F.round(f"d_{n}", 6).alias(f"d_{n}") for n in s.schema.names)))(Setup(spark, d, "quad")))
 
 # ---- pivots and bounds -------------------------------------------------------------------------------------------
-query("g1_pivot_farthest", f"WITH f AS ({fixtures.duck_sql('rental')}), o AS (SELECT * FROM f ORDER BY oid LIMIT 1) " + " UNION ALL ".join(f"SELECT * FROM (SELECT '{s.name}' AS space, f.oid FROM f, o ORDER BY round({s.sql('f.' + s.name, 'o.' + s.name, True)}, 9) DESC, f.oid LIMIT 1)" for s in _s4.spaces))(
+query("g1_pivot_farthest", f"WITH f AS MATERIALIZED ({fixtures.duck_sql('rental')}), o AS (SELECT * FROM f ORDER BY oid LIMIT 1) " + " UNION ALL ".join(f"SELECT * FROM (SELECT '{s.name}' AS space, f.oid FROM f, o ORDER BY round({s.sql('f.' + s.name, 'o.' + s.name, True)}, 9) DESC, f.oid LIMIT 1)" for s in _s4.spaces))(
     lambda spark, d: spark.createDataFrame([(n, p[0]["oid"]) for n, p in select_pivots(fixtures.load(spark, d, "rental"), _s4).items()], "space string, oid long")
 )
 
@@ -166,7 +174,7 @@ def _given(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _t = fixtures.schema("tiny").spaces
-query("g3_g4_pivot_map_given", f"WITH f AS ({fixtures.duck_sql('tiny')}) SELECT f.oid, " + ", ".join(f"round({s.sql('f.' + s.name, f'p{i}.' + s.name, True)}, 6) AS v_{s.name}" for i, s in enumerate(_t)) + " FROM f, f p0, f p1, f p2 WHERE p0.oid = 2 AND p1.oid = 4 AND p2.oid = 7")(_given)
+query("g3_g4_pivot_map_given", f"WITH f AS MATERIALIZED ({fixtures.duck_sql('tiny')}) SELECT f.oid, " + ", ".join(f"round({s.sql('f.' + s.name, f'p{i}.' + s.name, True)}, 6) AS v_{s.name}" for i, s in enumerate(_t)) + " FROM f, f p0, f p1, f p2 WHERE p0.oid = 2 AND p1.oid = 4 AND p2.oid = 7")(_given)
 query("g9_leaf_boxes_cover")(lambda spark, d: leaf_boxes(Setup(spark, d, "rental").index().objects, _s4).select("leaf_id", "n_objects"))
 query("g12_load_balance")(lambda spark, d: measures.balance(Setup(spark, d, "rental").index(), (2, 4, 6, 8, 10)))
 query("e11_e12_explain_query")(lambda spark, d: (lambda s: measures.explain_query(s.index(), s.q, s.w, 0.4))(Setup(spark, d, "rental", skew(_s4))))
@@ -254,14 +262,14 @@ query("wl14_tiny_range", duck_range("tiny", ONES["tiny"], 0.5))(lambda spark, d:
 # ---- local indexes, SQL surface, streams, tuning -------------------------------------------------------------------------
 for _fx, _sp in (("rental", "price"), ("rental", "loc"), ("food", "picture"), ("food", "labels")):
     _s = next(x for x in fixtures.schema(_fx).spaces if x.name == _sp)
-    query(f"li1_hidden_dimension_{_sp}", f"WITH f AS ({fixtures.duck_sql(_fx)}), a AS (SELECT * FROM f ORDER BY (oid * 7919 + 104729) % 1000003, oid LIMIT 16), d AS (SELECT {_s.sql('f.' + _sp, 'a.' + _sp, True)} AS d FROM f, a) SELECT round(avg(d) * avg(d) / (2 * var_pop(d)), 6) AS hd FROM d")(lambda spark, d, fx=_fx, s=_s: local_index.hidden_dimension(fixtures.load(spark, d, fx), s).select(F.round("hd", 6).alias("hd")))
+    query(f"li1_hidden_dimension_{_sp}", f"WITH f AS MATERIALIZED ({fixtures.duck_sql(_fx)}), a AS (SELECT * FROM f ORDER BY (oid * 7919 + 104729) % 1000003, oid LIMIT 16), d AS (SELECT {_s.sql('f.' + _sp, 'a.' + _sp, True)} AS d FROM f, a) SELECT round(avg(d) * avg(d) / (2 * var_pop(d)), 6) AS hd FROM d")(lambda spark, d, fx=_fx, s=_s: local_index.hidden_dimension(fixtures.load(spark, d, fx), s).select(F.round("hd", 6).alias("hd")))
 for _key, _kinds in {"li14_forest": {}, "v1_low_as_mtree": {"low": "mtree"}, "v2_high_as_mtree": {"high": "mtree"}}.items():
     _w = skew(fixtures.schema("food"))
     query(f"{_key}_range", duck_range("food", _w, 0.8))(lambda spark, d, w=_w, k=_kinds: (lambda s: slim(local_index.Forest(s.index(), k).range(s.q, s.w, 0.8)))(Setup(spark, d, "food", w)))
     query(f"{_key}_knn", duck_knn("food", _w, 10))(lambda spark, d, w=_w, k=_kinds: (lambda s: slim(local_index.Forest(s.index(), k).knn(s.q, s.w, 10)))(Setup(spark, d, "food", w)))
 for _fx, _sp, _cls, _t in (("rental", "price", "rtree", 20000.0), ("rental", "loc", "rtree", 2.0), ("food", "picture", "mvp", 8.0), ("food", "picture", "mtree", 8.0), ("food", "labels", "inverted", 6.0), ("rental", "size", "mtree", 10.0)):
     _s = next(x for x in fixtures.schema(_fx).spaces if x.name == _sp)
-    query(f"li_{_cls}_range_{_sp}", f"WITH f AS ({fixtures.duck_sql(_fx)}) SELECT f.oid FROM f, f q WHERE q.oid = {QID} AND {_s.sql('f.' + _sp, 'q.' + _sp, True)} <= {_t}")(lambda spark, d, fx=_fx, s=_s, c=_cls, t=_t: (lambda p: local_index._KINDS[c](p.index().objects, s).range(p.q[s.name], t))(Setup(spark, d, fx)))
+    query(f"li_{_cls}_range_{_sp}", f"WITH f AS MATERIALIZED ({fixtures.duck_sql(_fx)}) SELECT f.oid FROM f, f q WHERE q.oid = {QID} AND {_s.sql('f.' + _sp, 'q.' + _sp, True)} <= {_t}")(lambda spark, d, fx=_fx, s=_s, c=_cls, t=_t: (lambda p: local_index._KINDS[c](p.index().objects, s).range(p.q[s.name], t))(Setup(spark, d, fx)))
 
 _w9 = ", ".join(str(x) for x in skew(fixtures.schema("food")).values())
 for _key, _text, _sqltext in (

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from collections.abc import Iterator, Mapping
 from typing import Any
-from uuid import uuid4
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -12,6 +11,7 @@ from pyspark.sql import functions as F
 
 from polymetric.index import MultiMetricIndex
 from polymetric.spaces import MultiMetricSchema, mm_distance
+from polymetric.store import new_folder
 from polymetric.updates import place
 
 
@@ -97,15 +97,9 @@ def near_pairs(left: DataFrame, right: DataFrame, key: str, ts: str, within: str
     return a.join(b, F.expr(f"l_{key} = r_{key} AND r_{ts} > l_{ts} AND r_{ts} <= l_{ts} + INTERVAL {within} AND ({condition})"))
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """A new folder under spark.checkpoint.dir, which all executors see; where that is unset (tests), under the warehouse."""
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
-    return f"{base.rstrip('/')}/polymetric_{uuid4().hex}"
-
-
 def landed(df: DataFrame) -> DataFrame:
     """Runs a stream in append mode over what is there now, into Parquet in the shared folder; restartable from its checkpoint."""
-    spark, folder = df.sparkSession, shared_folder(df.sparkSession)
+    spark, folder = df.sparkSession, new_folder(df.sparkSession)
     df.writeStream.format("parquet").option("checkpointLocation", f"{folder}/state").option("path", f"{folder}/rows").outputMode("append").trigger(availableNow=True).start().awaitTermination()
     return spark.read.schema(df.schema).parquet(f"{folder}/rows")
 
@@ -113,7 +107,7 @@ def landed(df: DataFrame) -> DataFrame:
 def upserted(df: DataFrame, keys: list[str]) -> DataFrame:
     """Runs a stream in update mode; each batch lands as Parquet with its number, and the last row of each key counts.
     A batch that runs again overwrites its own folder."""
-    spark, folder = df.sparkSession, shared_folder(df.sparkSession)
+    spark, folder = df.sparkSession, new_folder(df.sparkSession)
 
     def write(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{folder}/rows/batch={number}")

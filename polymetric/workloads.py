@@ -9,7 +9,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from polymetric import baselines, batch, fixtures, local_index, measures, sources, streaming, tuning, updates, weights
+from polymetric import baselines, batch, fixtures, local_index, measures, sources, store, streaming, tuning, updates, weights
 from polymetric.index import knn_scan, range_scan, select_pivots
 from polymetric.normalize import norm_table
 from polymetric.queries import _BATCH, ASK, ONES, QID, Setup, duck_dist, duck_knn, duck_norm, duck_range, duck_scan, query, skew, slim
@@ -29,7 +29,7 @@ def _ranked(df: DataFrame) -> DataFrame:
 
 
 _TOP10 = "SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY dist, oid) AS INT) AS rank, oid, round(dist, 6) AS mm_dist FROM p QUALIFY rank <= 10"
-for _name, _r in (("rental", 0.3), ("food", 0.8)):
+for _name, _r in (("rental", 0.15), ("food", 0.8)):
     _w = skew(fixtures.schema(_name))
     query(f"q3_range_batch_indexed_{_name}", f"{_duck_asked(_name, _w)} SELECT qid, oid, round(dist, 6) AS mm_dist FROM p WHERE dist <= {_r}")(lambda spark, d, n=_name, w=_w, r=_r: (lambda s: batch.range_queries(s.index(), s.df.where(ASK), s.w, r).select("qid", "oid", F.round("dist", 6).alias("mm_dist")))(Setup(spark, d, n, w)))
     query(f"k3_knn_batch_indexed_{_name}", f"{_duck_asked(_name, _w)} {_TOP10}")(lambda spark, d, n=_name, w=_w: (lambda s: _ranked(batch.knn_queries(s.index(), s.df.where(ASK), s.w, 10)))(Setup(spark, d, n, w)))
@@ -52,7 +52,7 @@ query("n3_median_norm_sampled")(lambda spark, d: norm_table(fixtures.load(spark,
 
 # ---- pivots ----------------------------------------------------------------------------------------------------------
 query("g2_pivots_several")(lambda spark, d: spark.createDataFrame([(n, j, p["oid"]) for n, ps in select_pivots(fixtures.load(spark, d, "rental"), _RENTAL, 3).items() for j, p in enumerate(ps)], "space string, ord int, oid long"))
-query("g3_pivots_random", "WITH f AS (" + fixtures.duck_sql("rental") + "), p AS (SELECT oid, row_number() OVER (ORDER BY (oid * 6007 + 1) % 1000033, oid) AS j FROM f QUALIFY j <= 1) " + " UNION ALL ".join(f"SELECT '{n}' AS space, oid FROM p" for n in _RENTAL.names))(lambda spark, d: spark.createDataFrame([(n, p[0]["oid"]) for n, p in select_pivots(fixtures.load(spark, d, "rental"), _RENTAL, 1, "random").items()], "space string, oid long"))
+query("g3_pivots_random", "WITH f AS MATERIALIZED (" + fixtures.duck_sql("rental") + "), p AS (SELECT oid, row_number() OVER (ORDER BY (oid * 6007 + 1) % 1000033, oid) AS j FROM f QUALIFY j <= 1) " + " UNION ALL ".join(f"SELECT '{n}' AS space, oid FROM p" for n in _RENTAL.names))(lambda spark, d: spark.createDataFrame([(n, p[0]["oid"]) for n, p in select_pivots(fixtures.load(spark, d, "rental"), _RENTAL, 1, "random").items()], "space string, oid long"))
 query("bl2d_bound_then_range_distributed", duck_knn("rental", skew(_RENTAL), 10))(lambda spark, d: (lambda s: slim(baselines.bound_then_range(s.df.repartition(8, "oid"), s.schema, s.q, s.w, 10, s.sigma, s.schema.names)))(Setup(spark, d, "rental", skew(_RENTAL))))
 
 # ---- updates -----------------------------------------------------------------------------------------------------------
@@ -65,9 +65,7 @@ query("p4_compact", f"{_MOVED} SELECT oid, round(dist, 6) AS mm_dist FROM d WHER
 def _inserted(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = Setup(spark, sf_dir, "rental", skew(_RENTAL))
     late = F.col("oid") % 4 == 1
-    old = Setup.__new__(Setup)
-    old.df, old.schema, old.sigma = s.df.where(~late), s.schema, s.sigma
-    return slim(updates.insert(old.index(), s.df.where(late)).range(s.q, s.w, 0.4))
+    return slim(updates.insert(s.of(s.df.where(~late)), s.df.where(late)).range(s.q, s.w, 0.4))
 
 
 @query("p5_drift")
@@ -140,10 +138,8 @@ def _pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _ingested(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Half of the events are indexed, the others arrive as a stream; the query sees both."""
     s = Setup(spark, sf_dir, "evt")
-    half = Setup.__new__(Setup)
-    half.df, half.schema, half.sigma = s.df.where("oid % 2 = 1"), s.schema, s.sigma
-    index = half.index(depth=3)
-    delta = streaming.ingest(_arriving(spark, sf_dir).where("oid % 2 = 0"), index, streaming.shared_folder(spark))
+    index = s.of(s.df.where("oid % 2 = 1"), depth=3)
+    delta = streaming.ingest(_arriving(spark, sf_dir).where("oid % 2 = 0"), index, store.new_folder(spark))
     return slim(updates.with_delta(index, delta).range(s.q, s.w, 0.5))
 
 
@@ -165,7 +161,7 @@ def _build(spark: SparkSession, sf_dir: str) -> DataFrame:
         s = Setup(spark, sf_dir, name)
         made = {"index": lambda s=s: [s.index().objects], "per_space": lambda s=s: [p.objects for p in baselines.PerSpaceIndex(s.df, s.schema, s.sigma).parts.values()], "bound_then_range": lambda s=s: [s.df.repartition(8, "oid")]}
         for system, build in made.items():
-            folder, began = streaming.shared_folder(spark), time.perf_counter()
+            folder, began = store.new_folder(spark), time.perf_counter()
             for i, df in enumerate(build()):
                 df.write.parquet(f"{folder}/{i}")
             took = time.perf_counter() - began
@@ -309,7 +305,7 @@ query("wl2_update_cost")(lambda spark, d: (lambda s: spark.createDataFrame([(lab
 def _source(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The index is saved, and read again by its format's name; its leaves were chosen by the boxes."""
     s = Setup(spark, sf_dir, "food", skew(_FOOD))
-    index, folder = s.index(depth=3), streaming.shared_folder(spark)
+    index, folder = s.index(depth=3), store.new_folder(spark)
     index.save(folder)
     sources.register(spark)
     kept = index.keep_leaves(index.query_pivots(s.q), s.w, 0.8)

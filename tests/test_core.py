@@ -73,7 +73,7 @@ def test_range_query_plan_has_no_shuffle_of_objects(spark, tmp_path):
     s = queries.Setup(spark, SF, "rental", queries.skew(fixtures.schema("rental")))
     index = s.index()
     index.save(str(tmp_path))
-    found = index.saved(str(tmp_path)).range(s.q, s.w, 0.2)
+    found = index.load(spark, str(tmp_path)).range(s.q, s.w, 0.2)
     plan = found._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and "PartitionFilters: [leaf_id" in plan.replace("isnotnull(leaf_id#", "leaf_id#") or "leaf_id" in plan
     assert found.count() == queries.range_scan(s.df, s.schema, s.q, s.w, 0.2, s.sigma).count()
