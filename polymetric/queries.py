@@ -149,6 +149,7 @@ for _name in ("rental", "food"):
     for _k in (1, 10, 50):
         query(f"k2_knn_{_name}_{_k}", duck_knn(_name, _w, _k))(lambda spark, d, n=_name, w=_w, k=_k: (lambda s: slim(s.index().knn(s.q, s.w, k)))(Setup(spark, d, n, w)))
     query(f"k2_knn_{_name}_per_space_seed", duck_knn(_name, _w, 10))(lambda spark, d, n=_name, w=_w: (lambda s: slim(s.index().knn(s.q, s.w, 10, seed="per_space")))(Setup(spark, d, n, w)))
+    query(f"k4_knn_{_name}_medoid", duck_knn(_name, _w, 10))(lambda spark, d, n=_name, w=_w: (lambda s: slim(s.index().knn(s.q, s.w, 10, centre="medoid")))(Setup(spark, d, n, w)))
     query(f"k4_knn_{_name}_mindist", duck_knn(_name, _w, 10))(lambda spark, d, n=_name, w=_w: (lambda s: slim(s.index().knn(s.q, s.w, 10, centre="mindist", seeds=3)))(Setup(spark, d, n, w)))
 query("m3_knn_switched_off_spaces", duck_knn("food", {n: float(i % 2 == 0) for i, n in enumerate(fixtures.schema("food").names)}, 20))(lambda spark, d: (lambda s: slim(s.index().knn(s.q, s.w, 20)))(Setup(spark, d, "food", {n: float(i % 2 == 0) for i, n in enumerate(fixtures.schema("food").names)})))
 
@@ -267,9 +268,19 @@ for _key, _kinds in {"li14_forest": {}, "v1_low_as_mtree": {"low": "mtree"}, "v2
     _w = skew(fixtures.schema("food"))
     query(f"{_key}_range", duck_range("food", _w, 0.8))(lambda spark, d, w=_w, k=_kinds: (lambda s: slim(local_index.Forest(s.index(), k).range(s.q, s.w, 0.8)))(Setup(spark, d, "food", w)))
     query(f"{_key}_knn", duck_knn("food", _w, 10))(lambda spark, d, w=_w, k=_kinds: (lambda s: slim(local_index.Forest(s.index(), k).knn(s.q, s.w, 10)))(Setup(spark, d, "food", w)))
-for _fx, _sp, _cls, _t in (("rental", "price", "rtree", 20000.0), ("rental", "loc", "rtree", 2.0), ("food", "picture", "mvp", 8.0), ("food", "picture", "mtree", 8.0), ("food", "labels", "inverted", 6.0), ("rental", "size", "mtree", 10.0)):
+query("li1b_forest_global_choice", duck_range("food", skew(fixtures.schema("food")), 0.8))(lambda spark, d: (lambda s: slim(local_index.Forest(s.index(), scope="global").range(s.q, s.w, 0.8)))(Setup(spark, d, "food", skew(fixtures.schema("food")))))
+query("b5_pigeonhole_nodes", duck_range("rental", _wl, 0.06))(lambda spark, d: (lambda s: slim(local_index.Forest(s.index()).range(s.q, s.w, 0.06)))(Setup(spark, d, "rental", _wl)))
+
+
+def _local(p: Setup, kind: str, space) -> local_index._Local:  # noqa: ANN001
+    return once(p.spark, ("local", *p.key, kind, space.name), lambda: local_index._KINDS[kind](p.index().objects, space))
+
+
+for _fx, _sp, _cls, _t in (("rental", "price", "rtree", 20000.0), ("rental", "loc", "rtree", 2.0), ("food", "picture", "rtree", 8.0), ("food", "picture", "mvp", 8.0), ("food", "picture", "mtree", 8.0), ("food", "labels", "inverted", 6.0), ("rental", "size", "mtree", 10.0), ("rental", "review", "mvp", 3.0)):
     _s = next(x for x in fixtures.schema(_fx).spaces if x.name == _sp)
-    query(f"li_{_cls}_range_{_sp}", f"WITH f AS MATERIALIZED ({fixtures.duck_sql(_fx)}) SELECT f.oid FROM f, f q WHERE q.oid = {QID} AND {_s.sql('f.' + _sp, 'q.' + _sp, True)} <= {_t}")(lambda spark, d, fx=_fx, s=_s, c=_cls, t=_t: (lambda p: local_index._KINDS[c](p.index().objects, s).range(p.q[s.name], t))(Setup(spark, d, fx)))
+    _d = _s.sql("f." + _sp, "q." + _sp, True)
+    query(f"li_{_cls}_range_{_sp}", f"WITH f AS MATERIALIZED ({fixtures.duck_sql(_fx)}) SELECT f.oid FROM f, f q WHERE q.oid = {QID} AND {_d} <= {_t}")(lambda spark, d, fx=_fx, s=_s, c=_cls, t=_t: (lambda p: _local(p, c, s).range(p.q[s.name], t).select("oid"))(Setup(spark, d, fx)))
+    query(f"li_{_cls}_knn_{_sp}", f"WITH f AS MATERIALIZED ({fixtures.duck_sql(_fx)}) SELECT f.oid, round({_d}, 6) AS d FROM f, f q WHERE q.oid = {QID} ORDER BY {_d}, f.oid LIMIT 25")(lambda spark, d, fx=_fx, s=_s, c=_cls: (lambda p: _local(p, c, s).knn(p.q[s.name], 25).select("oid", F.round("d", 6).alias("d")))(Setup(spark, d, fx)))
 
 _w9 = ", ".join(str(x) for x in skew(fixtures.schema("food")).values())
 for _key, _text, _sqltext in (
