@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Mapping
 
 import numpy as np
@@ -57,16 +58,16 @@ def recall(found: DataFrame, truth: DataFrame, key: tuple[str, ...] = ("qid", "o
 
 
 def learn_weights(cache: DataFrame, truth: DataFrame, schema: MultiMetricSchema, k: int, iters: int = 20, lr: float = 0.05, tau: float = 1.0, positives: str = "truth", negatives: str = "knn", optimiser: str = "adam", target: float = 0.9, seed: int = 3, sign: int = -1) -> tuple[dict[str, float], list[tuple]]:
-    """(best weights, history of (iter, loss, recall)). Each iteration is retrieval, sampling and one row to the driver."""
+    """(best weights, history of (iter, loss, recall, seconds so far)). Each iteration is retrieval, sampling and one row to the driver."""
     rng = np.random.default_rng(seed)
     w, m, v = rng.uniform(0.1, 1, len(schema.names)), 0.0, 0.0
-    best, history = (-1.0, w), []
+    best, history, began = (-1.0, w), [], time.perf_counter()
     for i in range(1, iters + 1):
         now = dict(zip(schema.names, map(float, w), strict=True))
         found = retrieve(cache, schema, now, k)
         got = recall(found, truth).agg(F.avg("recall")).first()[0]
         row = loss_grad(sample(cache, schema, found, truth, positives, negatives), schema, now, tau, sign).first()
-        history.append((i, row["loss"], got))
+        history.append((i, row["loss"], got, time.perf_counter() - began))
         best = max(best, (got, w.copy()), key=lambda b: b[0])
         if got >= target or row["loss"] is None:
             break
