@@ -158,11 +158,11 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
     each = base.select("doc_id", F.explode("lines").alias("l")).select("doc_id", "l.h", "l.h2", "l.n")
     stats = scratch.table(each.groupBy("h", "h2").agg(F.min("doc_id").alias("first"), F.min_by("n", "doc_id").alias("at"), F.count("*").alias("n_rows")), "stats")
     keyed = base.select(F.explode("lines").alias("l")).select(F.col("l.h").alias("node"), "l.bands").where("size(bands) > 0")
-    rough = scratch.table(rough_components(keyed, scratch, "lines"), "rough")
+    rough, by_bucket = rough_components(keyed, scratch, "lines")
 
     # the candidates' texts: from one document each, which gives all of its candidates
     wanted = stats.select(F.col("h").alias("node"), "first").join(rough, "node").dropDuplicates(["node"])
-    by_doc = wanted.groupBy(F.col("first").alias("doc_id")).agg(F.collect_list(F.struct("node", "root", "members", "bands", "buckets")).alias("want"))
+    by_doc = wanted.groupBy(F.col("first").alias("doc_id")).agg(F.collect_list(F.struct("node", "root", "members")).alias("want"))
     by_doc = scratch.table(by_doc, "wanted")
     keyed_docs = whole.withColumn("doc_id", F.coalesce("doc_id", F.lit(none))).withColumn("k", F.xxhash64("doc_id"))
     near = bloom_probe(keyed_docs, "k", bloom_words(by_doc.select(F.xxhash64("doc_id").alias("k")), "k"), "maybe").where("maybe").select("doc_id", "text")
@@ -181,11 +181,11 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
                         at.append(i)
                         lines.append(x)
             taken = want.values.take(pa.array(at, pa.int64()))
-            names = ["node", "root", "members", "bands", "buckets"]
+            names = ["node", "root", "members"]
             yield pa.RecordBatch.from_arrays([*(pa.compute.struct_field(taken, n) for n in names), pa.array(np.ones(len(at), np.int64)), pa.array(lines, pa.string())], [*names, "copies", "text"])
 
-    items = near.join(by_doc, "doc_id").select("text", "want").mapInArrow(cut, "node long, root long, members long, bands array<long>, buckets array<struct<unit:long,n:long>>, copies long, text string")
-    edges, _ = verified(items, shingle_sets, threshold, scratch, "lines")
+    items = near.join(by_doc, "doc_id").select("text", "want").mapInArrow(cut, "node long, root long, members long, copies long, text string")
+    edges, _ = verified(items, by_bucket, shingle_sets, threshold, scratch, "lines")
     roots = scratch.table(components(edges, scratch, "lines-final"), "final")
 
     # which occurrences go: all but the first of its class, for lines that recur or have near ones
@@ -195,7 +195,7 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
     nearby = heavy_join(named.where("root IS NOT NULL"), keep.join(roots.groupBy("root").agg(F.count("*").alias("w")), "root"), ["root"], "w", roots.count()).select("h", "h2", "n_rows", F.col("keep.first").alias("first"), F.col("keep.h").alias("keep_h"))
     judged = scratch.table(recurring.unionByName(nearby), "judged")
     gone = heavy_join(each, judged, ["h", "h2"], "n_rows", max(1, stats.agg(F.coalesce(F.sum("n_rows"), F.lit(0))).first()[0])).where("doc_id <> first OR h <> keep_h").groupBy("doc_id").agg(F.collect_set("n").alias("gone"))
-    scratch.drop("rough", "lines-roots", "lines-sized", "lines-cells", "lines-verified")
+    scratch.drop(*(f"lines-{n}" for n in ("roots", "sized", "large", "cells", "marked", "split", "verified")))
     empty = F.array().cast("array<int>")
     told = base.select("doc_id", "n_lines", "again").join(gone, "doc_id", "left")
     dropped = F.array_sort(F.array_union("again", F.coalesce("gone", empty)))

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from polymetric.llm.common import Scratch, components, heavy_join
+from polymetric.llm.common import Scratch, bloom_probe, bloom_words, components, heavy_join
 
 #: Expected members of a block; a unit holds two blocks.
 BLOCK = 64
@@ -89,30 +89,34 @@ def bucket_edges(keyed: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
     return found.where("edge").select("u", "v").unionByName(across)
 
 
-def rough_components(keyed: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
-    """(node, root, members, bands, buckets) of the candidates: nodes that share buckets, directly or through others. bands and buckets
-    (struct of unit, n): the node's own and those of them with others, if its component is verified by buckets, else null."""
+def rough_components(keyed: DataFrame, scratch: Scratch, tag: str) -> tuple[DataFrame, DataFrame | None]:
+    """(node, root, members) of the candidates: nodes that share buckets, directly or through others; and (node, bands, buckets) of those
+    whose component is verified by buckets, if there are any. buckets: (unit, n) of the node's buckets with others."""
     found = scratch.table(components(bucket_edges(keyed, scratch, tag), scratch, f"{tag}-rough"), f"{tag}-roots")
     scratch.drop(f"{tag}-links")
     sizes = found.groupBy("root").agg(F.count("*").alias("members"))
     total = found.count()
     sized = scratch.table(heavy_join(found, sizes, ["root"], "members", total), f"{tag}-sized")
-    large = keyed.join(sized.where(F.col("members") > 2 * BLOCK), "node")
+    many = sized.where(F.col("members") > 2 * BLOCK)
+    if many.isEmpty():
+        return sized, None
+    few = bloom_probe(keyed.withColumn("k", F.xxhash64("node")), "k", bloom_words(many.select(F.xxhash64("node").alias("k")), "k"), "maybe").where("maybe")
+    large = scratch.table(few.select("node", "bands").join(many, "node"), f"{tag}-large")
     texts = lambda c: F.col(c) * F.ceil(F.col(c) / BLOCK)  # noqa: E731 - that units of so many rows need
     cells = scratch.table(large.select("root", "members", F.explode("bands").alias("unit")).groupBy("root", "members", "unit").agg(F.count("*").alias("n")).where("n > 1"), f"{tag}-cells")
     split = cells.groupBy("root", "members").agg(F.sum(texts("n")).alias("texts")).where(F.col("texts") < texts("members")).select("root", "members")
     if split.isEmpty():
-        return sized.withColumn("bands", F.lit(None).cast("array<long>")).withColumn("buckets", F.lit(None).cast("array<struct<unit:long,n:long>>"))
+        return sized, None
     marked = scratch.table(heavy_join(large.select("node", "root", "bands"), split, ["root"], "members", total).select("node", "bands"), f"{tag}-marked")
     each = marked.select("node", F.explode("bands").alias("unit"))
     met = heavy_join(each, cells.select("unit", "n"), ["unit"], "n", each.count()).groupBy("node").agg(F.collect_list(F.struct("unit", "n")).alias("buckets"))  # as many as bands at most
-    return sized.join(marked.join(met, "node"), "node", "left")
+    return sized, scratch.table(marked.join(met, "node"), f"{tag}-split")
 
 
-def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], threshold: Fraction, scratch: Scratch, tag: str) -> tuple[DataFrame, DataFrame]:
+def verified(items: DataFrame, split: DataFrame | None, sets: Callable[[list[str]], list[np.ndarray]], threshold: Fraction, scratch: Scratch, tag: str) -> tuple[DataFrame, DataFrame]:
     """Exact verification of rough components.
 
-    items: (node, root, members, bands, buckets, copies, text), one row a node. Returns (edges (u, v) that join the same nodes as all
+    items: (node, root, members, copies, text), one row a node; split: (node, bands, buckets) of those verified by buckets. Returns (edges (u, v) that join the same nodes as all
     pairs with Jaccard at or above the threshold do, links (node, links): for each node the copies at such other nodes).
     """
     num, den = threshold.numerator, threshold.denominator
@@ -197,6 +201,10 @@ def verified(items: DataFrame, sets: Callable[[list[str]], list[np.ndarray]], th
                 chars += len(text or "")
         yield solved(units)
 
+    if split is None:
+        items = items.withColumn("bands", F.lit(None).cast("array<long>")).withColumn("buckets", F.lit(None).cast("array<struct<unit:long,n:long>>"))
+    else:
+        items = items.join(split, "node", "left")
     alone = F.array(F.struct(F.col("root").alias("unit"), F.col("members").alias("n")))
     own = items.select("node", "copies", "bands", "text", F.explode(F.coalesce("buckets", alone)).alias("u")).select("node", "copies", "bands", "text", "u.unit", F.ceil(F.col("u.n") / BLOCK).cast("int").alias("nb"))
     own = own.withColumn("blk", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int"))

@@ -93,15 +93,15 @@ def ngram_join(docs: DataFrame, n: int = 5, threshold: Fraction = Fraction(4, 5)
     known = signed.where("doc_id IS NOT NULL")
     sets = scratch.table(known.groupBy("hi", "lo").agg(F.min("doc_id").alias("node"), F.count("*").alias("copies")), "sets")
     firsts = known.join(sets.select("hi", "lo", F.col("node").alias("doc_id")), ["hi", "lo", "doc_id"], "left_semi").select(F.col("doc_id").alias("node"), "bands")
-    rough = scratch.table(rough_components(firsts, scratch, "docs"), "rough")
-    wanted = rough.join(sets, "node").select("node", "root", "members", "bands", "buckets", "copies", "hi", "lo")
+    rough, by_bucket = rough_components(firsts, scratch, "docs")
+    wanted = rough.join(sets, "node").select("node", "root", "members", "copies", "hi", "lo")
     near = bloom_probe(whole.where("doc_id IS NOT NULL").withColumn("k", F.xxhash64("doc_id")), "k", bloom_words(rough.select(F.xxhash64("node").alias("k")), "k"), "maybe").where("maybe")
     items = near.select(F.col("doc_id").alias("node"), "text").join(wanted, "node")
-    edges, links = verified(items, lambda texts: [shingles(t, n) for t in texts], threshold, scratch, "docs")
+    edges, links = verified(items, by_bucket, lambda texts: [shingles(t, n) for t in texts], threshold, scratch, "docs")
     roots = components(edges, scratch, "docs-final")
     classes = sets.join(roots, "node", "left").join(links, "node", "left").select("hi", "lo", "copies", F.coalesce("root", "node").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     classes = scratch.table(classes, "classes")
-    scratch.drop("rough", "docs-roots", "docs-sized", "docs-cells", "docs-verified")
+    scratch.drop(*(f"docs-{n}" for n in ("roots", "sized", "large", "cells", "marked", "split", "verified")))
     out = heavy_join(known.select("doc_id", "hi", "lo"), classes, ["hi", "lo"], "copies", total)
     alone = signed.where("doc_id IS NULL").select("doc_id", F.lit(None).cast("long").alias("class_id"), F.lit(0).cast("long").alias("n_links"), F.lit(True).alias("kept"))
     return out.select("doc_id", "class_id", "n_links", (F.col("doc_id") == F.col("class_id")).alias("kept")).unionByName(alone)
