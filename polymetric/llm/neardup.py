@@ -23,6 +23,8 @@ from polymetric.llm.common import Scratch, bloom_probe, bloom_words, components,
 
 #: Expected members of a block; a unit holds two blocks.
 BLOCK = 64
+#: A component is verified by its buckets if they need so many times fewer texts; rows then carry their bucket lists, so less doesn't pay.
+SPLIT_GAIN = 8
 _COLUMNS = 8192
 
 
@@ -104,13 +106,16 @@ def rough_components(keyed: DataFrame, scratch: Scratch, tag: str) -> tuple[Data
     large = scratch.table(few.select("node", "bands").join(many, "node"), f"{tag}-large")
     texts = lambda c: F.col(c) * F.ceil(F.col(c) / BLOCK)  # noqa: E731 - that units of so many rows need
     cells = scratch.table(large.select("root", "members", F.explode("bands").alias("unit")).groupBy("root", "members", "unit").agg(F.count("*").alias("n")).where("n > 1"), f"{tag}-cells")
-    split = cells.groupBy("root", "members").agg(F.sum(texts("n")).alias("texts")).where(F.col("texts") < texts("members")).select("root", "members")
+    split = cells.groupBy("root", "members").agg(F.sum(texts("n")).alias("texts")).where(F.col("texts") * SPLIT_GAIN < texts("members")).select("root", "members")
     if split.isEmpty():
+        scratch.drop(f"{tag}-large", f"{tag}-cells")
         return sized, None
     marked = scratch.table(heavy_join(large.select("node", "root", "bands"), split, ["root"], "members", total).select("node", "bands"), f"{tag}-marked")
     each = marked.select("node", F.explode("bands").alias("unit"))
     met = heavy_join(each, cells.select("unit", "n"), ["unit"], "n", each.count()).groupBy("node").agg(F.collect_list(F.struct("unit", "n")).alias("buckets"))  # as many as bands at most
-    return sized, scratch.table(marked.join(met, "node"), f"{tag}-split")
+    both = scratch.table(marked.join(met, "node"), f"{tag}-split")
+    scratch.drop(f"{tag}-large", f"{tag}-cells", f"{tag}-marked")
+    return sized, both
 
 
 def verified(items: DataFrame, split: DataFrame | None, sets: Callable[[list[str]], list[np.ndarray]], threshold: Fraction, scratch: Scratch, tag: str) -> tuple[DataFrame, DataFrame]:

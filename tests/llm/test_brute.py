@@ -62,6 +62,7 @@ def test_both_ways_of_verification_find_the_same(spark, corpus, monkeypatch):
     df = spark.createDataFrame(corpus, "doc_id long, text string")
     want = sorted(map(tuple, ngram_join.ngram_join(df).collect()))
     monkeypatch.setattr(neardup, "BLOCK", 2)
+    monkeypatch.setattr(neardup, "SPLIT_GAIN", 1)
     assert sorted(map(tuple, ngram_join.ngram_join(df).collect())) == want
 
 
@@ -72,6 +73,7 @@ def test_strays_that_join_small_groups(spark, monkeypatch):
     rows = [(i, common + " " + _near(" ".join(f"g{i // 2}x{k}" for k in range(60)), rng, 0.02, True)) for i in range(120)]
     sets = {i: {tuple(t.split()[j : j + 5]) for j in range(len(t.split()) - 4)} for i, t in rows}
     monkeypatch.setattr(neardup, "BLOCK", 4)
+    monkeypatch.setattr(neardup, "SPLIT_GAIN", 1)
     got = {r["doc_id"]: r["n_links"] for r in ngram_join.ngram_join(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {i: sum(_jaccard(a, b) for j, b in sets.items() if j != i) for i, a in sets.items()}
 
