@@ -40,15 +40,27 @@ def explain_query(index: MultiMetricIndex, q: Mapping[str, Any], w: Mapping[str,
 
 def balance(index: MultiMetricIndex, workers: Sequence[int]) -> DataFrame:
     """(workers, stddev of objects a worker) when leaves go, largest first, to the least-loaded worker."""
-    rows = []
-    for n in workers:
-        load = np.zeros(n)
-        for c in sorted((b["n_objects"] for b in index.boxes), reverse=True):
-            load[int(load.argmin())] += c
-        rows.append((n, float(load.std())))
+    rows = [(n, float(spread_over([b["n_objects"] for b in index.boxes], n).std())) for n in workers]
     return index.objects.sparkSession.createDataFrame(rows, "workers int, stddev double")
 
 
+def spread_over(work: Sequence[float], workers: int) -> np.ndarray:
+    """Load of each worker when pieces of work go, largest first, to the least-loaded one."""
+    load = np.zeros(workers)
+    for c in sorted(work, reverse=True):
+        load[int(load.argmin())] += c
+    return load
+
+
+def leaf_work(index: MultiMetricIndex, queries: DataFrame, w: Mapping[str, float], r: float) -> list[float]:
+    """Objects that a query set meets in each leaf: queries routed to it times its objects; one row a leaf."""
+    from polymetric import batch
+
+    asked = batch.as_queries(index, queries).withColumn("radius", F.lit(float(r)))
+    sizes = {b["leaf_id"]: b["n_objects"] for b in index.boxes}
+    return [float(x["n"] * sizes[x["leaf_id"]]) for x in batch.route(index, asked, w).groupBy("leaf_id").agg(F.count("*").alias("n")).collect()]
+
+
 def after_update(s: Setup, mod: int, r: float) -> DataFrame:
     """Deletes the objects with id % mod = 7, inserts them again with a price 1000 higher, and asks for a range."""
     index = s.index()

@@ -302,6 +302,7 @@ for _key, _text, _sqltext in (
     ("x2_sql_knn", f"SELECT oid, brand FROM {{t}} WHERE oid IN MM_KNN({QID}, array({_w9}), 20) -- MM_KNN(", "SELECT oid, brand FROM d ORDER BY dist, oid LIMIT 20"),
     ("x4_sql_learned_weights", f"SELECT oid FROM {{t}} WHERE oid IN MM_KNN({QID}, MM_WEIGHTS('mine'), 20)", "SELECT oid FROM d ORDER BY dist, oid LIMIT 20"),
     ("x5_sql_knn_then_filter", f"SELECT oid FROM {{t}} WHERE type = 'SMALL' AND oid IN MM_KNN({QID}, array({_w9}), 50)", "SELECT oid FROM (SELECT * FROM d ORDER BY dist, oid LIMIT 50) WHERE type = 'SMALL'"),
+    ("x5_sql_knn_where", f"SELECT oid FROM {{t}} WHERE oid IN MM_KNN({QID}, array({_w9}), 20, WHERE => 'type = ''SMALL''')", "SELECT oid FROM d WHERE type = 'SMALL' ORDER BY dist, oid LIMIT 20"),
 ):
     def _sqlq(spark: SparkSession, sf_dir: str, text: str = _text) -> DataFrame:
         s = Setup(spark, sf_dir, "food")
@@ -310,6 +311,16 @@ for _key, _text, _sqltext in (
         return mm_sql.sql(text, index, t=s.df)
 
     query(_key, f"{duck_scan('food', skew(fixtures.schema('food')))} {_sqltext}")(_sqlq)
+
+
+@query("x1_sql_range_object", duck_range("tiny", ONES["tiny"], 0.5))
+def _object(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The query object is written in the statement; it equals the second object of the example."""
+    s = Setup(spark, sf_dir, "tiny")
+    found = mm_sql.sql("""SELECT oid FROM {t} WHERE oid IN MM_RANGE(OBJECT('{"picture": [1, 2, 1], "loc": [1.0, 1], "review": "quiet sunny flat"}'), array(1, 1, 1), 0.5)""", s.index(), t=s.df)
+    return slim(range_scan(s.df, s.schema, s.q, s.w, 1e9, s.sigma).join(found, "oid"))
+
+
 query("x5_sql_filter_then_knn", f"{duck_scan('food', skew(fixtures.schema('food')))} SELECT oid FROM d WHERE type = 'SMALL' ORDER BY dist, oid LIMIT 20")(lambda spark, d: (lambda s: knn_scan(s.df.where("type = 'SMALL'"), s.schema, s.q, s.w, 20, s.sigma).select("oid"))(Setup(spark, d, "food", skew(fixtures.schema("food")))))
 
 

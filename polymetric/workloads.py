@@ -5,15 +5,17 @@ from __future__ import annotations
 import time
 from collections.abc import Callable, Mapping
 from functools import reduce
+from typing import Any
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from polymetric import baselines, batch, fixtures, local_index, measures, sources, store, streaming, tuning, updates, weights
-from polymetric.index import knn_scan, range_scan, select_pivots
+from polymetric.index import MultiMetricIndex, knn_batch, knn_scan, paired, range_batch, range_scan, select_pivots
 from polymetric.normalize import norm_table
-from polymetric.queries import _BATCH, ASK, ONES, QID, Setup, duck_dist, duck_knn, duck_norm, duck_range, duck_scan, query, skew, slim
+from polymetric.queries import _BATCH, ASK, ONES, QID, Setup, _learning, duck_dist, duck_knn, duck_norm, duck_range, duck_scan, query, skew, slim
 from polymetric.spaces import MultiMetricSchema
+from polymetric.store import once, written
 
 _RENTAL, _FOOD, _QUAD, _EVT = (fixtures.schema(n) for n in ("rental", "food", "quad", "evt"))
 
@@ -153,42 +155,120 @@ def _seconds(df: DataFrame) -> float:
     return time.perf_counter() - began
 
 
+SETS = ("food", "air", "rental", "syn50")
+SHARES = (1, 2, 4, 8, 16)
+
+
+def hundred(s: Setup) -> DataFrame:
+    """The hundred queries that each time is a mean of: stored objects, written once."""
+    return once(s.spark, ("hundred", *s.key), lambda: written(s.df.where("oid % 97 = 7").orderBy("oid").limit(100), store.new_folder(s.spark)))
+
+
+class System:
+    """A method with its index built once: seconds and bytes of the build, and searches for a query set."""
+
+    NAMES = ("index", "per_space", "bound_then_range", "scan")
+
+    def __init__(self, s: Setup, name: str):
+        self.s, self.name, began = s, name, time.perf_counter()
+        if name == "index":
+            self.folder = store.new_folder(s.spark)
+            self.made = MultiMetricIndex.build(s.df, s.schema, sigma=s.sigma).save(self.folder)
+        elif name != "scan":
+            self.made = {"per_space": baselines.PerSpaceIndex, "bound_then_range": baselines.BoundThenRange}[name](s.df, s.schema, s.sigma)
+            self.folder = self.made.folder
+        self.seconds = time.perf_counter() - began
+        self.bytes = 0 if name == "scan" else store.size_of(s.spark, self.folder)
+
+    def range(self, queries: DataFrame, w: Mapping[str, float], r: float) -> DataFrame:
+        if self.name == "scan":
+            return range_batch(self.s.df, queries, self.s.schema, w, r, self.s.sigma)
+        return batch.range_queries(self.made, queries, w, r) if self.name == "index" else self.made.range_queries(queries, w, r)
+
+    def knn(self, queries: DataFrame, w: Mapping[str, float], k: int) -> DataFrame:
+        if self.name == "scan":
+            return knn_batch(self.s.df, queries, self.s.schema, w, k, self.s.sigma)
+        return batch.knn_queries(self.made, queries, w, k) if self.name == "index" else self.made.knn_queries(queries, w, k)
+
+
+def system(s: Setup, name: str) -> System:
+    return once(s.spark, ("system", *s.key, name), lambda: System(s, name))
+
+
+def radii(s: Setup, shares: tuple[int, ...] = SHARES) -> dict[int, float]:
+    """The radius within which a query of the hundred finds so many percent of the objects, over all their pairs."""
+    def make() -> list[float]:
+        pairs = paired(s.df, hundred(s), s.schema, s.w, s.sigma)
+        return pairs.agg(F.percentile_approx("dist", F.array(*(F.lit(x / 100) for x in shares)), F.lit(10_000))).first()[0]
+
+    return dict(zip(shares, once(s.spark, ("radii", *s.key, shares, tuple(s.w.values())), make), strict=True))
+
+
+def _timed(workload: str, fixture: str, parameter: str, value: float, made: Mapping[str, DataFrame], n: int = 100) -> list[tuple]:
+    """Rows of seconds a query, queries a second and the first system's lead over each other one."""
+    took = {name: _seconds(df) for name, df in made.items()}
+    first = next(iter(took))
+    rows = [(workload, fixture, name, parameter, float(value), m, x) for name, t in took.items() for m, x in (("seconds", t / n), ("throughput", n / t))]
+    return rows + [(workload, fixture, name, parameter, float(value), f"lead of {first}", t / took[first]) for name, t in took.items() if name != first]
+
+
 @query("wl1_build_cost")
 def _build(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds and megabytes of each system's index on each data set."""
+    """Seconds and megabytes of each system's index on each data set, written to the shared folder."""
     rows = []
-    for name in ("food", "quad", "rental"):
+    for name in (*SETS, "syn96"):
         s = Setup(spark, sf_dir, name)
-        made = {"index": lambda s=s: [s.index().objects], "per_space": lambda s=s: [p.objects for p in baselines.PerSpaceIndex(s.df, s.schema, s.sigma).parts.values()], "bound_then_range": lambda s=s: [s.df.repartition(8, "oid")]}
-        for system, build in made.items():
-            folder, began = store.new_folder(spark), time.perf_counter()
-            for i, df in enumerate(build()):
-                df.write.parquet(f"{folder}/{i}")
-            took = time.perf_counter() - began
-            size = spark.read.option("recursiveFileLookup", True).format("binaryFile").option("pathGlobFilter", "*.parquet").load(folder).agg(F.sum("length")).first()[0]
-            rows += [("wl1", name, system, "", 0.0, "seconds", took), ("wl1", name, system, "", 0.0, "megabytes", size / 1e6)]
+        for kind in System.NAMES[:3]:
+            made = system(s, kind)
+            rows += [("wl1", name, kind, "", 0.0, "seconds", made.seconds), ("wl1", name, kind, "", 0.0, "megabytes", made.bytes / 1e6)]
     return spark.createDataFrame(rows, _ROW)
 
 
-def _systems(s: Setup) -> dict[str, Callable[[float], DataFrame]]:
-    index = s.index()
-    per = baselines.PerSpaceIndex(s.df, s.schema, s.sigma)
-    return {"index": lambda r: index.range(s.q, s.w, r), "per_space": lambda r: per.range(s.q, s.w, r), "scan": lambda r: range_scan(s.df, s.schema, s.q, s.w, r, s.sigma)}
-
-
 @query("wl3_range_by_radius")
 def _by_radius(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Range search at radii that return 1 to 16 % of the objects: seconds, and objects verified out of all."""
-    s = Setup(spark, sf_dir, "rental", skew(_RENTAL))
-    shares = (1, 2, 4, 8, 16)
-    radii = knn_scan(s.df, s.schema, s.q, s.w, 2**31 - 1, s.sigma).agg(F.percentile("dist", F.array(*(F.lit(x / 100) for x in shares)))).first()[0]
+    """Range search of a hundred queries at radii that return 1 to 16 % of the objects: seconds a query, throughput and lead of each
+    system on four data sets, the work of the index, and one query on the local indexes with each choice of them."""
     rows = []
-    for system, run in _systems(s).items():
-        rows += [("wl3", "rental", system, "share", float(x), "seconds", _seconds(run(r))) for x, r in zip(shares, radii, strict=True)]
-    index = s.index()
-    for x, r in zip(shares, radii, strict=True):
-        work = {t["stage"]: t["n"] for t in measures.explain_query(index, s.q, s.w, r).collect()}
-        rows += [("wl3", "rental", "index", "share", float(x), m, work[m] / work["objects"]) for m in ("in_kept_leaves", "after_pigeonhole", "after_pivot_sum", "verified", "results")]
+    for name in SETS:
+        s = Setup(spark, sf_dir, name, skew(fixtures.schema(name)))
+        systems = {k: system(s, k) for k in System.NAMES}
+        for share, r in radii(s).items():
+            rows += _timed("wl3", name, "share", share, {k: x.range(hundred(s), s.w, r) for k, x in systems.items()})
+            work = {t["stage"]: t["n"] for t in measures.explain_query(s.index(), s.q, s.w, r).collect()}
+            rows += [("wl3", name, "index", "share", float(share), m, work[m] / work["objects"]) for m in ("in_kept_leaves", "after_pigeonhole", "after_pivot_sum", "verified", "results")]
+        if name in ("food", "rental"):
+            for kind, kinds in _CHOICES.items():
+                forest = local_index.Forest(s.index(), kinds)
+                rows += [("wl3", name, kind, "share", float(x), "seconds", _seconds(forest.range(s.q, s.w, radii(s)[x]))) for x in (1, 4, 16)]
+    return spark.createDataFrame(rows, _ROW)
+
+
+_CHOICES: dict[str, dict[str, str]] = {"default": {}, "low_as_mtree": {"low": "mtree"}, "high_as_mtree": {"high": "mtree"}}
+
+
+@query("wl4_knn_by_k")
+def _by_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """kNN of a hundred queries: seconds a query, throughput and lead of each system on four data sets."""
+    rows = []
+    for name in SETS:
+        s = Setup(spark, sf_dir, name, skew(fixtures.schema(name)))
+        for k in (1, 5, 10, 20, 50, 100):
+            rows += _timed("wl4", name, "k", k, {x: system(s, x).knn(hundred(s), s.w, k) for x in System.NAMES})
+    return spark.createDataFrame(rows, _ROW)
+
+
+@query("wl7_throughput_by_cardinality")
+def _by_cardinality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A hundred range queries on 20 to 100 % of the objects, each share with an index of its own."""
+    rows = []
+    for name in ("food", "rental"):
+        s = Setup(spark, sf_dir, name, skew(fixtures.schema(name)))
+        for j in range(1, 6):
+            part = s.df.where(F.col("oid") % 5 < j)
+            index = s.of(part).save(store.new_folder(spark))
+            bound = baselines.BoundThenRange(part, s.schema, s.sigma)
+            r = radii(s)[1]
+            rows += _timed("wl7", name, "percent", 20 * j, {"index": batch.range_queries(index, hundred(s), s.w, r), "bound_then_range": bound.range_queries(hundred(s), s.w, r), "scan": range_batch(part, hundred(s), s.schema, s.w, r, s.sigma)})
     return spark.createDataFrame(rows, _ROW)
 
 
@@ -218,52 +298,121 @@ def _merge_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
     return by.groupBy("ratio").agg(F.round(F.avg(F.when(F.col("need") <= 10 * F.col("ratio"), 1.0).otherwise(0.0)), 6).alias("recall"))
 
 
-query("wl6_workers")(lambda spark, d: reduce(DataFrame.unionByName, (measures.balance(Setup(spark, d, n).index(), (2, 4, 6, 8, 10)).withColumn("fixture", F.lit(n)) for n in ("food", "rental", "air"))))
+@query("wl6_workers")
+def _workers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Range search by a number of workers: seconds a query with so many tasks at once, and the spread of the objects met by each worker
+    when leaves (for bound-then-range: equal parts by hash) are dealt to them."""
+    rows, before = [], spark.conf.get("spark.sql.shuffle.partitions")
+    for name in ("food", "rental", "air", "syn96"):
+        s = Setup(spark, sf_dir, name, skew(fixtures.schema(name)))
+        r = radii(s)[1]
+        index = system(s, "index")
+        work = measures.leaf_work(index.made, hundred(s), s.w, r)
+        every = 100.0 * sum(b["n_objects"] for b in index.made.boxes)
+        for n in (2, 4, 6, 8, 10):
+            load = measures.spread_over(work, n)
+            rows += [("wl6", name, "index", "workers", float(n), m, float(x)) for m, x in (("stddev", load.std()), ("most", load.max()))]
+            rows.append(("wl6", name, "bound_then_range", "workers", float(n), "most", every / n))
+        for n in (1, 2, 4, 8):
+            try:
+                spark.conf.set("spark.sql.shuffle.partitions", str(n))
+                rows += [("wl6", name, "index", "tasks", float(n), "seconds", _seconds(index.range(hundred(s), s.w, r)) / 100)]
+            finally:
+                spark.conf.set("spark.sql.shuffle.partitions", before)
+    return spark.createDataFrame(rows, _ROW)
+
+
+@query("wl15_hundred_queries", f"{duck_norm('rental')}, p AS (SELECT g.oid AS qid, f.oid, {duck_dist(_RENTAL, skew(_RENTAL), 'f', 'g')} AS dist FROM f, (SELECT * FROM f WHERE oid % 97 = 7 ORDER BY oid LIMIT 100) g, norm) {_TOP10}")
+def _hundred(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s = Setup(spark, sf_dir, "rental", skew(_RENTAL))
+    return _ranked(batch.knn_queries(s.index(), hundred(s), s.w, 10))
 
 
 @query("wl9_case_study")
 def _case(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """64 nearest under learned, uniform and hidden weights: mean distance to the query in each space."""
-    s = Setup(spark, sf_dir, "rental")
-    cache = weights.cache_distances(s.df, s.df.where(_BATCH), s.schema, s.sigma).persist()
-    truth = weights.retrieve(cache, s.schema, skew(s.schema), 64).persist()
+    """64 nearest under learned, uniform and hidden weights: mean distance to the query in each space, and means of their values."""
+    s, cache, _, _ = _learning(spark, sf_dir)
+    truth = written(weights.retrieve(cache, s.schema, skew(s.schema), 64), store.new_folder(spark))
     learned, _ = weights.learn_weights(cache, truth, s.schema, 64, iters=6)
     out = weights.modality_profile({"hidden": truth, "learned": weights.retrieve(cache, s.schema, learned, 64), "uniform": weights.retrieve(cache, s.schema, dict.fromkeys(s.schema.names, 1.0), 64)}, s.schema)
-    rows = [tuple(r) for r in out.select("tag", "space", F.round("mean", 6)).collect()]
-    cache.unpersist()
-    truth.unpersist()
-    return spark.createDataFrame(rows, "tag string, space string, mean double")
-
-
-def _tuning_cost(s: Setup, r: float) -> Callable[[Mapping], float]:
-    """Counted work of a range query: leaf tests plus objects in kept leaves; each depth is built once."""
-    built: dict[int, object] = {}
-
-    def cost(k: Mapping) -> float:
-        index = built.setdefault(k["depth"], None) or s.index(depth=k["depth"])
-        built[k["depth"]] = index
-        kept = set(index.keep_leaves(index.query_pivots(s.q), s.w, r, k["prune"]))
-        return float(len(index.boxes) + sum(b["n_objects"] for b in index.boxes if b["leaf_id"] in kept))
-
-    return cost
-
-
-def _knobs() -> list[tuning.Knob]:
-    return [tuning.Knob("depth", (1, 3, 5, 6)), tuning.Knob("prune", ("none", "uniform_all", "scaled_any", "weighted_sum"))]
+    rows = [(r[0], r[1], "distance", r[2]) for r in out.select("tag", "space", F.round("mean", 6)).collect()]
+    numbers = [x.name for x in s.schema.spaces if x.kind == "l1"]
+    for tag, w in (("hidden", skew(s.schema)), ("learned", learned), ("uniform", dict.fromkeys(s.schema.names, 1.0))):
+        near = knn_scan(s.df, s.schema, s.q, s.schema.weights(w), 64, s.sigma)
+        rows += [(tag, n, "value", x) for n, x in near.agg(*(F.round(F.avg(n), 6).alias(n) for n in numbers)).first().asDict().items()]
+    return spark.createDataFrame(rows, "tag string, space string, what string, mean double")
+
+
+def _query_mix(s: Setup, kind: str = "index") -> tuple[list[tuning.Knob], Callable[[Mapping], dict[str, float]]]:
+    """A system's knobs, and what a mix of twenty range queries and one kNN takes under a setting: seconds a query, queries a second and, for
+    the index, the share of the objects in kept leaves. Each setting is built and run once; a second look gives the same."""
+    asked, r = written(hundred(s).limit(20), store.new_folder(s.spark)), radii(s)[1]
+    seen: dict[tuple, dict[str, float]] = {}
+    knobs = {
+        "index": [tuning.Knob("depth", (2, 4, 5, 6)), tuning.Knob("vantages", (1, 2, 3)), tuning.Knob("partitions", (2, 8, 32))],
+        "bound_then_range": [tuning.Knob("vantages", (1, 2, 3)), tuning.Knob("partitions", (2, 8, 32))],
+        "per_space": [tuning.Knob("depth", (1, 3, 5)), tuning.Knob("partitions", (2, 8, 32))],
+    }[kind]
+
+    def build(k: Mapping) -> tuple[Any, Callable[[], DataFrame]]:
+        if kind == "index":
+            made = s.index(depth=k["depth"], vantages=k["vantages"])
+            return made, lambda: batch.range_queries(made, asked, s.w, r)
+        made = once(s.spark, ("tuned", kind, *s.key, *sorted(x for x in k.items() if x[0] != "partitions")), lambda: baselines.BoundThenRange(s.df, s.schema, s.sigma, k["vantages"]) if kind == "bound_then_range" else baselines.PerSpaceIndex(s.df, s.schema, s.sigma, k["depth"]))
+        return made, lambda: made.range_queries(asked, s.w, r)
+
+    def measure(k: Mapping) -> dict[str, float]:
+        key = tuple(sorted(k.items()))
+        if key not in seen:
+            before = s.spark.conf.get("spark.sql.shuffle.partitions")
+            made, run = build(k)
+            try:
+                s.spark.conf.set("spark.sql.shuffle.partitions", str(k["partitions"]))
+                one = min(_seconds(made.knn(s.q, s.w, 10)) for _ in range(2))
+                many = min(_seconds(run()) for _ in range(2))
+            finally:
+                s.spark.conf.set("spark.sql.shuffle.partitions", before)
+            seen[key] = {"latency": one, "throughput": 20 / many}
+            if kind == "index":
+                kept = set(made.keep_leaves(made.query_pivots(s.q), s.w, r))
+                seen[key]["kept"] = sum(b["n_objects"] for b in made.boxes if b["leaf_id"] in kept) / sum(b["n_objects"] for b in made.boxes)
+        return seen[key]
+
+    return knobs, measure
+
+
+_LOG = "workload string, fixture string, system string, method string, reward string, step int, latency double, throughput double, best double, gain double"
 
 
 @query("wl10_tuning_methods")
 def _methods(spark: SparkSession, sf_dir: str) -> DataFrame:
-    cost = _tuning_cost(Setup(spark, sf_dir, "rental", skew(_RENTAL)), 0.3)
-    rows = [("wl10", "rental", m, "step", float(x["step"]), "best", x["best"]) for m in ("agent", "grid", "random") for x in tuning.tune(tuning.TuningEnv(_knobs(), cost), 50, method=m)]
-    return spark.createDataFrame(rows, _ROW)
+    """Fifty steps of the agent, of grid and of random search on the index, and of the agent on the two baselines; gain is what the best
+    setting so far saves of the first one's latency. The last row of the agent is the setting that its policy recommends."""
+    s, rows = Setup(spark, sf_dir, "food", skew(_FOOD)), []
+    for kind, methods in (("index", ("agent", "grid", "random")), ("bound_then_range", ("agent",)), ("per_space", ("agent",))):
+        knobs, measure = _query_mix(s, kind)
+        for method in methods:
+            env = tuning.TuningEnv(knobs, measure)
+            agent = tuning.DDPGAgent(len(env.state), len(knobs))
+            log = tuning.tune(env, 50, method=method, agent=agent)
+            rows += [("wl10", "food", kind, method, "exp", x["step"], x["cost"], x["throughput"], x["best"], 1 - x["best"] / env.start) for x in log]
+            if method == "agent":
+                got = measure(agent.recommend(env))
+                rows.append(("wl10", "food", kind, "recommended", "exp", 51, got["latency"], got["throughput"], got["latency"], 1 - got["latency"] / env.start))
+    return spark.createDataFrame(rows, _LOG)
 
 
 @query("wl11_reward_shapes")
 def _shapes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    cost = _tuning_cost(Setup(spark, sf_dir, "rental", skew(_RENTAL)), 0.3)
-    rows = [("wl11", "rental", kind, "step", float(x["step"]), m, x[m]) for kind in ("base", "exp", "log", "penalty") for x in tuning.tune(tuning.TuningEnv(_knobs(), cost), 50, kind) for m in ("cost", "best")]
-    return spark.createDataFrame(rows, _ROW)
+    """Fifty steps of the agent under each reward shape, on two data sets."""
+    rows = []
+    for name in ("food", "rental"):
+        s = Setup(spark, sf_dir, name, skew(fixtures.schema(name)))
+        knobs, measure = _query_mix(s)
+        for kind in ("base", "exp", "log", "penalty"):
+            env = tuning.TuningEnv(knobs, measure)
+            rows += [("wl11", name, "index", "agent", kind, x["step"], x["cost"], x["throughput"], x["best"], 1 - x["best"] / env.start) for x in tuning.tune(env, 50, kind)]
+    return spark.createDataFrame(rows, _LOG)
 
 
 @query("wl12_index_choice")
@@ -271,8 +420,9 @@ def _choice(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Seconds of the local probes with the default indexes and with covering balls in place of each kind."""
     s = Setup(spark, sf_dir, "food", skew(_FOOD))
     index, rows = s.index(), []
-    for system, kinds in (("default", {}), ("low_as_mtree", {"low": "mtree"}), ("high_as_mtree", {"high": "mtree"})):
+    for system, kinds in _CHOICES.items():
         forest = local_index.Forest(index, kinds)
+        forest.candidates(s.q, s.w, 0.8).count()
         began = time.perf_counter()
         n = forest.candidates(s.q, s.w, 0.8).count()
         rows += [("wl12", "food", system, "", 0.0, "seconds", time.perf_counter() - began), ("wl12", "food", system, "", 0.0, "candidates", float(n))]
