@@ -63,12 +63,14 @@ class BoundThenRange:
         """(qid, oid, dist) of a query set; up to FEW_QUERIES of them are broadcast, more go block by block."""
         asked = self._asked(queries, F.col(r) if isinstance(r, str) else F.lit(float(r)))
         tests = [f"abs(v_{s.name}_{j} - a_{s.name}_{j}) <= {self.sigma[s.name] / w[s.name]!r}D * (radius + {SLACK!r}D)" for s in self.schema.active(w) for j in range(len(self.pivots[s.name]))]
+        lows = bounds.pivot_lows({s.name: [f"a_{s.name}_{j}" for j in range(len(self.pivots[s.name]))] for s in self.schema.active(w)}, w)
+        staged = bounds.staged(self.schema, None, w, self.sigma, lows, "radius")
         n = queries.count()
         parts = []
         for k in range(-(-n // FEW_QUERIES)):
             block = asked if n <= FEW_QUERIES else asked.where(F.expr(f"pmod(xxhash64(qid), {-(-n // FEW_QUERIES)}) = {k}"))
             near = self.objects.join(F.broadcast(block), F.expr(" AND ".join(tests)))
-            parts.append(near.withColumn("dist", F.expr(mm_distance(self.schema, None, w, self.sigma))).where("dist <= radius").select("qid", self.schema.oid, "dist"))
+            parts.append(batch.near_enough(near, staged, mm_distance(self.schema, None, w, self.sigma)).select("qid", self.schema.oid, "dist"))
         return reduce(DataFrame.unionByName, parts) if parts else self.objects.select(F.col(self.schema.oid).alias("qid"), self.schema.oid, F.lit(0.0).alias("dist")).limit(0)
 
     def knn_queries(self, queries: DataFrame, w: Mapping[str, float], k: int) -> DataFrame:

@@ -13,12 +13,15 @@ from collections.abc import Mapping
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from polymetric import bounds
 from polymetric.index import MultiMetricIndex
 from polymetric.spaces import SLACK, literal, mm_distance
 
 #: Objects of a bucket, and leaves that may be broadcast.
 BUCKET_ROWS = 50_000
 BROADCAST_LEAVES = 100_000
+#: Rows of queries routed to leaves, at most, that are broadcast; the objects then stay where they are. More meet them in a shuffle.
+BROADCAST_ROUTED = 50_000
 
 
 def leaf_table(index: MultiMetricIndex) -> DataFrame:
@@ -41,20 +44,29 @@ def _gap(index: MultiMetricIndex, w: Mapping[str, float]) -> str:
 def _meet(index: MultiMetricIndex, routed: DataFrame, w: Mapping[str, float]) -> DataFrame:
     """Routed queries (with leaf_id, buckets and radius) and the objects that their vantage distances can't rule out, with dist."""
     schema, oid = index.schema, index.schema.oid
+    stored = [f"v_{s.name}_{j}" for s in schema.active(w) for j in range(len(index.pivots[s.name]))]
+    lows = bounds.pivot_lows({s.name: [f"a_{s.name}_{j}" for j in range(len(index.pivots[s.name]))] for s in schema.active(w)}, w)
+    sums = " + ".join(f"{w[n]!r}D * {x} / {index.sigma[n]!r}D" for n, x in lows.items())
+    low, staged = f"{sums} <= radius + {SLACK!r}D", bounds.staged(schema, None, w, index.sigma, lows, "radius")
+    if routed.limit(BROADCAST_ROUTED + 1).count() <= BROADCAST_ROUTED:
+        few = F.broadcast(routed.drop("buckets").withColumnRenamed("leaf_id", "q_leaf"))
+        near = index.objects.select(oid, "leaf_id", *(s.name for s in schema.active(w)), *stored).join(few, F.expr(f"leaf_id = q_leaf AND {low}"))
+        return near_enough(near, staged, mm_distance(schema, None, w, index.sigma))
     spread = routed.withColumn("bucket", F.explode(F.sequence(F.lit(0), F.col("buckets") - 1))).drop("buckets").withColumnRenamed("leaf_id", "q_leaf")
     sizes = leaf_table(index).select("leaf_id", "buckets")
-    stored = [f"v_{s.name}_{j}" for s in schema.active(w) for j in range(len(index.pivots[s.name]))]
     objects = index.objects.select(oid, "leaf_id", *(s.name for s in schema.active(w)), *stored).join(sizes, "leaf_id").withColumn("o_bucket", F.expr(f"pmod(xxhash64({oid}), buckets)").cast("int"))
-    lows = []
-    for s in schema.active(w):
-        each = [f"abs(v_{s.name}_{j} - a_{s.name}_{j})" for j in range(len(index.pivots[s.name]))]
-        lows.append(f"{w[s.name]!r}D * {each[0] if len(each) == 1 else 'greatest(' + ', '.join(each) + ')'} / {index.sigma[s.name]!r}D")
     parts = int(objects.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     if sum(b["n_objects"] for b in index.boxes) <= BUCKET_ROWS * parts:
         # little input but many pairs: a set number of partitions isn't merged for its small size; larger inputs are left to the skew join
         objects, spread = objects.repartition(parts, "leaf_id", "o_bucket"), spread.repartition(parts, "q_leaf", "bucket")
-    near = objects.join(spread, F.expr(f"leaf_id = q_leaf AND o_bucket = bucket AND {' + '.join(lows)} <= radius + {SLACK!r}D"))
-    return near.withColumn("dist", F.expr(mm_distance(schema, None, w, index.sigma))).where("dist <= radius")
+    near = objects.join(spread, F.expr(f"leaf_id = q_leaf AND o_bucket = bucket AND {low}"))
+    return near_enough(near, staged, mm_distance(schema, None, w, index.sigma))
+
+
+def near_enough(pairs: DataFrame, test: str, dist: str) -> DataFrame:
+    """Pairs within their radius, with dist, which is only computed where the test holds. The optimizer would move a filter on a computed
+    column into the join, before the test, and compute it twice, in a method too large to be compiled; a generator of one row keeps it in place."""
+    return pairs.withColumn("dist", F.explode(F.array(F.expr(f"CASE WHEN {test} THEN {dist} END")))).where("dist <= radius")
 
 
 def range_queries(index: MultiMetricIndex, queries: DataFrame, w: Mapping[str, float], r: float | str) -> DataFrame:

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Mapping
 
-from polymetric.spaces import SLACK, MultiMetricSchema, literal
+from polymetric.spaces import SLACK, MetricSpace, MultiMetricSchema, literal
 
 
 def query_box(a: Mapping[str, float], w: Mapping[str, float], sigma: Mapping[str, float], r: float, scaled: bool = True) -> dict[str, tuple[float, float]]:
@@ -87,6 +87,33 @@ def early_stop(schema: MultiMetricSchema, q: Mapping, w: Mapping[str, float], si
     return f"(CASE {' '.join(tests)} ELSE true END)"
 
 
+CHEAP = ("l1", "l2v", "discrete")
+
+
+def cheap(s: MetricSpace) -> bool:
+    """Whether a space's distance costs no more than its bounds: numbers and short vectors."""
+    return s.kind in CHEAP or s.kind in ("l1v", "linf", "hamming") and (s.width or 99) <= 16
+
+
+def staged(schema: MultiMetricSchema, q: Mapping | None, w: Mapping[str, float], sigma: Mapping[str, float], low: Mapping[str, str], r: str) -> str:
+    """Necessary: the distances of cheap spaces, and lower bounds of the others' (raw, as SQL), add up to r at most. q None: against columns q_<space>."""
+    parts = []
+    for s in schema.active(w):
+        d = s.sql(s.name, f"q_{s.name}" if q is None else literal(q[s.name])) if cheap(s) else low.get(s.name, "0D")
+        parts.append(f"{w[s.name]!r}D * {d} / {sigma[s.name]!r}D")
+    return f"({' + '.join(parts)} <= {r} + {SLACK!r}D)"
+
+
+def pivot_lows(a: Mapping[str, list], w: Mapping[str, float]) -> dict[str, str]:
+    """The best lower bound of each active space's raw distance from stored vantage distances; a: numbers, or columns' names."""
+    out = {}
+    for n, values in a.items():
+        if w[n] > 0:
+            each = [f"abs(v_{n}_{j} - {x if isinstance(x, str) else repr(x) + 'D'})" for j, x in enumerate(values)]
+            out[n] = each[0] if len(each) == 1 else "greatest(" + ", ".join(each) + ")"
+    return out
+
+
 def edit_lower(a_len: str, q_len: str, common: str, g: int) -> str:
     """A lower bound of edit distance from lengths and shared g-grams: each edit spoils g grams at most."""
     return f"greatest(abs({a_len} - {q_len}), CAST(ceil((greatest({a_len}, {q_len}) - {g} + 1 - {common}) / {g}.0) AS INT))"

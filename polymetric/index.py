@@ -19,7 +19,9 @@ from polymetric.spaces import SLACK, MetricSpace, MultiMetricSchema, literal, mm
 #: Rows of the sample from which the tree is built on the driver: at least so many, and SAMPLE_PER_LEAF for each leaf.
 SAMPLE, SAMPLE_PER_LEAF = 20_000, 16
 #: Objects a leaf should have, and the depths between which the number of leaves follows them: 32 to 16,384 leaves.
-LEAF_ROWS, LEAST_DEPTH, MOST_DEPTH = 200_000, 5, 14
+LEAF_ROWS, LEAST_DEPTH, MOST_DEPTH = 4_000, 5, 14
+#: Objects of a file, and of a leaf that one task of a local index holds.
+FILE_ROWS, PART_ROWS = 1_000_000, 200_000
 #: Up to this depth a row's leaf is found by nested CASE, deeper by a walk over two literal arrays.
 CASE_DEPTH = 7
 #: Rows inserted into an R*-tree.
@@ -155,7 +157,7 @@ class MultiMetricIndex:
         as :meth:`load` reads it. A leaf of many rows is written by several tasks."""
         spark, schema = self.objects.sparkSession, self.schema
         sizes = {b["leaf_id"]: b["n_objects"] for b in self.boxes}
-        files = max((-(-n // LEAF_ROWS) for n in sizes.values()), default=1)
+        files = max((-(-n // FILE_ROWS) for n in sizes.values()), default=1)
         part = F.expr(f"pmod(xxhash64({schema.oid}), {files})")
         dealt = self.objects.repartition(min(len(sizes) * files, MOST_CELLS) or 1, "leaf_id", part)
         dealt.sortWithinPartitions("leaf_id", f"v_{schema.names[0]}_0").write.mode("overwrite").partitionBy("leaf_id").parquet(f"{path}/objects")
@@ -209,17 +211,19 @@ class MultiMetricIndex:
 
         return self.inner.walk(keep) if self.boxes else ([], 0)
 
-    def candidates(self, q: Mapping[str, Any], w: Mapping[str, float], r: float, prune: str = "weighted_sum", local: str = "pigeonhole+sum") -> DataFrame:
+    def candidates(self, q: Mapping[str, Any], w: Mapping[str, float], r: float, prune: str = "weighted_sum", local: str = "sum+staged") -> DataFrame:
         """Objects of the kept leaves that pass the local tests: one scan, no shuffle; leaves prune directories, ranges skip row groups."""
         a = self.query_pivots(q)
         df = self.objects.where(F.col("leaf_id").isin(self.keep_leaves(a, w, r, prune)))
         if "sum" in local:
             df = df.where(bounds.implied_ranges(a, w, self.sigma, r)).where(bounds.pivot_sum(a, w, self.sigma, r))
+        if "staged" in local:
+            df = df.where(bounds.staged(self.schema, q, w, self.sigma, bounds.pivot_lows(a, w), f"{r!r}D"))
         if "pigeonhole" in local:
             df = df.where(bounds.pigeonhole(self.schema, q, w, self.sigma, r))
         return df
 
-    def range(self, q: Mapping[str, Any] | int, w: Any = None, r: float = 1.0, prune: str = "weighted_sum", local: str = "pigeonhole+sum") -> DataFrame:
+    def range(self, q: Mapping[str, Any] | int, w: Any = None, r: float = 1.0, prune: str = "weighted_sum", local: str = "sum+staged") -> DataFrame:
         """Exact: (oid, dist, the objects' columns) within r."""
         q, w = self.bind(q), self.schema.weights(w)
         return range_scan(self.candidates(q, w, r, prune, local), self.schema, q, w, r, self.sigma)

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from polymetric.distances import TWINS
-from polymetric.index import LEAF_ROWS, MultiMetricIndex, knn_scan, range_scan
+from polymetric.index import PART_ROWS, MultiMetricIndex, knn_scan, range_scan
 from polymetric.spaces import SLACK, MetricSpace, MultiMetricSchema, literal
 from polymetric.store import new_folder, written
 
@@ -24,10 +24,10 @@ KEY = ["leaf_id", "part"]
 
 
 def decompose(objects: DataFrame, space: MetricSpace, oid: str = "oid") -> DataFrame:
-    """(leaf_id, part, oid, value) of one space: column pruning does the split. A leaf of over LEAF_ROWS rows has several parts,
+    """(leaf_id, part, oid, value) of one space: column pruning does the split. A leaf of over PART_ROWS rows has several parts,
     so that no task holds more; the counts are one row a leaf."""
     rows = objects.select("leaf_id", F.col(oid).alias("oid"), F.col(space.name).alias("value"))
-    sizes = objects.groupBy("leaf_id").agg(F.ceil(F.count("*") / LEAF_ROWS).cast("int").alias("parts"))
+    sizes = objects.groupBy("leaf_id").agg(F.ceil(F.count("*") / PART_ROWS).cast("int").alias("parts"))
     return rows.join(F.broadcast(sizes), "leaf_id").select("leaf_id", F.expr("pmod(xxhash64(oid), parts)").cast("int").alias("part"), "oid", "value")
 
 
