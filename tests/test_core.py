@@ -7,13 +7,13 @@ import numpy as np
 import pytest
 
 import __spark_entry__ as entry
-from polymetric import distances, fixtures, queries, rstar, sql, tuning
+from polymetric import distances, fixtures, index, queries, rstar, sql, tuning
 from polymetric.normalize import norm_table
 from polymetric.rewards import reward
 from polymetric.spaces import MultiMetricSchema, distance, query_row
 
 SF = "/root/testdata/sf0.001"
-CHECKED = ["q2_range_rental_weighted_sum", "q2_range_food_scaled_any", "k2_knn_rental_10", "bl3_per_space_knn", "bl4_vector_merge_food_2", "b6_pivot_sum", "li14_forest_knn", "x5_sql_knn_then_filter", "w6_w7_loss_gradient", "wl2_update_1", "o18_cube", "s2_stream_range"]
+CHECKED = ["q2_range_rental_weighted_sum", "q2_range_food_scaled_any", "k2_knn_rental_10", "bl3_per_space_knn", "bl4_vector_merge_food_2", "b6_pivot_sum", "li14_forest_knn", "x5_sql_knn_then_filter", "w6_w7_loss_gradient", "wl2_update_1", "o18_cube", "s2_stream_range", "x1_sql_range_object", "x5_sql_knn_where", "li_rtree_knn_loc", "li_mvp_knn_picture", "li_mtree_range_picture", "li_inverted_knn_labels", "bl2_range_food", "wl15_hundred_queries", "m2_distance_pairs"]
 
 
 @pytest.mark.parametrize("name", CHECKED)
@@ -133,26 +133,74 @@ def test_edit_distance_reads_whole_texts(spark):
             for j, y in enumerate(b, 1):
                 left, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, left + (x != y))
         assert distances.TWINS["edit"](a, b) == row[-1]
-    for name, column in (("quad", "report"), ("syn50", "words")):
-        df, space = fixtures.load(spark, SF, name), next(s for s in fixtures.schema(name).spaces if s.name == column)
-        assert df.selectExpr(f"max(length({column}))").first()[0] > 1000
-        got = df.limit(8).selectExpr(f"{space.sql(column, repr('same opening of two reports'))} AS d", column).collect()
-        assert all(r["d"] == distances.TWINS["edit"](r[column], "same opening of two reports") for r in got)
+    distances.register_edit(spark)
+    space = MultiMetricSchema.of(("text", "edit", distances.LONG)).spaces[0]
+    df = spark.read.parquet(f"{SF}/documents.parquet").where("length(text) > 1000").limit(8)
+    got = df.selectExpr(f"{space.sql('text', repr('same opening of two reports'))} AS d", "text").collect()
+    assert got and all(r["d"] == distances.TWINS["edit"](r["text"], "same opening of two reports") for r in got)
+
+
+def test_a_saved_index_is_loaded_by_its_path(spark, tmp_path):
+    s = queries.Setup(spark, SF, "food", queries.skew(fixtures.schema("food")))
+    built = queries.MultiMetricIndex.build(s.df, s.schema, sigma=s.sigma, depth=3)
+    built.weights["mine"] = s.w
+    built.save(str(tmp_path))
+    again = queries.MultiMetricIndex.load(spark, str(tmp_path))
+    assert (again.sigma, again.schema, again.weights) == (built.sigma, built.schema, built.weights)
+    rows = lambda i: [tuple(r) for r in i.knn(7, s.w, 20).select("oid", "dist").collect()]
+    assert rows(again) == rows(built) and sorted(b["leaf_id"] for b in again.boxes) == sorted(b["leaf_id"] for b in built.boxes)
+
+
+def test_inner_boxes_keep_what_the_leaves_keep():
+    rng = np.random.default_rng(7)
+    for n in (1, 5, 8, 9, 70, 900):
+        lo = rng.random((n, 3))
+        boxes = [{"leaf_id": i} | {f"{k}_{c}": float(v[j]) for k, v in (("lo", lo[i]), ("hi", lo[i] + 0.02)) for j, c in enumerate("abc")} for i in range(n)]
+        inner = index.InnerBoxes(boxes, list("abc"))
+        q = rng.random(3)
+        keep = lambda a, b, q=q: np.clip(np.maximum(a - q, q - b), 0, None).sum(axis=1) <= 0.15
+        kept, tested = inner.walk(keep)
+        assert kept == [i for i in range(n) if keep(lo[i : i + 1], lo[i : i + 1] + 0.02)[0]]
+        assert n < 900 or tested < n
+
+
+def test_deep_trees_route_as_shallow_ones(spark):
+    schema = MultiMetricSchema.of(("a", "l1"), ("b", "l1"))
+    rows = spark.range(4000).selectExpr("id AS oid", "CAST(id * 7919 % 1009 AS DOUBLE) AS v_a_0", "CAST(id * 104729 % 997 AS DOUBLE) AS v_b_0")
+    x = rows.toPandas()[["v_a_0", "v_b_0"]].to_numpy()
+    splits = rstar.kd_splits(x, 9)
+    by = {k: (a, c) for k, a, c in splits}
+
+    def leaf(v):
+        k = 0
+        while k in by:
+            k = 2 * k + (1 if v[by[k][0]] <= by[k][1] else 2)
+        return k
+
+    got = [r[0] for r in rows.selectExpr(f"CAST({index.kd_leaf(schema, splits)} AS INT) AS leaf").collect()]
+    assert got == [leaf(v) for v in x]
+
+
+def test_a_tuned_policy_recommends_and_gains():
+    env = tuning.TuningEnv([tuning.Knob("a", tuple(range(9))), tuning.Knob("b", tuple(range(9)))], lambda k: {"latency": 1 + (k["a"] - 6) ** 2 + (k["b"] - 2) ** 2, "throughput": 1.0, "kept": 0.5})
+    agent = tuning.DDPGAgent(len(env.state), 2)
+    log = tuning.tune(env, 50, agent=agent)
+    assert tuning.gain(log, env.start) > 0.15 and set(agent.recommend(env)) == {"a", "b"}
 
 
 def test_median_of_all_pairs_has_no_limit_of_rows(spark, monkeypatch):
     schema, rows = MultiMetricSchema.of(("a", "l1"), ("b", "l1"), ("c", "l1")), [(i, float(i * i % 97), float(i // 90), 1.0) for i in range(101)]
     want = [2 * float(np.median(np.abs(np.subtract.outer(x, x)))) or 1.0 for x in np.array(rows).T[1:]]
     df = spark.createDataFrame(rows, "oid long, a double, b double, c double")
-    for few in (10_000, 3):
+    for few, sketch in ((20_000, 1e-4), (3, 0.02)):
         monkeypatch.setattr("polymetric.normalize.FEW_VALUES", few)
-        monkeypatch.setattr("polymetric.normalize.BINS", 4)
+        monkeypatch.setattr("polymetric.normalize.SKETCH", sketch)
         assert [(r["sigma"], r["n_pairs"]) for r in norm_table(df, schema, pairs="all").collect()] == [(x, 101**2) for x in want]
     wide = spark.range(5001).selectExpr("id AS oid", "CAST(id % 3 AS DOUBLE) AS a")
     assert norm_table(wide, MultiMetricSchema.of(("a", "l1")), pairs="all").first()["sigma"] == 2.0
 
 
-@pytest.mark.parametrize(("name", "table", "column", "share"), [("m2_distance_pairs", "orders", "qid", 20), ("q4_radius_for_share", "orders", "qid", 20), ("o8_join_equi_inner", "orders", "o_orderkey", 1)])
+@pytest.mark.parametrize(("name", "table", "column", "share"), [("q4_radius_for_share", "orders", "qid", 20), ("o8_join_equi_inner", "orders", "o_orderkey", 1)])
 def test_results_grow_with_the_table(spark, name, table, column, share):
     keys = spark.read.parquet(f"{SF}/{table}.parquet").where(f"o_orderkey % {share} = 0")
     assert entry.queries()[name](spark, SF).select(column).distinct().count() == keys.count()
