@@ -23,7 +23,7 @@ QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 #: The stored object that serves as the query, and fixed settings of each fixture: radius and weights.
 QID = 7
-RADIUS = {"rental": 1.1, "food": 2.5, "air": 2.6, "quad": 1.3, "syn50": 22.0, "evt": 0.9, "tiny": 1.0}
+RADIUS = {"rental": 1.1, "food": 2.5, "air": 2.6, "quad": 1.3, "syn50": 22.0, "syn96": 40.0, "evt": 0.9, "tiny": 1.0}
 SKEW = (0.9, 0.05, 0.6, 0.1, 0.3)
 
 
