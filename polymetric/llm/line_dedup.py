@@ -18,7 +18,7 @@ import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from polymetric.llm.common import Scratch, bloom_probe, bloom_words, components, fresh, heavy_join
+from polymetric.llm.common import Scratch, bloom_probe, bloom_words, components, fresh, heavy_join, worker_store
 from polymetric.llm.neardup import band_keys, banding, mix, rough_components, verified
 
 #: Characters of a shingle.
@@ -107,6 +107,7 @@ def duplicate_lines(docs: DataFrame, threshold: Fraction = Fraction(4, 5), recal
     none = -(1 << 63)
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        worker_store("lines", dict)  # lets go of what an earlier stage kept in this worker
         seen: set[int] = set()
 
         def told(docs: list[tuple]) -> pa.RecordBatch:
