@@ -13,10 +13,10 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from polymetric.llm.common import worker_store
+from polymetric.llm.common import give_back, worker_store
 
 #: Words kept by a worker; the store starts anew when it is full.
-MOST_KEPT = 500_000
+MOST_KEPT = 200_000
 #: The pattern that cuts a text into words, as the vocabulary's users publish it.
 WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+")
 
@@ -65,6 +65,8 @@ class BytePairs:
         for piece, i in [*vocab.items(), *added.items()]:
             self.bytes_of[i] = bytes(back[c] for c in piece) if all(c in back for c in piece) else piece.encode()
         self.ids = _Ids(self)
+        del data, vocab
+        give_back()
 
     def merge(self, word: str) -> list[int]:
         """Ids of one word. Symbols form a doubly linked list; the queue holds (rank, place, left, right) of pairs,

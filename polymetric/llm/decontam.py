@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from polymetric.llm.common import Scratch
+from polymetric.llm.common import Scratch, worker_store
 from polymetric.llm.neardup import mix
 
 #: Characters of benchmark text that go to the executors at once; a larger benchmark takes several passes.
@@ -251,6 +251,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, q: int = 8, share: float
         shared = spark.sparkContext.broadcast(Benchmark.of([(r[0], r[1]) for r in rows], q, share))
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:  # noqa: ANN001
+            worker_store("decontamination", dict)  # lets go of what an earlier stage kept in this worker
             tables = [(bench, bench.table()) for bench in shared.value]
 
             def told(ids: list, texts: list[np.ndarray]) -> pa.RecordBatch:
