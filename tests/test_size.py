@@ -4,7 +4,8 @@ import random
 import statistics
 
 import pytest
-from polymetric import normalize
+from polymetric import index, normalize
+from polymetric.spaces import MultiMetricSchema, distance
 
 
 @pytest.mark.parametrize("n", [60_000, 60_001])
@@ -23,3 +24,17 @@ def test_an_interval_that_lost_the_middle_is_widened_by_the_counts(spark, monkey
     monkeypatch.setattr(normalize, "POINTS", [0.9, 0.95, 1.0])  # of all shares, those that never hold the middle rows
     rows = [(float(i * i),) for i in range(5001)]
     assert normalize.medians(spark.createDataFrame(rows, "d_a double").repartition(4), ["a"])[0]["a"] == 2500.0**2
+
+
+def test_the_range_scan_skips_costly_distances_that_the_cheap_ones_rule_out(spark, monkeypatch):
+    schema = MultiMetricSchema.of(("a", "l1"), ("t", "edit"))
+    w, sigma = {"a": 1.0, "t": 0.5}, {"a": 2.0, "t": 3.0}
+    rows = [(i, float(i % 7), "red blue green".split()[i % 3] * (1 + i % 2)) for i in range(60)]
+    df = spark.createDataFrame(rows, "oid long, a double, t string")
+    got = index.range_batch(df, df.where("oid % 20 = 0"), schema, w, 0.6, sigma)
+    far = lambda x, y: distance(schema, {"a": x[1], "t": x[2]}, {"a": y[1], "t": y[2]}, w, sigma)
+    assert {(r["qid"], r["oid"]): r["dist"] for r in got.collect()} == {(x[0], y[0]): far(x, y) for x in rows[::20] for y in rows if far(x, y) <= 0.6}
+    tests = []
+    monkeypatch.setattr(index.bounds, "staged", lambda *a: tests.append(a) or "true")
+    index.range_batch(df, df, schema, w, 0.6, sigma)
+    assert tests  # the test that comes before the distance
