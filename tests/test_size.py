@@ -11,14 +11,19 @@ from polymetric.spaces import MultiMetricSchema, distance
 @pytest.mark.parametrize("n", [60_000, 60_001])
 def test_medians_stay_exact_when_an_interval_is_narrowed_more_than_once(spark, monkeypatch, n):
     monkeypatch.setattr(normalize, "FEW_VALUES", 12)
+    monkeypatch.setattr(normalize, "SKETCH", 1e-3)
     rnd = random.Random(3)
-    rows = [(i / 7, rnd.random() ** 9, float(i % 7), 1.0 * (i > n // 2) * rnd.random(), None if i % 3 else rnd.gauss(0, 1)) for i in range(n)]
-    df = spark.createDataFrame(rows, "d_even double, d_steep double, d_few double, d_tied double, d_gaps double").repartition(4)
-    found, counted = normalize.medians(df, ["even", "steep", "few", "tied", "gaps"])
-    want = {k: statistics.median(r[i] for r in rows if r[i] is not None) for i, k in enumerate(("even", "steep", "few", "tied", "gaps"))}
+    rows = [(rnd.random(), rnd.random() ** 9, float(i % 7), 1.0 * (i > n // 2) * rnd.random()) for i in range(n)]
+    found, counted = normalize.medians(spark.createDataFrame(rows, "d_even double, d_steep double, d_few double, d_tied double").repartition(4), ["even", "steep", "few", "tied"])
+    want = {k: statistics.median(r[i] for r in rows) for i, k in enumerate(("even", "steep", "few", "tied"))}
     assert counted == n and found == pytest.approx(want, abs=1e-12)
 
 
+def test_medians_pass_over_distances_that_are_null(spark):
+    rows = [(None if i % 3 else float(i * i),) for i in range(999)]
+    assert normalize.medians(spark.createDataFrame(rows, "d_a double"), ["a"]) == ({"a": 498.0**2}, 999)
+
+
 def test_an_interval_that_lost_the_middle_is_widened_by_the_counts(spark, monkeypatch):
     monkeypatch.setattr(normalize, "FEW_VALUES", 12)
     monkeypatch.setattr(normalize, "POINTS", [0.9, 0.95, 1.0])  # of all shares, those that never hold the middle rows
