@@ -1,5 +1,5 @@
-"""Byte-level BPE: a priority queue of merge ranks over a doubly linked list of symbols, and decoding by
-concatenating vocabulary strings."""
+"""Byte-level BPE: a priority queue of merge ranks over a doubly linked list of symbols (of a short word: the least rank of a plain
+list), and decoding by concatenating vocabulary strings."""
 
 from __future__ import annotations
 
@@ -15,8 +15,10 @@ from pyspark.sql import DataFrame
 
 from polymetric.llm.common import give_back, worker_store
 
-#: Words kept by a worker; the store starts anew when it is full.
-MOST_KEPT = 200_000
+#: Words kept by a worker in each of two generations: the older one goes when the younger is full.
+MOST_KEPT = 100_000
+#: Bytes of a word up to which the pair to merge is found in a plain list, and what stands there for a pair that doesn't merge.
+SHORT, NONE = 64, 1 << 62
 #: The pattern that cuts a text into words, as the vocabulary's users publish it.
 WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+")
 
@@ -29,17 +31,18 @@ def byte_letters() -> dict[int, str]:
 
 
 class _Ids(dict):
-    """Little-endian ids of words, encoded on demand."""
+    """Little-endian ids of words, encoded on demand. Words that recur outlive a full store."""
 
     def __init__(self, bpe: BytePairs):
         super().__init__()
-        self.bpe = bpe
+        self.bpe, self.older = bpe, {}
 
     def __missing__(self, word: str) -> bytes:
-        if len(self) >= MOST_KEPT:
-            self.clear()
-        ids = np.array(self.bpe.merge(word), "<u4").tobytes()
+        ids = self.older.get(word) or np.array(self.bpe.merge(word), "<u4").tobytes()
         if len(word) <= 64:
+            if len(self) >= MOST_KEPT:
+                self.older = dict(self)
+                self.clear()
             self[word] = ids
         return ids
 
@@ -54,16 +57,17 @@ class BytePairs:
         letters = byte_letters()
         back = {c: b for b, c in letters.items()}
         self.start = [vocab[letters[b]] for b in range(256)]
-        self.merges: dict[tuple[int, int], tuple[int, int]] = {}
+        self.merges: dict[tuple[int, int], int] = {}
         for rank, pair in enumerate(data["model"]["merges"]):
             a, b = pair.split(" ") if isinstance(pair, str) else pair
-            self.merges[vocab[a], vocab[b]] = (rank, vocab[a + b])
+            self.merges[vocab[a], vocab[b]] = rank << 32 | vocab[a + b]
         added = {t["content"]: t["id"] for t in data["added_tokens"]}
         self.added = {c: np.array([i], "<u4").tobytes() for c, i in added.items()}
         self.special = regex.compile("(" + "|".join(regex.escape(c) for c in sorted(added, key=len, reverse=True)) + ")") if added else None
         self.bytes_of = [b""] * (max([*vocab.values(), *added.values()]) + 1)
         for piece, i in [*vocab.items(), *added.items()]:
             self.bytes_of[i] = bytes(back[c] for c in piece) if all(c in back for c in piece) else piece.encode()
+        self.strings = pa.array(self.bytes_of, pa.large_binary())
         self.ids = _Ids(self)
         del data, vocab
         give_back()
@@ -74,26 +78,41 @@ class BytePairs:
         start, merges = self.start, self.merges
         sym = [start[b] for b in word.encode()]
         n = len(sym)
-        if n == 1:
-            return sym
+        if n <= SHORT:
+            return self.merge_short(sym)
         prev, nxt = list(range(-1, n - 1)), [*range(1, n), -1]
-        queue = [(m[0], i, a, b, m[1]) for i, (a, b) in enumerate(zip(sym, sym[1:], strict=False)) if (m := merges.get((a, b)))]
+        queue = [(m, i, a, b) for i, (a, b) in enumerate(zip(sym, sym[1:], strict=False)) if (m := merges.get((a, b))) is not None]
         heapq.heapify(queue)
         while queue:
-            _, i, a, b, made = heapq.heappop(queue)
+            m, i, a, b = heapq.heappop(queue)
             j = nxt[i]
             if sym[i] != a or j < 0 or sym[j] != b:
                 continue
+            made = m & 0xFFFFFFFF
             sym[i], sym[j] = made, -1
             k = nxt[i] = nxt[j]
             if k >= 0:
                 prev[k] = i
-                if m := merges.get((made, sym[k])):
-                    heapq.heappush(queue, (m[0], i, made, sym[k], m[1]))
-            if (h := prev[i]) >= 0 and (m := merges.get((sym[h], made))):
-                heapq.heappush(queue, (m[0], h, sym[h], made, m[1]))
+                if (m := merges.get((made, sym[k]))) is not None:
+                    heapq.heappush(queue, (m, i, made, sym[k]))
+            if (h := prev[i]) >= 0 and (m := merges.get((sym[h], made))) is not None:
+                heapq.heappush(queue, (m, h, sym[h], made))
         return [s for s in sym if s >= 0]
 
+    def merge_short(self, sym: list[int]) -> list[int]:
+        """The same order of merges, least rank first and leftmost of equal ones, by the least of a plain list of the pairs' ranks."""
+        merge = self.merges.get
+        ranks = [merge(p, NONE) for p in zip(sym, sym[1:], strict=False)]
+        while ranks and (m := min(ranks)) != NONE:
+            i = ranks.index(m)
+            sym[i : i + 2] = (m & 0xFFFFFFFF,)
+            del ranks[i]
+            if i < len(ranks):
+                ranks[i] = merge((sym[i], sym[i + 1]), NONE)
+            if i:
+                ranks[i - 1] = merge((sym[i - 1], sym[i]), NONE)
+        return sym
+
     def encode(self, text: str) -> np.ndarray:
         """Ids of a text; strings of added tokens become these tokens."""
         get, out = self.ids.__getitem__, []
@@ -105,7 +124,8 @@ class BytePairs:
         return np.frombuffer(b"".join(out), "<u4")
 
     def decode(self, ids: np.ndarray) -> str:
-        return b"".join(map(self.bytes_of.__getitem__, ids.tolist())).decode("utf-8", "replace")
+        _, ends, joined = self.strings.take(pa.array(ids)).buffers() if len(ids) else (None, None, None)
+        return str(memoryview(joined)[: np.frombuffer(ends, "<i8")[len(ids)]], "utf-8", "replace") if joined else ""
 
 
 def vocabulary(path: str) -> BytePairs:
