@@ -4,7 +4,7 @@ import random
 
 import pyarrow as pa
 import pytest
-from polymetric import cells, index
+from polymetric import batch, cells, index
 from polymetric.distances import _levenshtein
 from polymetric.spaces import MultiMetricSchema, distance
 
@@ -62,3 +62,18 @@ def test_edit_distances_by_words_are_those_of_the_table():
 def test_of_copies_only_the_least_ids_stay():
     t = pa.table({"oid": list(range(99, -1, -1)), "a": [float(i % 3) for i in range(100)]})
     assert sorted(cells.fewest(t, list(MultiMetricSchema.of(("a", "l1")).spaces), "oid", 2)["oid"].to_pylist()) == sorted(sorted(i for i in range(100) if (99 - i) % 3 == m)[j] for m in range(3) for j in range(2))
+
+
+def test_routed_batches_meet_in_cells_of_leaves(spark, monkeypatch):
+    monkeypatch.setattr(batch, "_meet", None)  # pairs don't meet in SQL
+    monkeypatch.setattr(cells, "CELL_NUMBERS", 27 * 70)  # pools of 70 rows
+    table = rows()
+    df, far = spark.createDataFrame(table, KIND), brute(table)
+    made = index.MultiMetricIndex.build(df, SCHEMA, depth=4, sigma=SIGMA)
+    few = df.where("oid % 20 = 0")
+    assert len(batch.pools(made, W)) > 1
+    got = batch.range_queries(made, few, W, 1.1)
+    assert sorted((r["qid"], r["oid"]) for r in got.collect()) == sorted(p for p, d in far.items() if d <= 1.1)
+    for k in (4, 300):
+        near = sorted((r["qid"], r["rank"], r["oid"]) for r in batch.knn_queries(made, few, W, k).collect())
+        assert near == [(q, j + 1, o) for q in range(0, 240, 20) for j, (d, o) in enumerate(sorted((d, o) for (x, o), d in far.items() if x == q)[:k])]
