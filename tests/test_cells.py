@@ -2,9 +2,10 @@
 
 import random
 
+import numpy as np
 import pyarrow as pa
 import pytest
-from polymetric import batch, cells, index
+from polymetric import batch, cells, index, queries, workloads
 from polymetric.distances import _levenshtein
 from polymetric.spaces import MultiMetricSchema, distance
 
@@ -77,3 +78,26 @@ def test_routed_batches_meet_in_cells_of_leaves(spark, monkeypatch):
     for k in (4, 300):
         near = sorted((r["qid"], r["rank"], r["oid"]) for r in batch.knn_queries(made, few, W, k).collect())
         assert near == [(q, j + 1, o) for q in range(0, 240, 20) for j, (d, o) in enumerate(sorted((d, o) for (x, o), d in far.items() if x == q)[:k])]
+
+
+def test_radii_for_shares_are_exact_percentiles_without_all_pairs_in_sql(spark, monkeypatch):
+    monkeypatch.setattr(queries, "paired", None)
+    table = rows()
+    df, far = spark.createDataFrame(table, KIND), brute(table)
+    got = {r["qid"]: (r["r1"], r["r16"], r["r100"]) for r in queries.share_radii(df, df.where("oid % 20 = 0"), SCHEMA, W, SIGMA, (1, 16, 100)).collect()}
+    want = {q: tuple(np.quantile([d for (x, _), d in far.items() if x == q], [0.01, 0.16, 1.0])) for q in range(0, 240, 20)}
+    assert got.keys() == want.keys() and all(got[q] == pytest.approx(want[q], abs=2e-6) for q in want)
+
+
+def test_merged_lists_come_from_a_search_in_each_space(spark, monkeypatch):
+    monkeypatch.setattr(index, "met", None)
+    table = [r[:2] + (r[4],) for r in rows(80)]
+    schema, sigma = MultiMetricSchema.of(("a", "l1"), ("t", "edit")), {"a": 2.0, "t": 4.0}
+    df = spark.createDataFrame(table, "oid long, a double, t string")
+    got = {(r["qid"], r["oid"]): r["need"] for r in workloads._merge_lists(df, df.where("oid % 20 = 0"), schema, sigma, 9).collect()}
+    want = {}
+    for q in table[::20]:
+        for far in (lambda x: abs(x[1] - q[1]) / 2, lambda x: _levenshtein(x[2], q[2]) / 4):
+            for j, x in enumerate(sorted(table, key=lambda x: (round(far(x), 9), x[0]))[:9]):
+                want[q[0], x[0]] = min(j + 1, want.get((q[0], x[0]), 99))
+    assert got == want
