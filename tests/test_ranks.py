@@ -4,9 +4,9 @@ import random
 
 import numpy as np
 import pytest
-from polymetric import normalize, ranks
+from polymetric import fixtures, normalize, queries, ranks, workloads
 from polymetric.distances import _levenshtein
-from polymetric.spaces import MultiMetricSchema
+from polymetric.spaces import MultiMetricSchema, distance
 
 SCHEMA = MultiMetricSchema.of(("a", "l1"), ("p", "l2v", 2), ("t", "edit"), ("v", "l1v", 20), ("c", "l1"))
 KIND = "oid long, a double, p array<double>, t string, v array<double>, c double"
@@ -48,3 +48,19 @@ def test_a_space_without_values_has_no_median(spark):
     df = spark.createDataFrame([(i, None) for i in range(20)], "oid long, a double")
     for pairs in ("anchors", "all"):
         assert [tuple(r) for r in normalize.norm_table(df, MultiMetricSchema.of(("a", "l1")), pairs=pairs).collect()] == [("a", 1.0, 320 if pairs == "anchors" else 400)]
+
+def test_radii_of_the_hundred_are_the_exact_ranks_of_all_their_pairs(spark, monkeypatch):
+    monkeypatch.setattr(workloads, "paired", None)
+    s = queries.Setup(spark, "/root/testdata/sf0.001", "rental", queries.skew(fixtures.schema("rental")))
+    got = workloads.radii(s, (2, 17, 50, 100))
+    asked, all_rows = ([r.asDict() for r in x.collect()] for x in (workloads.hundred(s), s.df))
+    d = sorted(distance(s.schema, x, y, s.w, s.sigma) for x in asked for y in all_rows)
+    assert got == {x: pytest.approx(d[max(0, -(-x * len(d) // 100) - 1)], abs=1e-9) for x in (2, 17, 50, 100)}
+
+
+def test_a_range_search_by_so_many_tasks_meets_in_so_many(spark):
+    s = queries.Setup(spark, "/root/testdata/sf0.001", "rental", queries.skew(fixtures.schema("rental")))
+    made, every = workloads.system(s, "index"), workloads.hundred(s)
+    found = workloads.by_tasks(spark, 3, lambda: made.range(every, s.w, 0.1))
+    assert found.rdd.getNumPartitions() == 3 and found.count() == made.range(every, s.w, 0.1).count() > 0
+    assert spark.conf.get("spark.sql.shuffle.partitions") == "4"
