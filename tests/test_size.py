@@ -4,7 +4,7 @@ import random
 import statistics
 
 import pytest
-from polymetric import index, normalize
+from polymetric import index, normalize, updates
 from polymetric.spaces import MultiMetricSchema, distance
 
 
@@ -43,3 +43,23 @@ def test_the_range_scan_skips_costly_distances_that_the_cheap_ones_rule_out(spar
     monkeypatch.setattr(index.bounds, "staged", lambda *a: tests.append(a) or "true")
     index.range_batch(df, df, schema, w, 0.6, sigma)
     assert tests  # the test that comes before the distance
+
+
+def test_new_rows_find_the_nearest_of_many_leaves_without_a_join_of_rows_and_leaves(spark):
+    schema = MultiMetricSchema.of(("a", "l1"), ("v", "l2v", 2))
+    rnd = random.Random(5)
+    rows = [(i, float(rnd.randrange(400)), [float(rnd.randrange(60)), float(rnd.randrange(60))]) for i in range(3000)]
+    built = index.MultiMetricIndex.build(spark.createDataFrame(rows, "oid long, a double, v array<double>"), schema, depth=9, sigma={"a": 7.0, "v": 3.0})
+    new = [(i, x * 1.5 - 50, y) for i, x, y in rows[::3]] + [(9001, None, [1.0, 2.0]), (9002, 3.0, None), (9003, None, None)]
+    placed = updates.place(built, spark.createDataFrame(new, "oid long, a double, v array<double>"))
+    plan = placed._jdf.queryExecution().executedPlan().toString()
+    assert len(built.boxes) > 256 and "Join" not in plan and "Cartesian" not in plan and "Exchange" not in plan
+
+    def far(r, b):
+        gaps = (0.0 if r[f"v_{n}_0"] is None else max(0.0, b[f"lo_{n}"] - r[f"v_{n}_0"], r[f"v_{n}_0"] - b[f"hi_{n}"]) / built.sigma[n] for n in schema.names)
+        return sum(gaps), b["leaf_id"]
+
+    got = placed.collect()
+    assert len(got) == len(new) and all(r["leaf_id"] == min(built.boxes, key=lambda b: far(r, b))["leaf_id"] for r in got)
+    more = {r["leaf_id"]: r["n_objects"] for r in updates.widened(built, placed).collect()}
+    assert sum(more.values()) == len(rows) + len(new)
