@@ -4,7 +4,7 @@ import random
 import statistics
 
 import pytest
-from polymetric import index, normalize, updates
+from polymetric import cells, index, normalize, updates
 from polymetric.spaces import MultiMetricSchema, distance
 
 
@@ -63,3 +63,23 @@ def test_new_rows_find_the_nearest_of_many_leaves_without_a_join_of_rows_and_lea
     assert len(got) == len(new) and all(r["leaf_id"] == min(built.boxes, key=lambda b: far(r, b))["leaf_id"] for r in got)
     more = {r["leaf_id"]: r["n_objects"] for r in updates.widened(built, placed).collect()}
     assert sum(more.values()) == len(rows) + len(new)
+
+
+def test_a_range_scan_of_many_queries_shuffles_nothing_and_finds_all(spark, monkeypatch):
+    schema = MultiMetricSchema.of(("a", "l1"), ("v", "l2v", 2), ("t", "edit"))
+    w, sigma = {"a": 1.0, "v": 0.3, "t": 0.5}, {"a": 2.0, "v": 1.5, "t": 3.0}
+    rnd = random.Random(7)
+    rows = [(i, float(rnd.randrange(40)), [float(rnd.randrange(9)), float(rnd.randrange(9))], "red blue green".split()[i % 3] * (1 + i % 2)) for i in range(900)]
+    rows += [(900, None, [1.0, 1.0], "red"), (901, 1.0, None, "red"), (902, 1.0, [1.0, 1.0], None)]
+    df = spark.createDataFrame(rows, "oid long, a double, v array<double>, t string").repartition(3)
+    want = {(r["qid"], r["oid"], r["dist"]) for r in index.paired(df, df.where("oid % 3 = 0"), schema, w, sigma).where("dist <= 0.9").collect()}
+    monkeypatch.setattr(index, "FEW_QUERIES", 10)
+    monkeypatch.setattr(cells, "CELL_NUMBERS", 800)  # blocks of 100 queries, cells of 100 rows
+    monkeypatch.setattr(cells, "OUT_ROWS", 50)
+    got = index.range_batch(df, df.where("oid % 3 = 0"), schema, w, 0.9, sigma)
+    assert {tuple(r) for r in got.select("qid", "oid", "dist").collect()} == want and len(want) > 900
+    stored = spark.createDataFrame(rows, "oid long, a double, v array<double>, t string").coalesce(1)
+    assert "Exchange" not in index.range_batch(stored, df.where("oid % 3 = 0"), schema, w, 0.9, sigma)._jdf.queryExecution().executedPlan().toString()
+    assert index.range_batch(df, df.where("oid < 0"), schema, w, 0.9, sigma).count() == 0
+    monkeypatch.setattr(index, "FEW_QUERIES", -1)
+    assert index.range_batch(df, df.where("oid < 0"), schema, w, 0.9, sigma).count() == index.range_batch(df.where("oid < 0"), df, schema, w, 0.9, sigma).count() == 0
