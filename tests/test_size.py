@@ -4,7 +4,7 @@ import random
 import statistics
 
 import pytest
-from polymetric import cells, index, normalize, updates
+from polymetric import batch, cells, index, normalize, updates
 from polymetric.spaces import MultiMetricSchema, distance
 
 
@@ -83,3 +83,17 @@ def test_a_range_scan_of_many_queries_shuffles_nothing_and_finds_all(spark, monk
     assert index.range_batch(df, df.where("oid < 0"), schema, w, 0.9, sigma).count() == 0
     monkeypatch.setattr(index, "FEW_QUERIES", -1)
     assert index.range_batch(df, df.where("oid < 0"), schema, w, 0.9, sigma).count() == index.range_batch(df.where("oid < 0"), df, schema, w, 0.9, sigma).count() == 0
+
+
+def test_indexed_range_searches_in_blocks_deal_the_objects_once(spark, monkeypatch):
+    schema = MultiMetricSchema.of(("a", "l1"), ("t", "edit"))
+    w, sigma = {"a": 1.0, "t": 0.5}, {"a": 2.0, "t": 3.0}
+    rows = [(i, float(i * 7 % 90), "red blue green".split()[i % 3] * (1 + i % 2)) for i in range(600)]
+    df = spark.createDataFrame(rows, "oid long, a double, t string")
+    built = index.MultiMetricIndex.build(df, schema, depth=5, sigma=sigma)
+    monkeypatch.setattr(cells, "CELL_NUMBERS", 800)  # blocks of 100 queries and pools of about 100 objects
+    far = lambda x, y: distance(schema, {"a": x[1], "t": x[2]}, {"a": y[1], "t": y[2]}, w, sigma)
+    got = batch.range_queries(built, df.where("oid % 2 = 0"), w, 0.6)
+    assert {(r["qid"], r["oid"]): r["dist"] for r in got.collect()} == {(x[0], y[0]): far(x, y) for x in rows[::2] for y in rows if far(x, y) <= 0.6}
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert len(batch.pools(built, w)) > 3 and "Generate" not in plan  # no copies of objects for blocks, nor of queries for cells
